@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, language_id, mixing, near_dedup, quality_rules, toxicity
+from . import bpe, language_id, line_dedup, mixing, near_dedup, quality_rules, secret_scan, toxicity
 from .common import documents
 
 
@@ -32,6 +32,17 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(docs, model).select("doc_id", held_out.alias("held_out"), "lang_pred", "score", "rejected")
 
 
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = line_dedup.dedup_lines(spark, documents(spark, sf_dir))
+    return found.select("doc_id", "n_lines", "n_removed", "n_runs", F.sha2(F.col("text").cast("binary"), 256).alias("kept_sha256"))
+
+
+def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = secret_scan.scan(spark, documents(spark, sf_dir))
+    counts = [F.size(k).cast("long").alias(f"n_{k}") for k in ("assign", "access", "hex", "random")]
+    return found.select("doc_id", *counts, F.sha2(secret_scan.joined("base").cast("binary"), 256).alias("base_sha256"), secret_scan.joined("all").alias("spans"))
+
+
 def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     held_out = F.coalesce(_id_hash(5) == 0, F.lit(False))
@@ -51,10 +62,14 @@ def op10_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality_rules": op1_quality_rules,
     "op2_language_id": op2_language_id,
+    "op3_line_dedup": op3_line_dedup,
+    "op4_secret_scan": op4_secret_scan,
     "op6_toxicity": op6_toxicity,
     "op8_mixing": op8_mixing,
     "op9_near_duplicates": op9_near_duplicates,
     "op10_bpe": op10_bpe,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op3_line_dedup": f"WITH {line_dedup.oracle()} SELECT doc_id, n_lines, n_removed, n_runs, sha256(kept) AS kept_sha256 FROM line_dedup",
+}
