@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, language_id, line_dedup, mixing, near_dedup, quality_rules, secret_scan, suffix_dedup, toxicity
+from . import bpe, language_id, line_dedup, mixing, near_dedup, quality_rules, secret_scan, spot_signatures, suffix_dedup, toxicity
 from .common import documents
 
 
@@ -55,6 +55,20 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, lexicon).select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
+def op7_spot_signatures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    d = spot_signatures.with_next(documents(spark, sf_dir)).withColumn("edited", spot_signatures.edited())
+    d = d.withColumn("es", spot_signatures.fingerprint(F.col("edited")))
+    return d.select(
+        "doc_id",
+        F.col("n").alias("n_chars"),
+        F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"),
+        spot_signatures.printed(F.col("s")).alias("fingerprint"),
+        spot_signatures.printed(F.col("es")).alias("edited_fingerprint"),
+        spot_signatures.likeness(F.col("s"), F.col("es")).alias("near_edited"),
+        spot_signatures.likeness(F.col("s"), F.col("next_s")).alias("near_next"),
+    )
+
+
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(spark, documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -71,6 +85,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_secret_scan": op4_secret_scan,
     "op5_suffix_dedup": op5_suffix_dedup,
     "op6_toxicity": op6_toxicity,
+    "op7_spot_signatures": op7_spot_signatures,
     "op8_mixing": op8_mixing,
     "op9_near_duplicates": op9_near_duplicates,
     "op10_bpe": op10_bpe,
