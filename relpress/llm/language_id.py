@@ -159,3 +159,14 @@ def identify(docs: DataFrame, model: Model, text_col: str = "text", keep: tuple[
 
     kinds = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
     return docs.select(*keep, F.col(text_col).cast("string").alias("_text")).mapInArrow(run, f"{kinds}, lang_pred string, score double, rejected boolean")
+
+
+def accepted(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` whose text is not rejected, all columns as they are."""
+    small_batches(docs.sparkSession)
+
+    def run(batches):
+        for b in batches:
+            yield b.filter(pa.array([not model.predict(t)[2] for t in b.column(text_col).to_pylist()], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -108,7 +108,7 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", te
     kept = F.when(F.size("_gone") == 0, F.col("_t")).otherwise(F.array_join(F.expr("transform(array_except(sequence(0, size(_lines) - 1), _places), n -> _lines[n])"), "\n"))
     runs = F.expr("size(filter(_gone, q -> NOT array_contains(_gone, q - 1)))")
     return d.select(
-        *[kept.alias(c) if c == text_col else F.col(c) for c in docs.columns],
+        *[kept.alias(c) if c == text_col else F.col(c) for c in docs.columns if c not in ("n_lines", "n_removed", "n_runs")],
         F.size("_lines").cast("long").alias("n_lines"),
         F.size("_gone").cast("long").alias("n_removed"),
         runs.cast("long").alias("n_runs"),
