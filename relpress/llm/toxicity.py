@@ -149,7 +149,8 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, training: Colum
     share = {0: min(1.0, sample / 2 / (n - positive)), 1: min(1.0, sample / 2 / positive)}
     u = F.pmod(F.xxhash64(F.lit(seed), id_col), F.lit(1 << 30)) / F.lit(float(1 << 30))
     drawn = known.where(u < F.when(F.col("y") == 1, share[1]).otherwise(share[0]))
-    rows = written(spark, docs.select(id_col, F.col(text_col).cast("string").alias("t")).join(drawn, id_col).select("t", "y"), "labelled")
+    # The sample's ids and labels are bounded by its size, so they go to the texts and not the texts to them.
+    rows = written(spark, docs.select(id_col, F.col(text_col).cast("string").alias("t")).join(F.broadcast(drawn), id_col).select("t", "y"), "labelled")
 
     def counted(batches):
         seen = {0: Counter(), 1: Counter()}
