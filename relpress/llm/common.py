@@ -42,7 +42,14 @@ def shared_dir(spark: SparkSession) -> str:
 def written(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts lineage and survives a lost executor."""
     path = f"{shared_dir(spark)}/relpress-{uuid.uuid4().hex}/{name}"
-    df.write.parquet(path)
+    # What was shuffled for the table is of no use once it is written: Spark drops those files at the end of the job.
+    key = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(key, before)
     out = spark.read.schema(df.schema).parquet(path)
     out._relpress_path = path
     return out
