@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 
 from .common import small_batches, written
 
-DIM, CENTROIDS, PER_LANGUAGE, ROUNDS = 8192, 4, 1500, 12
+DIM, CENTROIDS, PER_LANGUAGE, ROUNDS = 8192, 4, 1000, 12
 #: Rejected under this part of the least similarity of training texts of like length; bands of length in doublings.
 REJECT, BANDS = 0.35, 8
 _NOT_LETTER = regex.compile(r"[^\p{L}\p{M}]+")
@@ -125,12 +125,16 @@ def fit(spark: SparkSession, docs: DataFrame, training: Column, id_col: str = "d
 
     def centroids(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
         group = group.sort_values(["u", "t"])  # the order of arrival must not move the centroids
-        counts = [c for t in group["t"] if (c := gram_counts(t)) is not None]
-        if not counts:
+        x, band = np.empty((len(group), DIM), np.float32), []
+        for t in group["t"]:
+            if (c := gram_counts(t)) is not None:
+                x[len(band)] = _vector(c, idf)
+                band.append(_band(c))
+        if not band:
             return pd.DataFrame({"l": [], "kind": [], "values": []})
-        x = np.stack([_vector(c, idf) for c in counts])
+        x, band = x[: len(band)], np.array(band)
         c = _cluster(x, CENTROIDS, seed)
-        near, band = (x @ c.T).max(axis=1), np.array([_band(c) for c in counts])
+        near = (x @ c.T).max(axis=1)
         floor = np.array([near[band == b].min() if (band == b).any() else np.nan for b in range(BANDS)], np.float32)
         # A band without texts takes the nearest lower one's figure, as longer texts are more alike; the first, the least.
         floor[0] = np.nanmin(floor) if np.isnan(floor[0]) else floor[0]
