@@ -101,15 +101,21 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", te
     copies = later_copies(spark, docs, id_col, text_col, min_words)
     gone = copies.select("i", "h", F.explode(F.sequence("q", F.col("q") + F.col("n") - 1)).alias("q")).groupBy(F.col("i").alias("_i"), F.col("h").alias("_h")).agg(F.sort_array(F.collect_set("q")).alias("_gone"))
     d = _key(docs, id_col, text_col).join(gone, ["_i", "_h"], "left").withColumn("_gone", F.coalesce("_gone", F.expr("cast(array() AS array<int>)")))
-    d = d.withColumn("_lines", F.split("_t", "\n", -1))
-    # Numbers of the lines that have a word, then the places of those that go.
-    d = d.withColumn("_real", F.when(F.size("_gone") > 0, F.expr(f"filter(sequence(0, size(_lines) - 1), n -> _lines[n] rlike '{WORD}')".replace("\\", "\\\\"))).otherwise(F.expr("cast(array() AS array<int>)")))
-    d = d.withColumn("_places", F.transform("_gone", lambda q: F.get("_real", q)))
-    kept = F.when(F.size("_gone") == 0, F.col("_t")).otherwise(F.array_join(F.expr("transform(array_except(sequence(0, size(_lines) - 1), _places), n -> _lines[n])"), "\n"))
+
+    def kept_of(z: Column) -> Column:
+        """The text of lines z.l less those that go: z.g has their numbers among the lines that have a word."""
+        real = F.filter(F.transform(z["l"], lambda x, n: F.when(x.rlike(WORD), n)), lambda n: n.isNotNull())
+        # One element each, so that a lambda's parameter stands for the computed array, which is then computed once.
+        gone = F.transform(F.array(real), lambda r: F.transform(z["g"], lambda q: F.get(r, q)))[0]
+        rest = F.array_except(F.sequence(F.lit(0), F.size(z["l"]) - 1), gone)
+        return F.array_join(F.transform(rest, lambda n: F.get(z["l"], n)), "\n")
+
+    both = F.array(F.struct(F.split("_t", "\n", -1).alias("l"), F.col("_gone").alias("g")))
+    kept = F.when(F.size("_gone") == 0, F.col("_t")).otherwise(F.transform(both, kept_of)[0])
     runs = F.expr("size(filter(_gone, q -> NOT array_contains(_gone, q - 1)))")
     return d.select(
         *[kept.alias(c) if c == text_col else F.col(c) for c in docs.columns if c not in ("n_lines", "n_removed", "n_runs")],
-        F.size("_lines").cast("long").alias("n_lines"),
+        F.size(F.split("_t", "\n", -1)).cast("long").alias("n_lines"),
         F.size("_gone").cast("long").alias("n_removed"),
         runs.cast("long").alias("n_runs"),
     )
