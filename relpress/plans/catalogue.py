@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,6 +13,7 @@ from ..functions.itemsets import as_items, saving, spread
 from ..model import Relation
 from ..operators import compression, filters, mining, selection
 from ..sources import workloads as W
+from ..streaming import events as streams
 from . import metrics, solving
 from .staging import staged
 
@@ -496,5 +498,48 @@ def cells_saved(spark, sf):
     return _compressed(spark, sf).heads.agg(F.sum(saving(F.col("len"), F.col("freq"))).alias("saved"))
 
 
+_EVENTS = "SELECT ts, ascii(event_type) AS c0, CAST(hour(ts) AS INT) AS c1 FROM events"
+
+
+@query(
+    f"WITH e AS ({_EVENTS}), x AS (SELECT date_trunc('day', ts) AS start, 0 AS p, c0 AS v FROM e UNION ALL SELECT date_trunc('day', ts), 1, c1 FROM e)"
+    " SELECT CAST(epoch(start) AS BIGINT) AS start, p, v, count(*) AS freq FROM x GROUP BY ALL"
+)
+def events_window_items(spark, sf):
+    """Item frequencies of events by day."""
+    rows = streams.tuples(spark.read.parquet(f"{sf}/events.parquet"))
+    return streams.item_counts(rows, ["c0", "c1"], "1 day").select(F.unix_timestamp("start").alias("start"), "p", "v", "freq")
+
+
+@query()
+def events_assignment(spark, sf):
+    """Events put to the entries of the compressed (type, hour) relation, and the share left to its default table."""
+    rows = streams.tuples(spark.read.parquet(f"{sf}/events.parquet"))
+    c = compression.area_cover(Relation.of(rows.where("c1 < 12"), ["c0", "c1"]), 0.4, "min")
+    return streams.default_share(streams.assign(rows, c))
+
+
+# The seven-column relations, and the parameters' directions.
+
+_report_query("modular_report", _with(*_auto(0.2, "mean", 7, W.modular(1000, 20)), recursive=True) + " " + _report_sql(7), lambda spark, sf: compression.area_cover(_rel(spark, sf, W.modular(1000, 20)), 0.2, "mean"))
+
+
+@query()
+def words_compared(spark, sf):
+    """Area-cover against the four readings of the itemset baselines on four-letter words: one row of measures each."""
+    rel = _rel(spark, sf, W.words(4))
+    forms = {"area_cover_min": compression.area_cover(rel, 0.4, "min"), "area_cover_mean": compression.area_cover(rel, 0.4, "mean")}
+    forms |= {f"{o}_{c}": compression.slices(rel, 2, c, o) for o in ("savings", "rate") for c in ("paths", "all")}
+    out = [c.report().withColumns({"method": F.lit(m), "n_mined": F.lit(c.n_mined)}) for m, c in forms.items()]
+    return reduce(DataFrame.unionByName, out)
+
+
+@query()
+def booleans_report(spark, sf):
+    """Eighteen two-valued columns: the shard engine, as a cube would be too wide."""
+    rel = _rel(spark, sf, W.booleans_large())
+    return compression.area_cover(rel, s_min=max(2, rel.df.count() // 4)).report()
+
+
 QUERIES |= solving.QUERIES
 ORACLE_SQL |= solving.ORACLE_SQL

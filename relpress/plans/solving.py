@@ -206,6 +206,12 @@ class _Bits:
 
 
 def _filter_of(method: str, rows: np.ndarray, sizes: list[int], parts) -> _Flat | _Entries | _Bits:
+    """The filter's state over the tuples whose values are in the domains (0 to size - 1)."""
+    limit = np.array(sizes)
+    rows = rows[(rows < limit).all(axis=1)]
+    if parts is not None:
+        fits = [(head, r[(r < limit).all(axis=1)]) for head, r in parts if all(v < sizes[p] for p, v in head.items())]
+        parts = [(head, r) for head, r in fits if len(r)]
     if method == "bits":
         return _Bits(rows, sizes)
     return _Entries(parts) if method.startswith("entries") else _Flat(rows)
