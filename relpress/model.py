@@ -68,6 +68,25 @@ class Relation:
     def cells(self) -> int:
         return self.df.count() * self.arity
 
+    def mine(self, kind: str = "maximal", s_min: int = 2, k: int | None = None, ties: str = "cut") -> DataFrame:
+        """(items, len, freq): 'frequent', 'closed' or 'maximal' sets, or the 'topk' most frequent closed ones."""
+        from .operators import compression, mining
+
+        if kind == "topk":
+            return mining.top(compression.candidates(self, s_min, "closed"), k or 10, ties=ties)
+        return compression.candidates(self, s_min, kind)
+
+    def compress(self, method: str = "area_cover", **options) -> CompressedRelation | DataFrame:
+        """The compressed form by any method: entries ('area_cover', 'savings_slice', 'rate_tree', 'microstructure'),
+        or rows and edges ('cartesian', 'wildcard', 'restricted', 'diagram', 'bitset')."""
+        from .operators import compression
+
+        if method == "bitset":
+            return compression.bitset(compression.dense(self))
+        if method not in ("area_cover", "savings_slice", "rate_tree", "microstructure", "cartesian", "wildcard", "restricted", "diagram"):
+            raise ValueError(f"no method {method!r}")
+        return getattr(compression, method)(self, **options)
+
     def allowed(self, domains: DataFrame) -> Relation:
         """The positive form of a negative table: all combinations of its (small) domains less the listed ones."""
         if self.sign:
@@ -149,3 +168,32 @@ class Instance:
     constraints: list[Constraint]
     name: str = "instance"
     notes: dict = field(default_factory=dict)
+
+    def _parts(self) -> list[tuple[Relation, list[int]]]:
+        return [(c.relation, c.scope) for c in self.constraints]
+
+    def domain_table(self, spark: SparkSession) -> DataFrame:
+        return spark.createDataFrame([(v, c) for v, codes in self.domains.items() for c in codes], "var int, code int")
+
+    def propagate(self, spark: SparkSession) -> DataFrame:
+        """Arc-consistent domains (var, code)."""
+        from .plans import solving
+
+        return solving.propagate([(r.allowed(r.domains()), s) for r, s in self._parts()], self.domain_table(spark))[0]
+
+    def solve_by_join(self, spark: SparkSession) -> DataFrame:
+        """All solutions within the domains."""
+        from .plans import solving
+
+        found = solving.by_join(self._parts())
+        for v, codes in self.domains.items():
+            found = found.where(F.col(f"v{v}").isin(codes)) if f"v{v}" in found.columns else found
+        return found
+
+    def solve(self, spark: SparkSession, methods: tuple[str, ...] = ("tabular",), time_limit_s: float = 1800.0) -> DataFrame:
+        """Depth-first search; domains must be 0 to n - 1 for variables 0, 1, ..."""
+        from .plans import solving
+
+        relations = [c.relation for c in self.constraints]
+        sizes = [len(self.domains[v]) for v in sorted(self.domains)]
+        return solving.search(spark, [(self.name, sizes, [(i, c.scope) for i, c in enumerate(self.constraints)])], relations, methods, time_limit_s)

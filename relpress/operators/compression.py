@@ -63,6 +63,12 @@ def area_cover(rel: Relation, k: float | int = 0.4, reduce: str = "mean", overla
     return choose(rel, sets, objective, overlap, sets.count(), s_min)
 
 
+def tiles(rel: Relation, k: int, s_min: int = 2) -> DataFrame:
+    """The first k itemsets of the greedy choice by area: a stand-in for the k disjoint tiles of largest area, which are hard to find."""
+    c = area_cover(rel, s_min=s_min)
+    return mining.top(c.heads, k, F.col("len") * F.col("freq")).select("items", "len", "freq")
+
+
 def paths(rel: Relation, s_min: int = 2) -> DataFrame:
     """Root-to-node paths of the frequency-ordered prefix tree, as itemsets; the tree is the table of prefix counts."""
     items = mining.frequent_items(rel, 1)
@@ -155,7 +161,8 @@ def diagram(rel: Relation, order: list[str] | None = None, automaton: bool = Fal
 
 def bitset(tuples: DataFrame) -> DataFrame:
     """(var, code, bucket, bits): bitmaps over tuple numbers, 32 768 to a bucket; numbers are made dense within sort order."""
-    x = tuples.select("tid", F.explode("items").alias("x"))
+    # A bucket starts at 1, so numbers from 0 on are moved by one.
+    x = tuples.select((F.col("tid") + 1).alias("tid"), F.explode("items").alias("x"))
     return x.groupBy(F.col("x.p").alias("var"), F.col("x.v").alias("code"), F.bitmap_bucket_number("tid").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("tid")).alias("bits"))
 
 

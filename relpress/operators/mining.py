@@ -80,6 +80,18 @@ def parents_of(sets: DataFrame) -> DataFrame:
     return sets.where("len > 1").select(F.explode(without_each(F.col("items"))).alias("items"), "freq").groupBy("items").agg(F.max("freq").alias("above"))
 
 
+def frequent_growth(transactions: DataFrame, s_min: int, column: str = "items") -> DataFrame:
+    """(items, freq) of set-valued transactions, by the library's parallel growth of frequent patterns.
+
+    Its threshold is a share, so one just under ``s_min`` is asked for and the integer threshold is applied to the counts.
+    """
+    from pyspark.ml.fpm import FPGrowth
+
+    n = transactions.count()
+    found = FPGrowth(itemsCol=column, minSupport=max(0.0, (s_min - 0.5) / max(1, n))).fit(transactions).freqItemsets
+    return found.where(F.col("freq") >= s_min).select(F.array_sort("items").alias("items"), "freq")
+
+
 def closed(frequent_sets: DataFrame) -> DataFrame:
     """Sets without a superset of equal frequency; immediate supersets tell."""
     return frequent_sets.join(parents_of(frequent_sets), "items", "left").where("above IS NULL OR above < freq").drop("above")

@@ -179,12 +179,9 @@ def frequent_itemsets_levelwise(spark, sf):
 @query(_FREQUENT)
 def frequent_itemsets_growth(spark, sf):
     """The library's parallel growth of frequent patterns over set-valued transactions, recounted to the integer threshold."""
-    from pyspark.ml.fpm import FPGrowth
-
     rel = _rel(spark, sf)
     t = rel.df.select(F.transform(as_items(rel.scope), lambda x: x["p"].cast("bigint") * (1 << 32) + x["v"]).alias("items"))
-    n = t.count()
-    found = FPGrowth(itemsCol="items", minSupport=max(0.0, (S_FREQ - 0.5) / n)).fit(t).freqItemsets.where(F.col("freq") >= S_FREQ)
+    found = mining.frequent_growth(t, S_FREQ)
     back = F.array_sort(F.transform("items", lambda x: F.struct(F.shiftright(x, 32).cast("int").alias("p"), x.bitwiseAND(F.lit((1 << 32) - 1)).cast("int").alias("v"))))
     return _flat(found.select(back.alias("items"), F.size("items").alias("len"), "freq"))
 
@@ -233,6 +230,27 @@ def topk_area(spark, sf):
     return _flat(mining.top(mining.frequent(_rel(spark, sf), 2), 30, F.col("len") * F.col("freq"), "include"))
 
 
+@query(
+    _with(
+        ("x", "SELECT DISTINCT l_orderkey AS o, p_brand AS b FROM lineitem JOIN part ON l_partkey = p_partkey"),
+        ("one", "SELECT b AS items, count(*) AS freq FROM x GROUP BY b HAVING count(*) >= 5"),
+        ("two", "SELECT s.b || ',' || t.b AS items, count(*) AS freq FROM x s JOIN x t ON s.o = t.o AND s.b < t.b GROUP BY 1 HAVING count(*) >= 5"),
+    )
+    + " SELECT items, freq FROM one UNION ALL SELECT items, freq FROM two"
+)
+def order_brands_frequent(spark, sf):
+    """Set-valued transactions: brands bought together, up to pairs."""
+    line, part = spark.read.parquet(f"{sf}/lineitem.parquet"), spark.read.parquet(f"{sf}/part.parquet")
+    t = line.join(part, line["l_partkey"] == part["p_partkey"]).groupBy("l_orderkey").agg(F.collect_set("p_brand").alias("items"))
+    return mining.frequent_growth(t, 5).where(F.size("items") <= 2).select(F.array_join("items", ",").alias("items"), "freq")
+
+
+@query()
+def area_tiles(spark, sf):
+    """Ten tiles: the disjoint itemsets of largest area in greedy order."""
+    return _flat(compression.tiles(_rel(spark, sf), 10, S_CLOSED))
+
+
 def _threshold_query(reduce: str) -> None:
     def f(spark, sf):
         rel = _rel(spark, sf)

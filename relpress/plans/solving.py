@@ -440,6 +440,20 @@ def solved_summary(spark, sf):
     return metrics.solved(_runs(spark, sf)).select("method", "instances", "solved")
 
 
+@_query(
+    "SELECT 'grid' AS workload, 1 AS instances, 4 AS max_vars, (SELECT count(DISTINCT c) FROM (SELECT c0 AS c FROM w UNION ALL SELECT c1 FROM w)) AS max_values, 1 AS max_relations, (SELECT count(*) FROM w) AS max_tuples, 2 AS max_columns, 4 AS max_constraints".join((f"WITH w AS ({W.plain(W.words(2, 'es', True))}) ", ""))
+)
+def workload_characteristics(spark, sf):
+    """Sizes of the instances of a workload, here a word grid of two by two."""
+    words = W.relation(spark, sf, W.words(2, "es"))
+    scopes = word_grid(2)
+    variables = spark.createDataFrame([("grid", "g", v) for v in range(4)], "workload string, instance_id string, var int")
+    codes = words.df.select(F.explode(F.array("c0", "c1")).alias("code")).distinct()
+    domains = variables.select("instance_id", "var").crossJoin(codes)
+    constraints = spark.createDataFrame([("g", i, "w", 2) for i in range(len(scopes))], "instance_id string, cid int, rel_id string, arity int")
+    return metrics.characteristics(variables, domains, constraints, words.df.agg(F.count("*").alias("tuples")).select(F.lit("w").alias("rel_id"), "tuples"))
+
+
 @_query(
     " UNION ALL ".join(f"SELECT '{n}' AS name, count(*) AS tuples, {a} AS arity, count(*) * {a} AS cells FROM ({W.plain(q)})" for n, q, a in (("booleans_large", W.booleans_large(), 18), ("booleans_small", W.booleans_small(), 15), ("modular", W.modular(2500, 20), 7), ("words4", W.words(4, "en", True), 4), ("words8", W.words(8, None, True), 8), ("products", W.products(), 3), ("configurator", W.configurator(), 10), ("labelled", W.labelled(), 4), ("dense", W.dense(), 4), ("dense_quantity", W.dense_quantity(), 5)))
 )
