@@ -3,7 +3,8 @@
 The lattice engine counts with one CUBE (a tuple has one value per column, so every itemset is a grouping-set row); it is
 for up to a dozen columns. The level-wise form counts only grouping sets whose parents have survivors. The shard engine
 sends each tuple to the shard of every frequent item it holds and enumerates closed sets there by closure extension;
-a set is found in the shard of its rarest item only, where its whole cover is, so no global pass follows.
+a set is found in the shard of its rarest item only, where its whole cover is, so no global pass follows. A shard with
+more rows than a task should hold is split by its next item, again and again if need be.
 
 All return (items, len, freq); frequencies count tuples, ``freq >= s_min``.
 """
@@ -23,6 +24,8 @@ from ..model import Relation
 
 #: Columns up to which the cube is taken; beyond them it would multiply each tuple more than 2**12 times.
 CUBE_COLUMNS = 12
+#: Distinct rows of a shard beyond which it is split by its next item.
+SHARD_ROWS = 200_000
 FREE = f"items {ITEMS}, len int, freq bigint"
 
 
@@ -102,21 +105,22 @@ def maximal(frequent_sets: DataFrame) -> DataFrame:
     return frequent_sets.join(parents_of(frequent_sets).select("items"), "items", "left_anti")
 
 
-def _enumerate(rows: np.ndarray, weight: np.ndarray, anchor: int, s_min: int, only_maximal: bool) -> Iterator[tuple[np.ndarray, int]]:
-    """Closed (or maximal) sets of one shard. ``rows`` is tuples by items, rarest item first; ``anchor`` is the shard's item.
+def _enumerate(rows: np.ndarray, weight: np.ndarray, prefix: list[int], s_min: int, only_maximal: bool) -> Iterator[tuple[np.ndarray, int]]:
+    """Closed (or maximal) sets of one shard, whose rarest items are ``prefix``. ``rows`` is tuples by items, rarest first.
 
     Depth first without a store of what was found: a branch extends by items after the last one chosen, and is left if
     the closure brings in an item before that one that the branch did not hold, as another branch meets that set.
     """
-    start = np.flatnonzero(rows[:, anchor])
-    stack = [(start, anchor, np.zeros(rows.shape[1], bool))]
+    held = np.zeros(rows.shape[1], bool)
+    held[prefix] = True
+    stack = [(np.flatnonzero(rows[:, prefix].all(axis=1)), prefix[-1], held)]
     while stack:
         cover, core, held = stack.pop()
         sub, w = rows[cover], weight[cover]
         total = int(w.sum())
         counts = w @ sub
         closure = counts == total
-        if closure[:anchor].any() or (closure[anchor + 1 : core] & ~held[anchor + 1 : core]).any():
+        if total < s_min or (closure[:core] & ~held[:core]).any():
             continue
         more = (counts >= s_min) & ~closure
         if not (only_maximal and more.any()):
@@ -125,7 +129,9 @@ def _enumerate(rows: np.ndarray, weight: np.ndarray, anchor: int, s_min: int, on
             stack.append((cover[sub[:, j]], int(j), closure))
 
 
-def _shards(rel: Relation, s_min: int, only_maximal: bool) -> DataFrame:
+def _shards(rel: Relation, s_min: int, only_maximal: bool, most_rows: int) -> DataFrame:
+    from ..plans.staging import staged
+
     items = frequent_items(rel, s_min)
     # The order of items, rare to frequent; as many rows as the domains have values together.
     order = items.select("p", "v", F.row_number().over(Window.orderBy("freq", "p", "v")).alias("o"))
@@ -133,7 +139,7 @@ def _shards(rel: Relation, s_min: int, only_maximal: bool) -> DataFrame:
     held = tuples.join(order, (F.col("x.p") == F.col("p")) & (F.col("x.v") == F.col("v"))).groupBy(*rel.scope).agg(F.sort_array(F.collect_list(F.struct("o", "p", "v"))).alias("s"))
     # Tuples that agree on their frequent items are one row with a weight.
     rows = held.groupBy("s").agg(F.count("*").alias("w"))
-    sent = rows.select("w", F.posexplode("s").alias("at", "x"), "s").select("w", F.col("x.o").alias("shard"), "s")
+    sent = rows.select("w", F.explode("s").alias("x"), "s").select(F.array("x.o").alias("prefix"), "w", "s")
 
     def mine(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
         place: dict[int, tuple[int, int]] = {}
@@ -146,21 +152,41 @@ def _shards(rel: Relation, s_min: int, only_maximal: bool) -> DataFrame:
         rows = np.zeros((len(lists), len(names)), bool)
         for r, one in enumerate(lists):
             rows[r, [at[o] for o in one]] = True
-        found = list(_enumerate(rows, group["w"].to_numpy(np.int64), at[key[0]], s_min, only_maximal))
+        found = list(_enumerate(rows, group["w"].to_numpy(np.int64), [at[o] for o in key[0]], s_min, only_maximal))
         sets = [sorted(place[names[i]] for i in s) for s, _ in found]
         return pd.DataFrame({"items": pd.Series([[{"p": p, "v": v} for p, v in s] for s in sets], dtype=object), "len": [len(s) for s in sets], "freq": [f for _, f in found]})
 
-    return sent.groupBy("shard").applyInPandas(mine, FREE)
-
-
-def closed_shards(rel: Relation, s_min: int) -> DataFrame:
+    out = []
+    while True:
+        # A shard of more rows than a task should hold is split by its next item.
+        sizes = sent.groupBy("prefix").agg(F.count("*").alias("n"))
+        large = staged(sizes.where(F.col("n") > most_rows).select("prefix"), "large")
+        if large.isEmpty():
+            out.append(sent.groupBy("prefix").applyInPandas(mine, FREE))
+            return _union(out)
+        out.append(sent.join(large, "prefix", "left_anti").groupBy("prefix").applyInPandas(mine, FREE))
+        big = staged(sent.join(large, "prefix", "left_semi"), "split")
+        counts = staged(big.select("prefix", "w", F.explode("s").alias("x")).groupBy("prefix", "x").agg(F.sum("w").alias("f")), "counts")
+        # The prefix is a set itself where no other item goes as often with it (or, for maximal ones, often enough).
+        other = F.when(F.array_contains("prefix", F.col("x.o")), F.lit(0)).otherwise(F.col("f"))
+        own = F.filter(F.collect_list(F.when(F.array_contains("prefix", F.col("x.o")), F.struct("x.p", "x.v"))), lambda x: x.isNotNull())
+        alone = counts.groupBy("prefix").agg(F.max("f").alias("freq"), F.max(other).alias("next"), F.array_sort(own).alias("items"))
+        fits = (F.col("next") < s_min) if only_maximal else (F.col("next") < F.col("freq"))
+        out.append(alone.where(fits & (F.col("freq") >= s_min)).select("items", F.size("items").alias("len"), "freq"))
+        deeper = big.select("prefix", "w", "s", F.explode("s").alias("x")).where(F.col("x.o") > F.element_at("prefix", -1))
+        often = counts.where(F.col("f") >= s_min).select(F.col("prefix").alias("_p"), F.col("x.o").alias("_o"))
+        deeper = deeper.join(often, (F.col("prefix") == F.col("_p")) & (F.col("x.o") == F.col("_o")))
+        sent = staged(deeper.select(F.concat("prefix", F.array("x.o")).alias("prefix"), "w", "s"), "deeper")
+
+
+def closed_shards(rel: Relation, s_min: int, most_rows: int = SHARD_ROWS) -> DataFrame:
     """Closed frequent itemsets with the shard engine."""
-    return _shards(rel, s_min, False)
+    return _shards(rel, s_min, False, most_rows)
 
 
-def maximal_shards(rel: Relation, s_min: int) -> DataFrame:
+def maximal_shards(rel: Relation, s_min: int, most_rows: int = SHARD_ROWS) -> DataFrame:
     """Maximal frequent itemsets with the shard engine."""
-    return _shards(rel, s_min, True)
+    return _shards(rel, s_min, True, most_rows)
 
 
 def top(sets: DataFrame, k: int, by: Column | None = None, ties: str = "cut") -> DataFrame:

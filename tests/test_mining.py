@@ -27,12 +27,13 @@ def test_levelwise_equals_cube(spark):
 
 def test_random_relations_agree(spark):
     rng = random.Random(3)
-    for _ in range(3):
+    for _ in range(2):
         rows = list({tuple(rng.randrange(3) for _ in range(4)) for _ in range(25)})
         rel = Relation.of(spark.createDataFrame(rows, "a int, b int, c int, d int"))
         freq = brute_frequent(rows, 2)
-        assert sets_of(mining.closed_shards(rel, 2)) == brute_closed(freq)
-        assert sets_of(mining.maximal_shards(rel, 2)) == brute_maximal(freq)
+        for most_rows in (1000, 8, 3):  # whole shards, and shards split once and more
+            assert sets_of(mining.closed_shards(rel, 2, most_rows)) == brute_closed(freq)
+            assert sets_of(mining.maximal_shards(rel, 2, most_rows)) == brute_maximal(freq)
 
 
 def test_thresholds(spark):
