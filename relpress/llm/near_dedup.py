@@ -7,10 +7,12 @@ candidates, the sketch of the union estimates their likeness, and the whole sets
 Hot values (a passage that a third of all documents share, a group of thousands of near copies) would make their lists
 quadratic. Lists are therefore worked off in two passes:
 
-1. every member is compared with its list's smallest document only (linear), and links are joined to components;
+1. every member is compared with its list's smallest document only, and in a long list with the one that has least of
+   its own (both linear), and links are joined to components;
 2. what is still apart is compared: short lists (at most ``SHORT`` members) in full; long ones only between documents
    most of whose retained values are hot - any other pair of likeness 0.85 shares a value of a short list too, but for
-   a chance under 1e-6 - and never inside one component, as such a pair can join nothing.
+   a chance under 1e-6 - and never inside one component, as such a pair can join nothing, nor where shingles that one
+   document of such lists has alone already rule the likeness out.
 
 Edge cases. Null or blank texts have the empty set and link with nothing; texts under five words have one shingle, the
 whole sequence. Repeated rows of one doc_id give repeated result rows; a null doc_id is kept, linked with nothing.
@@ -112,6 +114,33 @@ def _pack(batches):
         yield pa.RecordBatch.from_arrays([b.column(0), pa.array(texts, pa.binary())], names=["rep", "body"])
 
 
+def _counted(words: int):
+    """(s, c, rep): shingles of the documents of a task with their counts, and the least document of each."""
+
+    def summed(sets: list[np.ndarray], reps: list[int]):
+        s, r = np.concatenate(sets), np.repeat(np.array(reps, np.int64), [len(x) for x in sets])
+        order = np.lexsort((r, s))
+        s, r = s[order], r[order]
+        first = np.flatnonzero(np.r_[True, s[1:] != s[:-1]]) if len(s) else np.zeros(0, np.int64)
+        return pa.RecordBatch.from_arrays([pa.array(s[first]), pa.array(np.diff(np.r_[first, len(s)])), pa.array(r[first])], names=["s", "c", "rep"])
+
+    def run(batches):
+        unpack = zstandard.ZstdDecompressor()
+        sets, reps, n = [], [], 0
+        for b in batches:
+            for rep, body in zip(b.column(0).to_pylist(), b.column(1)):
+                sets.append(shingle_set(unpack.decompress(body.as_py()).decode("utf-8", "surrogatepass"), words).view(np.int64))
+                reps.append(rep)
+                n += len(sets[-1])
+                if n > 1_000_000:
+                    yield summed(sets, reps)
+                    sets, reps, n = [], [], 0
+        if sets:
+            yield summed(sets, reps)
+
+    return run
+
+
 def _confirm(words: int, percent: int):
     def run(batches):
         unpack = zstandard.ZstdDecompressor()
@@ -155,25 +184,43 @@ def near_components(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
         full = p.join(bodies.select(F.col("rep").alias("b"), F.col("body").alias("bb")), "b").join(bodies.select(F.col("rep").alias("a"), F.col("body").alias("ab")), "a")
         return full.select("a", "b", "ab", "bb").mapInArrow(_confirm(words, percent), "a long, b long")
 
-    pivots = joined.where("pivot <> rep").select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct()
+    # Documents most of whose retained values are hot, in their long lists. Shingles that no other such document has can be
+    # in no intersection: of n values at most m = n - alone are shared, and a link needs m >= likeness * union.
+    heat = joined.groupBy("rep").agg(F.sum((F.col("df") > SHORT).cast("int")).alias("hot")).join(reps.select("rep", F.size("sketch").alias("k")), "rep")
+    hot = written(spark, heat.where(F.col("hot") >= F.greatest(F.lit(1), F.col("k") - COLD)).select("rep"), "hot")
+    crowd = bodies.join(hot, "rep", "left_semi").mapInArrow(_counted(words), "s long, c long, rep long")
+    alone = crowd.groupBy("s").agg(F.sum("c").alias("c"), F.min("rep").alias("rep")).where("c = 1").groupBy("rep").agg(F.count("*").alias("alone"))
+    long = joined.where(F.col("df") > SHORT).join(hot, "rep").join(alone, "rep", "left").withColumn("m", F.col("n") - F.coalesce("alone", F.lit(0))).drop("alone", "pivot")
+    long = written(spark, long.where(f"100 * m >= {percent} * n"), "long")
+
+    # First pass: with the smallest document of a list, and in long lists with the one that has least of its own.
+    pivots = joined.where("pivot <> rep").select(F.col("pivot").alias("a"), F.col("rep").alias("b"))
+    centre = long.groupBy("v").agg(F.min_by("rep", F.struct(1 - F.col("m") / F.col("n"), "rep")).alias("centre"))
+    pivots = pivots.unionByName(long.join(centre, "v").where("centre <> rep").select(F.col("centre").alias("a"), F.col("rep").alias("b"))).distinct()
     links = written(spark, near(pivots), "links")
     comp = connected_components(spark, links)
 
-    placed = joined.join(comp.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    placed = written(spark, placed.join(joined.groupBy("rep").agg(F.sum((F.col("df") > SHORT).cast("int")).alias("hot")), "rep").join(reps.select("rep", F.size("sketch").alias("k")), "rep"), "placed")
-    apart = placed.groupBy("v").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("v")
-    split = placed.join(apart, "v")
-    short = split.where(F.col("df") <= SHORT).select("v", "rep", "n", "component")
+    # Second pass: only between components. A pair of several long lists comes from the one of its least value.
+    comp = written(spark, comp.select(F.col("node").alias("rep"), "component"), "first_components")
+
+    def apart(rows: DataFrame) -> DataFrame:
+        placed = rows.join(comp, "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+        split = placed.groupBy("v").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("v")
+        return placed.join(split, "v")
+
+    short = apart(joined.where(F.col("df") <= SHORT).select("v", "rep", "n"))
     fits = f"100 * least(x.n, y.n) >= {percent} * greatest(x.n, y.n) and x.component <> y.component"
+    could = f"{100 + percent} * least(x.m, y.m) >= {percent} * (x.n + y.n)"
     pairs = short.alias("x").join(short.alias("y"), F.expr(f"x.v = y.v and x.rep < y.rep and {fits}")).select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
-    long = split.where((F.col("df") > SHORT) & (F.col("hot") >= F.col("k") - COLD)).select("v", "rep", "n", "component")
-    main = long.groupBy("v", "component").count().groupBy("v").agg(F.max_by("component", F.struct("count", "component")).alias("main"))
-    rest = long.join(main, "v").where("component <> main").drop("main")
-    # Both sides in one order; a pair outside the main component comes twice and is made distinct.
-    pairs = pairs.unionByName(rest.alias("x").join(long.alias("y"), F.expr(f"x.v = y.v and {fits}")).select(F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b"))).distinct()
+    split = apart(long.select("v", "rep", "n", "m"))
+    values = split.groupBy("rep").agg(F.collect_set("v").alias("vs"))  # K at most
+    split = written(spark, split.join(values, "rep"), "split")
+    main = split.groupBy("v", "component").count().groupBy("v").agg(F.max_by("component", F.struct("count", "component")).alias("main"))
+    rest = split.join(main, "v").where("component <> main").drop("main")
+    pairs = pairs.unionByName(rest.alias("x").join(split.alias("y"), F.expr(f"x.v = y.v and {fits} and {could} and x.v = array_min(array_intersect(x.vs, y.vs))")).select(F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b"))).distinct()
     all_links = written(spark, links.unionByName(near(pairs)).distinct(), "all_links")
     comp = written(spark, connected_components(spark, all_links), "components")
-    drop_written(spark, joined, lists, placed, bodies, links)
+    drop_written(spark, joined, lists, bodies, links, long, hot, split)
 
     degree = all_links.select(F.col("a").alias("rep")).unionByName(all_links.select(F.col("b").alias("rep"))).groupBy("rep").agg(F.count("*").alias("n_links"))
     by_class = reps.select("f1", "f2", "rep").join(comp.select(F.col("node").alias("rep"), "component"), "rep", "left").join(degree, "rep", "left")
@@ -186,3 +233,20 @@ def near_components(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
         F.when(real, F.col("component")).otherwise(F.col("doc_id")).alias("component_id"),
         F.when(real, F.col("n_links")).otherwise(F.lit(0)).cast("long").alias("class_links"),
     )
+
+
+def oracle(words: int = 5, percent: int = 85, table: str = "documents") -> str:
+    """DuckDB SQL for (doc_id, n_shingles, component_id, kept), for unique ids: every pair that shares a shingle is tried."""
+    upper, lower = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+    return f"""
+    WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{upper}', '{lower}'), '[^\\x20\\x09-\\x0D]+') AS ws FROM {table}),
+    cut AS (SELECT doc_id, CASE WHEN len(ws) >= {words} THEN list_transform(range(1, len(ws) - {words - 2}), lambda i: array_to_string(list_slice(ws, i, i + {words - 1}), ' '))
+      WHEN len(ws) > 0 THEN [array_to_string(ws, ' ')] ELSE [] END AS ss FROM w),
+    sh AS (SELECT doc_id, unnest(list_distinct(ss)) AS s FROM cut),
+    n AS (SELECT doc_id, len(list_distinct(ss)) AS n FROM cut),
+    pairs AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS c FROM sh a JOIN sh b ON a.s = b.s AND a.doc_id < b.doc_id GROUP BY 1, 2),
+    links AS (SELECT a, b FROM pairs JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * c >= {percent} * (x.n + y.n - c)),
+    ways AS (SELECT a, b FROM links UNION ALL SELECT b, a FROM links),
+    reach AS (SELECT doc_id AS x, doc_id AS y FROM n UNION SELECT r.x, l.b FROM reach r JOIN ways l ON l.a = r.y),
+    least AS (SELECT x, min(y) AS component_id FROM reach GROUP BY x)
+    SELECT doc_id, CAST(n AS BIGINT) AS n_shingles, component_id, doc_id = component_id AS kept FROM n JOIN least ON x = doc_id"""

@@ -13,7 +13,7 @@ from .common import documents
 
 def op9_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_dedup.near_components(spark, documents(spark, sf_dir))
-    return found.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+    return found.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
 
 
 def _id_hash(n: int):
@@ -93,4 +93,5 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 ORACLE_SQL: dict[str, str] = {
     "op3_line_dedup": f"WITH {line_dedup.oracle()} SELECT doc_id, n_lines, n_removed, n_runs, sha256(kept) AS kept_sha256 FROM line_dedup",
+    "op9_near_duplicates": near_dedup.oracle(),
 }
