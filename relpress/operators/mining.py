@@ -130,8 +130,9 @@ def _enumerate(rows: np.ndarray, weight: np.ndarray, prefix: list[int], s_min: i
 
 
 def _shards(rel: Relation, s_min: int, only_maximal: bool, most_rows: int) -> DataFrame:
-    from ..plans.staging import staged
+    from ..plans.staging import ship, staged
 
+    ship(rel.df.sparkSession)
     items = frequent_items(rel, s_min)
     # The order of items, rare to frequent; as many rows as the domains have values together.
     order = items.select("p", "v", F.row_number().over(Window.orderBy("freq", "p", "v")).alias("o"))

@@ -311,6 +311,16 @@ def greedy_cover_drop(spark, sf):
     return _flat(ranked.join(chosen.select("rank").distinct(), "rank"))
 
 
+@query()
+def selection_steps(spark, sf):
+    """What the choice costs: candidates, cover rows, and rounds (each two aggregations of the live covers)."""
+    rel = _rel(spark, sf)
+    ranked = selection.rank(compression.candidates(rel, S_CLOSED), 4)
+    covers = staged(selection.cover(ranked, rel.numbered()), "covers")
+    _, rounds = selection.greedy(ranked, covers)
+    return spark.createDataFrame([(ranked.count(), covers.count(), rounds)], "candidates bigint, cover_rows bigint, rounds int")
+
+
 @query()
 def greedy_cover_shrink(spark, sf):
     return _flat(_compressed(spark, sf, overlap="shrink").heads)

@@ -19,7 +19,7 @@ from ..model import Relation
 from ..operators import compression
 from ..sources import workloads as W
 from . import metrics
-from .staging import staged
+from .staging import ship, staged
 
 #: Tuples of all relations of a search together that may go with its tasks.
 KERNEL_TUPLES = 500_000
@@ -278,6 +278,7 @@ def search(spark: SparkSession, instances: list[tuple[str, list[int], list[tuple
     An instance is (id, domain sizes, constraints); a constraint is (number of its relation, scope). Compression of each
     relation happens once, on the cluster. 'entries' uses the area-cover form, 'entries_slices' the savings-slice form.
     """
+    ship(spark)
     total = sum(r.df.count() for r in relations)
     if total > KERNEL_TUPLES:
         raise ValueError(f"{total} tuples: more than go with a search task; use propagate and by_join")

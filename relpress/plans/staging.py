@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+import io
+import os
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -24,3 +28,27 @@ def staged(df: DataFrame, name: str = "stage") -> DataFrame:
     path = f"{shared_dir(spark)}/relpress-{uuid.uuid4().hex}/{name}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def ship(spark: SparkSession) -> None:
+    """Make this package importable in Python workers: sent through the shared folder, unless they find it by themselves.
+
+    Workers find it on PYTHONPATH, or, on a local master, in the folder they were started from.
+    """
+    sc = spark.sparkContext
+    if getattr(sc, "_relpress_shipped", False):
+        return
+    root = Path(__file__).resolve().parents[2]
+    places = [p for p in os.environ.get("PYTHONPATH", "").split(os.pathsep) if p] + ([os.getcwd()] if sc.master.startswith("local[") or sc.master == "local" else [])
+    if not any(Path(p).resolve() == root for p in places):
+        data = io.BytesIO()
+        with zipfile.ZipFile(data, "w", zipfile.ZIP_DEFLATED) as z:
+            for f in sorted((root / "relpress").rglob("*.py")):
+                z.write(f, f.relative_to(root))
+        target = f"{shared_dir(spark)}/relpress-{uuid.uuid4().hex}/relpress-package.zip"
+        path = sc._jvm.org.apache.hadoop.fs.Path(target)
+        out = path.getFileSystem(sc._jsc.hadoopConfiguration()).create(path)
+        out.write(bytearray(data.getvalue()))
+        out.close()
+        sc.addPyFile(target)
+    sc._relpress_shipped = True
