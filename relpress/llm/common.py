@@ -9,6 +9,8 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from relpress.plans.staging import ship
+
 #: Words everywhere: runs of code points other than the six ASCII blanks.
 WORD = r"[^\x20\x09-\x0D]+"
 #: Rows in one Arrow batch; texts are long, so the default of 10,000 rows is too many for a worker's memory.
@@ -23,7 +25,9 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def small_batches(spark: SparkSession) -> None:
-    """Bound Arrow batches by rows (a runtime SQL setting), so a worker holds a few MB of text at a time."""
+    """Before Python workers run: they can import this package, and Arrow batches are bounded by rows (a runtime SQL
+    setting), so that a worker holds a few MB of text at a time."""
+    ship(spark)
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
     if int(spark.conf.get(key)) > BATCH_ROWS or int(spark.conf.get(key)) <= 0:
         spark.conf.set(key, BATCH_ROWS)

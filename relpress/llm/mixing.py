@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import WORD, written
+from .common import WORD, small_batches, written
 
 #: Words left to the knapsack table after the longest spare documents have been taken; hash buckets of a (source, length).
 TABLE, BUCKETS = 4096, 1024
@@ -85,6 +85,7 @@ def fit(lengths: list[int], counts: list[int], budget: int, table: int = TABLE)
 
 def mix(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (1, 2, 3), cap: float = 3.0, seed: int = 7) -> DataFrame:
     """Per document: ``id_col``, ``source_col``, size, source_size, target (of its source), copies, taken (size * copies)."""
+    small_batches(spark)
     plain = docs.select(F.col(id_col).alias("i"), F.col(source_col).alias("s"), F.coalesce(F.size(F.regexp_extract_all(F.col(text_col), F.lit(WORD), F.lit(0))), F.lit(0)).cast("long").alias("size"))
     plain = written(spark, plain.withColumn("size", F.when(F.col("size") < 0, 0).otherwise(F.col("size"))), "sizes")
     by_length = written(spark, plain.groupBy("s", "size").agg(F.count("*").alias("n")), "lengths")
