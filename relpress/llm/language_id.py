@@ -27,6 +27,7 @@ DIM, CENTROIDS, PER_LANGUAGE, ROUNDS = 8192, 4, 1000, 12
 #: Rejected under this part of the least similarity of training texts of like length; bands of length in doublings.
 REJECT, BANDS = 0.35, 8
 _NOT_LETTER = regex.compile(r"[^\p{L}\p{M}]+")
+_LETTER = regex.compile(r"\p{L}")
 _BLOCK = 1 << 20
 
 
@@ -37,7 +38,7 @@ def gram_counts(text: str | None) -> np.ndarray | None:
     total = None
     for at in range(0, len(text), _BLOCK):
         letters = _NOT_LETTER.sub(" ", text[at : at + _BLOCK].lower()).strip()
-        if not letters:
+        if not _LETTER.search(letters):  # nothing, or marks alone
             continue
         a = np.frombuffer(f" {letters} ".encode("utf-8", "surrogatepass"), np.uint8).astype(np.uint32)
         two = a[:-1] << 8 | a[1:]
