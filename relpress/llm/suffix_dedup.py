@@ -12,8 +12,10 @@ that work on one offset serves all suffixes before it. Only suffixes that can ma
    anchor in the corpus holds no repeat and is dropped: of unique text nothing else is ever shuffled.
 2. Segments of the remaining buckets are refined by the identifiers at their later offsets. Later copies of an equal
    segment are removed whole.
-3. Where a bucket still holds unlike segments, the first of each is refined string by string to the full depth, and
-   strings with an earlier equal are removed.
+3. Where a bucket still holds unlike segments, the first of each is refined further, from the bytes around its anchor.
+   A bucket of up to ``FEW`` unlike segments compares them in pairs, which tells at once which strings are equal. A
+   larger one is refined by blocks of ``BLOCK`` neighbouring strings, and where blocks are unlike still, string by string;
+   identifiers of longer stretches before and after the anchor are built from those of shorter ones.
 
 Scale. Each step aggregates before it shuffles; text meets its (few) places twice, by document id. Nothing is collected.
 
@@ -31,7 +33,8 @@ from pyspark.sql import functions as F
 
 from .common import GOLD, drop_written, mix64, small_batches, written
 
-Q = 16
+#: Bytes of a first bucket; unlike segments of a bucket up to which they are compared in pairs; strings of a block.
+Q, FEW, BLOCK = 16, 64, 8
 _SLICE = 1 << 21
 _PLACE = np.uint64((1 << 24) - 1)
 _SEEDS = (np.uint64(0x2545F4914F6CDD1D), np.uint64(0xD6E8FEB86659FD93))
@@ -55,7 +58,7 @@ def _refined(bucket: np.ndarray, at: np.ndarray, least: int) -> np.ndarray:
 
 
 def _segments(a: np.ndarray, starts: np.ndarray, ends: np.ndarray, least: int) -> tuple[np.ndarray, ...]:
-    """(bucket, identifier, document, place, further strings) of the segments of several texts laid end to end."""
+    """(bucket, identifier, document, place, further strings, anchor's offset) of the segments of several texts laid end to end."""
     bucket = _buckets(a, _SEEDS[0])
     w = least - Q + 1
     n = len(bucket)
@@ -78,7 +81,7 @@ def _segments(a: np.ndarray, starts: np.ndarray, ends: np.ndarray, least: int) -
     doc = np.searchsorted(starts, first, side="right") - 1
     # Two texts may meet in one stretch only through a gap, as the last strings of a text are no valid places.
     seg = mix64(_refined(bucket, first, least) * GOLD + _refined(bucket, last, least) + (last - first).astype(np.uint64) * _SEEDS[1])
-    return bucket[anchor[first]], seg, doc, first - starts[doc], last - first
+    return bucket[anchor[first]], seg, doc, first - starts[doc], last - first, anchor[first] - first
 
 
 def _pieces(texts: list[bytes], least: int):
@@ -106,44 +109,134 @@ def _anchors(least: int):
             for group in _pieces([(t or "").encode("utf-8", "surrogatepass") for t in b.column(1).to_pylist()], least):
                 lengths = np.array([len(g[2]) for g in group])
                 ends = np.cumsum(lengths)
-                h, g, doc, place, more = _segments(np.frombuffer(b"".join(x[2] for x in group), np.uint8), ends - lengths, ends, least)
+                h, g, doc, place, more, off = _segments(np.frombuffer(b"".join(x[2] for x in group), np.uint8), ends - lengths, ends, least)
                 own, offset = np.array([x[0] for x in group]), np.array([x[1] for x in group], np.int64)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(h.view(np.int64)), pa.array(g.view(np.int64)), pa.array(ids[own[doc]]), pa.array((place + offset[doc]).astype(np.int64)), pa.array(more.astype(np.int32))],
-                    names=["h", "g", "i", "s", "more"],
+                    [pa.array(h.view(np.int64)), pa.array(g.view(np.int64)), pa.array(ids[own[doc]]), pa.array((place + offset[doc]).astype(np.int64) << 20 | more << 10 | off)],
+                    names=["h", "g", "i", "k"],
                 )
 
     return run
 
 
+#: What refinement needs of a segment: its strings' offsets (of the anchor at x) and the bytes on either side.
+_PARTS = "h long, i long, x long, lo int, hi int, before binary, after binary, many boolean"
+
+
+def _parts(least: int):
+    side = least - Q
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.bool_()]
+    names = ["h", "i", "x", "lo", "hi", "before", "after", "many"]
+
+    def run(batches):
+        out: list[tuple] = []
+        for b in batches:
+            for i, text, segments in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
+                data = (text or "").encode("utf-8", "surrogatepass")
+                for z in segments:
+                    x = z["s"] + z["off"]
+                    out.append((z["h"], i, x, z["off"] - z["more"], z["off"], data[max(0, x - side) : x][::-1].ljust(side, b"\0"), data[x + Q : x + Q + side].ljust(side, b"\0"), z["many"]))
+                    if len(out) >= 20_000:
+                        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=names)
+                        out = []
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=names)
+
+    return run
+
+
+def _grown(sides: np.ndarray, seed: np.uint64) -> np.ndarray:
+    """Identifiers of the first 0, 1, 2, ... bytes of every row, each from the one before."""
+    out = np.empty((sides.shape[1] + 1, len(sides)), np.uint64)
+    out[0] = seed
+    for k in range(sides.shape[1]):
+        out[k + 1] = mix64(out[k] * GOLD + sides[:, k].astype(np.uint64) + seed)
+    return out
+
+
+class _Sides:
+    """Segments of a batch (h, i, x, lo, hi, before, after) and identifiers of their stretches."""
+
+    def __init__(self, b: pa.RecordBatch, least: int):
+        self.side = least - Q
+        self.h, self.i, self.x, self.lo, self.hi = (np.asarray(b.column(c).to_numpy(zero_copy_only=False)).astype(np.int64) for c in ("h", "i", "x", "lo", "hi"))
+        before, after = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(-1, self.side) for c in ("before", "after"))
+        self.ids = [(_grown(before, seed), _grown(after, seed)) for seed in _SEEDS]
+
+    def names(self, at: np.ndarray, low: np.ndarray, high: np.ndarray) -> list[np.ndarray]:
+        """Both identifiers of the strings with the anchor at offsets low to high, of the segments ``at``."""
+        return [mix64(mix64(left[high, at] * GOLD + right[self.side - low, at]) * GOLD + self.h[at].view(np.uint64) + (low * 1024 + high).astype(np.uint64)).view(np.int64) for left, right in self.ids]
+
+
+def _blocks(least: int):
+    """(c, b, w1, w2, i, x, s, e): the blocks of strings of each segment; c names the bytes that all strings of a block share."""
+
+    def run(batches):
+        for b in batches:
+            z = _Sides(b, least)
+            for k in range((least - Q) // BLOCK + 1):
+                first, last = k * BLOCK, min(k * BLOCK + BLOCK - 1, least - Q)
+                low, high = np.maximum(z.lo, first), np.minimum(z.hi, last)
+                at = np.flatnonzero(high >= low)
+                low, high = low[at], high[at]
+                core = z.names(at, np.full(len(at), last), np.full(len(at), first))[0]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in (core, np.full(len(at), k, np.int32), *z.names(at, low, high), z.i[at], z.x[at], z.x[at] - high, z.x[at] - low + least)], names=["c", "b", "w1", "w2", "i", "x", "s", "e"])
+
+    return run
+
+
 def _strings(least: int):
-    """Both identifiers of every string of the listed segments."""
+    """(w1, w2, i, s): the strings of the listed blocks (last column) of each segment."""
 
     def run(batches):
         for b in batches:
-            for i, text, segments in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2)):
-                data = np.frombuffer((text or "").encode("utf-8", "surrogatepass"), np.uint8)
-                flat = segments.values.flatten()
-                order = np.argsort(np.asarray(flat[0]))
-                for s, more in zip(np.asarray(flat[0])[order].tolist(), np.asarray(flat[1])[order].tolist()):
-                    part = data[s : s + more + least]
-                    at = np.arange(more + 1)
-                    one, two = (_refined(_buckets(part, seed), at, least).view(np.int64) for seed in _SEEDS)
-                    yield pa.RecordBatch.from_arrays([pa.array(one), pa.array(two), pa.array(np.full(more + 1, i, np.int64)), pa.array(s + at)], names=["w1", "w2", "i", "s"])
-
-    def joined(batches):
-        """Batches of a fair size: segments are short."""
-        kept, n = [], 0
-        for b in run(batches):
-            kept.append(b)
-            n += b.num_rows
-            if n >= 100_000:
-                yield pa.Table.from_batches(kept).combine_chunks().to_batches()[0]
-                kept, n = [], 0
-        if kept:
-            yield pa.Table.from_batches(kept).combine_chunks().to_batches()[0]
-
-    return joined
+            z = _Sides(b, least)
+            listed = b.column("blocks").to_pylist()
+            at = np.array([n for n, ks in enumerate(listed) for _ in ks], np.int64)
+            first = np.array([k * BLOCK for ks in listed for k in ks], np.int64)
+            for d in range(BLOCK):
+                o = first + d
+                ok = (o >= z.lo[at]) & (o <= z.hi[at])
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in (*z.names(at[ok], o[ok], o[ok]), z.i[at[ok]], z.x[at[ok]] - o[ok])], names=["w1", "w2", "i", "s"])
+
+    return run
+
+
+def _agree(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Length of the common start of the rows."""
+    same = a == b
+    return np.where(same.all(axis=1), same.shape[1], np.argmin(same, axis=1))
+
+
+def _compared(least: int):
+    """Removed stretches (i, s, e) from the pairs of unlike segments of each bucket, the later of a pair losing."""
+    side = least - Q
+
+    def pairs(i, x, lo, hi, before, after, one, two):
+        low = np.maximum(side - _agree(after[one], after[two]), np.maximum(lo[one], lo[two]))
+        high = np.minimum(_agree(before[one], before[two]), np.minimum(hi[one], hi[two]))
+        ok = high >= low
+        at = x[two][ok]
+        return i[two][ok], at - high[ok], at - low[ok] + least
+
+    def run(batches):
+        for b in batches:
+            groups = [sorted(g, key=lambda x: (x["i"], x["x"])) for g in b.column(0).to_pylist()]
+            flat = [x for g in groups for x in g]
+            if not flat:
+                continue
+            i, x_, lo, hi = (np.array([x[c] for x in flat], np.int64) for c in ("i", "x", "lo", "hi"))
+            before, after = (np.frombuffer(b"".join(x[c] for x in flat), np.uint8).reshape(-1, side) for c in ("before", "after"))
+            size = np.array([len(g) for g in groups])
+            begin = np.cumsum(size) - size
+            shape = {n: np.triu_indices(n, 1) for n in set(size.tolist())}
+            one = np.concatenate([shape[n][0] + at for n, at in zip(size.tolist(), begin.tolist())])
+            two = np.concatenate([shape[n][1] + at for n, at in zip(size.tolist(), begin.tolist())])
+            for k in range(0, len(one), 50_000):
+                got = pairs(i, x_, lo, hi, before, after, one[k : k + 50_000], two[k : k + 50_000])
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in got], names=["i", "s", "e"])
+
+    return run
 
 
 def _cut(batches):
@@ -172,22 +265,35 @@ def _cut(batches):
 
 def dedup_substrings(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: int = 100) -> DataFrame:
     """Per document: ``id_col``, n_bytes, n_removed, n_spans (maximal removed runs) and kept (the remaining bytes)."""
-    if least < 2 * Q:
-        raise ValueError(f"least must be {2 * Q} bytes or more")
+    if not 2 * Q <= least <= 1000:
+        raise ValueError(f"least must be {2 * Q} to 1000 bytes")
     small_batches(spark)
     d = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(_FIRST)).alias("i"), F.col(text_col).cast("string").alias("t"))
-    anchors = d.mapInArrow(_anchors(least), "h long, g long, i long, s long, more int")
+    # A segment's place, further strings and anchor's offset go as one number, in the order of places.
+    anchors = d.mapInArrow(_anchors(least), "h long, g long, i long, k long")
     again = anchors.groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
     live = written(spark, anchors.join(again, "h"), "segments")
-    here = F.struct("i", "s")
-    alike = written(spark, live.groupBy("h", "g").agg(F.min(here).alias("first"), F.max("more").alias("more"), F.count("*").alias("n")), "classes")
-    whole = live.join(alike.where("n > 1").select("h", "g", "first"), ["h", "g"]).where(F.col("first") < here).select("i", "s", (F.col("s") + F.col("more") + least).alias("e"))
-    unlike = alike.groupBy("h").agg(F.count("*").alias("c")).where("c > 1").select("h")
-    todo = alike.join(unlike, "h").groupBy("first.i").agg(F.collect_list(F.struct(F.col("first.s").alias("s"), "more")).alias("segments"))
-    strings = written(spark, d.join(todo, "i").select("i", "t", "segments").mapInArrow(_strings(least), "w1 long, w2 long, i long, s long"), "strings")
-    first = strings.groupBy("w1", "w2").agg(F.min(here).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
-    single = strings.join(first, ["w1", "w2"]).where(F.col("first") < here).select("i", "s", (F.col("s") + least).alias("e"))
-    gone = written(spark, whole.unionByName(single).groupBy("i").agg(F.collect_list(F.struct("s", "e")).alias("places")), "places")
-    drop_written(spark, live, alike, strings)
+    place, more, off = F.shiftright("k", 20), F.shiftright("k", 10).bitwiseAND(F.lit(1023)).cast("int"), F.col("k").bitwiseAND(F.lit(1023)).cast("int")
+    alike = written(spark, live.groupBy("h", "g").agg(F.min(F.struct("i", "k")).alias("first"), F.count("*").alias("n")), "classes")
+    whole = live.join(alike.where("n > 1").select("h", "g", "first"), ["h", "g"]).where(F.col("first") < F.struct("i", "k")).select("i", place.alias("s"), (place + more + least).alias("e"))
+    whole = written(spark, whole.groupBy("i").agg(F.collect_list(F.struct("s", "e")).alias("places")), "whole")
+    unlike = alike.groupBy("h").agg(F.count("*").alias("c")).where("c > 1").select("h", (F.col("c") > FEW).alias("many"))
+    todo = alike.join(unlike, "h").select("h", "many", "first.i", "first.k").groupBy("i").agg(F.collect_list(F.struct(place.alias("s"), more.alias("more"), off.alias("off"), "h", "many")).alias("segments"))
+    parts = written(spark, d.join(todo, "i").select("i", "t", "segments").mapInArrow(_parts(least), _PARTS), "parts")
+    few = parts.where("NOT many").groupBy("h").agg(F.collect_list(F.struct("i", "x", "lo", "hi", "before", "after")).alias("x"))
+    few = few.select("x").mapInArrow(_compared(least), "i long, s long, e long")
+    many = parts.where("many").drop("many")
+    blocks = written(spark, many.mapInArrow(_blocks(least), "c long, b int, w1 long, w2 long, i long, x long, s long, e long"), "blocks")
+    named = written(spark, blocks.groupBy("c", "b", "w1", "w2").agg(F.min(F.struct("i", "x")).alias("first"), F.count("*").alias("n")), "block_classes")
+    later = blocks.join(named.where("n > 1").select("w1", "w2", "first"), ["w1", "w2"]).where(F.col("first") < F.struct("i", "x")).select("i", "s", "e")
+    # Strings of two blocks can be equal only where what all strings of a block share is.
+    still = named.join(named.groupBy("c", "b").agg(F.count("*").alias("m")).where("m > 1").select("c", "b"), ["c", "b"])
+    still = still.select("first.i", "first.x", "b").groupBy("i", "x").agg(F.collect_list("b").alias("blocks"))
+    strings = written(spark, many.join(still, ["i", "x"]).mapInArrow(_strings(least), "w1 long, w2 long, i long, s long"), "strings")
+    first = strings.groupBy("w1", "w2").agg(F.min(F.struct("i", "s")).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
+    single = strings.join(first, ["w1", "w2"]).where(F.col("first") < F.struct("i", "s")).select("i", "s", (F.col("s") + least).alias("e"))
+    cut = few.unionByName(later).unionByName(single).groupBy("i").agg(F.collect_list(F.struct("s", "e")).alias("places"))
+    gone = written(spark, whole.unionByName(cut).groupBy("i").agg(F.flatten(F.collect_list("places")).alias("places")), "places")
+    drop_written(spark, live, alike, parts, whole, blocks, named, strings)
     out = d.join(gone, "i", "left").select("i", "t", "places").mapInArrow(_cut, "i long, n_bytes long, n_removed long, n_spans long, kept binary")
     return out.select(F.when(F.col("i") != _FIRST, F.col("i")).alias(id_col), "n_bytes", "n_removed", "n_spans", "kept")
