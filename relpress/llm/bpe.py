@@ -27,7 +27,7 @@ from .common import small_batches
 #: The published byte-level pre-token pattern (fixed value).
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 #: Memo entries in a generation; code points of a block of a long text.
-MEMO, BLOCK = 120_000, 1 << 20
+MEMO, BLOCK = 200_000, 1 << 20
 
 
 def _byte_letters() -> dict[str, int]:
@@ -119,7 +119,7 @@ class Encoder:
         key = a << 32 | b
         found = self.fit.get(key)
         if found is None:
-            if len(self.fit) > 300_000:
+            if len(self.fit) > 500_000:
                 self.fit.clear()
             # A merge across the border happens before either neighbour is taken up; of equal ranks the left place is first.
             rank, rights = self.rank.get, self.lefts.get(b)
