@@ -9,10 +9,13 @@ quadratic. Lists are therefore worked off in two passes:
 
 1. every member is compared with its list's smallest document only, and in a long list with the one that has least of
    its own (both linear), and links are joined to components;
-2. what is still apart is compared: short lists (at most ``SHORT`` members) in full; long ones only between documents
-   most of whose retained values are hot - any other pair of likeness 0.85 shares a value of a short list too, but for
-   a chance under 1e-6 - and never inside one component, as such a pair can join nothing, nor where shingles that one
-   document of such lists has alone already rule the likeness out.
+2. what is still apart is compared: short lists (at most ``SHORT`` members) in full; long ones between documents with
+   as many hot values as the estimate asks a pair to share - a pair without a value of a short list has only hot ones
+   in common, so the estimate turns down all others - but never inside one component, as such a pair can join nothing,
+   nor where shingles that one document of such lists has alone already rule the likeness out.
+
+So only the estimate can lose a link: it asks for ``SHARED`` of the union's ``K`` smallest values, which a pair of
+likeness 0.85 misses with a chance of 1.4e-8, one of 0.8 with 9.2e-7.
 
 Edge cases. Null or blank texts have the empty set and link with nothing; texts under five words have one shingle, the
 whole sequence. Repeated rows of one doc_id give repeated result rows; a null doc_id is kept, linked with nothing.
@@ -30,8 +33,8 @@ from pyspark.sql import functions as F
 
 from .common import GOLD, connected_components, drop_written, mix64, small_batches, written
 
-#: Retained values of a sketch; members of a list worked off in full; retained values of a list that may be cold in a hot document.
-K, SHORT, COLD = 24, 64, 7
+#: Retained values of a sketch; those of K that a pair has to share; members of a list worked off in full.
+K, SHARED, SHORT = 24, 9, 64
 _BLANK = np.zeros(256, bool)
 _BLANK[[0x20, 9, 10, 11, 12, 13]] = True
 _BASE = 0x5851F42D4C957F2D
@@ -178,16 +181,16 @@ def near_components(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
         one = reps.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("sketch").alias("sa"))
         two = reps.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("sketch").alias("sb"))
         p = pairs.join(one, "a").join(two, "b").where(f"100 * least(na, nb) >= {percent} * greatest(na, nb)")
-        # The union's K smallest values are among both sketches'; of them a pair of likeness 0.85 shares 9 in 24 but for a chance of 1e-8.
+        # The union's K smallest values are among both sketches'.
         p = p.withColumn("u", F.slice(F.array_sort(F.array_union("sa", "sb")), 1, K))
-        p = p.where(8 * F.size(F.array_intersect("u", F.array_intersect("sa", "sb"))) >= 3 * F.size("u")).select("a", "b")
+        p = p.where(K * F.size(F.array_intersect("u", F.array_intersect("sa", "sb"))) >= SHARED * F.size("u")).select("a", "b")
         full = p.join(bodies.select(F.col("rep").alias("b"), F.col("body").alias("bb")), "b").join(bodies.select(F.col("rep").alias("a"), F.col("body").alias("ab")), "a")
         return full.select("a", "b", "ab", "bb").mapInArrow(_confirm(words, percent), "a long, b long")
 
-    # Documents most of whose retained values are hot, in their long lists. Shingles that no other such document has can be
-    # in no intersection: of n values at most m = n - alone are shared, and a link needs m >= likeness * union.
+    # Documents whose hot values alone can pass the estimate, in their long lists. Shingles that no other such document has
+    # can be in no intersection: of n values at most m = n - alone are shared, and a link needs m >= likeness * union.
     heat = joined.groupBy("rep").agg(F.sum((F.col("df") > SHORT).cast("int")).alias("hot")).join(reps.select("rep", F.size("sketch").alias("k")), "rep")
-    hot = written(spark, heat.where(F.col("hot") >= F.greatest(F.lit(1), F.col("k") - COLD)).select("rep"), "hot")
+    hot = written(spark, heat.where((F.col("hot") > 0) & (K * F.col("hot") >= SHARED * F.col("k"))).select("rep"), "hot")
     crowd = bodies.join(hot, "rep", "left_semi").mapInArrow(_counted(words), "s long, c long, rep long")
     alone = crowd.groupBy("s").agg(F.sum("c").alias("c"), F.min("rep").alias("rep")).where("c = 1").groupBy("rep").agg(F.count("*").alias("alone"))
     long = joined.where(F.col("df") > SHORT).join(hot, "rep").join(alone, "rep", "left").withColumn("m", F.col("n") - F.coalesce("alone", F.lit(0))).drop("alone", "pivot")

@@ -339,6 +339,17 @@ def test_near_components(spark, docs, monkeypatch, short):
         assert {i: (r["n_shingles"], r["component_id"]) for i, r in got.items()} == brute_near(family, percent)
 
 
+def test_near_own_text(spark):
+    """A text that all have, and as much of their own as the likeness allows: most of what a document keeps may be cold."""
+    base = ["w%d" % i for i in range(204)]
+    family = [(5 * i + 1, " ".join([*base, *("o%d_%d" % (i, k) for k in range(34))])) for i in range(240)]
+    family.append((600, " ".join(base)))
+    got = by_id(near_dedup.near_components(spark, table(spark, family)))
+    want = brute_near(family, 85)
+    assert {c for _, c in want.values()} == {1}
+    assert {i: (r["n_shingles"], r["component_id"]) for i, r in got.items()} == want
+
+
 def test_near_edges(spark, empty):
     assert near_dedup.near_components(spark, empty).count() == 0
     d = table(spark, [(None, "a b c d e f g"), (4, "a b c d e f g"), (6, None), (8, "")])
