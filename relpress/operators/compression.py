@@ -49,8 +49,22 @@ def candidates(rel: Relation, s_min: int, kind: str = "maximal") -> DataFrame:
 
 
 def support_threshold(rel: Relation, k: float | int, reduce: str = "mean") -> int:
-    """The threshold from the k most frequent closed sets (k a count, or a share of the tuples)."""
-    return mining.threshold(candidates(rel, 2, "closed"), mining.count_of(k, rel.df.count()), reduce)
+    """The threshold from the k most frequent closed sets (k a count, or a share of the tuples).
+
+    Wide relations have too many closed sets at threshold 2: theirs are mined at falling thresholds until there are k,
+    which are the same k.
+    """
+    n = rel.df.count()
+    most = mining.count_of(k, n)
+    s_min = 2 if rel.arity <= mining.CUBE_COLUMNS else max(2, n // 4)
+    sets = candidates(rel, s_min, "closed")
+    while s_min > 2:
+        sets = staged(sets, "closed")
+        if sets.count() >= most:
+            break
+        s_min = max(2, s_min // 2)
+        sets = candidates(rel, s_min, "closed")
+    return mining.threshold(sets, most, reduce)
 
 
 def area_cover(rel: Relation, k: float | int = 0.4, reduce: str = "mean", overlap: str = "drop", s_min: int | None = None, kind: str = "maximal", objective: str = "area") -> CompressedRelation:
