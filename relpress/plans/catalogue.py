@@ -7,6 +7,7 @@ from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from ..functions.itemsets import as_items, saving, spread
@@ -547,11 +548,31 @@ def events_assignment(spark, sf):
     return streams.default_share(streams.assign(rows, c))
 
 
-# The seven-column relations, and the parameters' directions.
+# The seven-column relations, and the parameters' directions. The walk of the SQL oracle is slow: it has 1,000 tuples of one slice.
 
 _report_query("modular_report", _with(*_auto(0.2, "mean", 7, W.modular(1000, 20)), recursive=True) + " " + _report_sql(7), lambda spark, sf: compression.area_cover(_rel(spark, sf, W.modular(1000, 20)), 0.2, "mean"))
 
 
+MODULAR_SLICES, MODULAR_SIZES = 20, (2500, 5000, 7500, 10000)
+
+
+@query()
+def modular_workloads_report(spark, sf):
+    """Every slice of the seven-column relations at the workloads' sizes (W3-W6): one row of measures for each slice and size.
+
+    A slice that a size does not cut is the same relation at all larger sizes, and is compressed once.
+    """
+    out, schema = [], None
+    for which in range(MODULAR_SLICES):
+        row = None
+        for size in MODULAR_SIZES:
+            if row is None or row["tuples"] == last:
+                report = compression.area_cover(_rel(spark, sf, W.modular(size, MODULAR_SLICES, which)), 0.2, "mean").report()
+                row, last, schema = report.first(), size, report.schema
+            out.append((which, size, *row))
+    return spark.createDataFrame(out, T.StructType([T.StructField("slice", T.IntegerType()), T.StructField("size", T.IntegerType()), *schema]))
+
+
 @query()
 def words_compared(spark, sf):
     """Area-cover against the four readings of the itemset baselines on four-letter words: one row of measures each."""

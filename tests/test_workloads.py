@@ -51,3 +51,13 @@ def test_booleans_report_takes_the_automatic_threshold(spark, tmp_path):
     best = freqs[: math.ceil(0.2 * len(rows))]
     want = compression.area_cover(rel, s_min=math.ceil(sum(best) / len(best))).report().collect()
     assert catalogue.QUERIES["booleans_report"](spark, str(tmp_path)).collect() == want
+
+
+def test_modular_workloads_report_has_every_slice_and_size(spark, monkeypatch):
+    monkeypatch.setattr(catalogue, "MODULAR_SLICES", 2)
+    monkeypatch.setattr(catalogue, "MODULAR_SIZES", (100, 5000, 7500))
+    got = {(r["slice"], r["size"]): r for r in catalogue.QUERIES["modular_workloads_report"](spark, DATA).collect()}
+    want = {(i, n): workloads.relation(spark, DATA, workloads.modular(n, 2, i)).df.count() for i in (0, 1) for n in (100, 5000, 7500)}
+    assert {k: r["tuples"] for k, r in got.items()} == want and want[0, 100] == 100 and want[0, 5000] == want[0, 7500] > 1000
+    alone = compression.area_cover(workloads.relation(spark, DATA, workloads.modular(5000, 2, 1)), 0.2, "mean").report().first()
+    assert tuple(got[1, 7500])[2:] == tuple(alone)
