@@ -240,10 +240,20 @@ def topk_area(spark, sf):
     + " SELECT items, freq FROM one UNION ALL SELECT items, freq FROM two"
 )
 def order_brands_frequent(spark, sf):
-    """Set-valued transactions: brands bought together, up to pairs."""
+    """Set-valued transactions: brands bought together, up to pairs, as the SQL oracle's join has them."""
+    return _brand_sets(spark, sf).where(F.size("items") <= 2).select(F.array_join("items", ",").alias("items"), "freq")
+
+
+@query()
+def order_brands_frequent_all(spark, sf):
+    """Brands bought together, sets of every length."""
+    return _brand_sets(spark, sf).select(F.array_join("items", ",").alias("items"), F.size("items").alias("len"), "freq")
+
+
+def _brand_sets(spark: SparkSession, sf: str) -> DataFrame:
     line, part = spark.read.parquet(f"{sf}/lineitem.parquet"), spark.read.parquet(f"{sf}/part.parquet")
     t = line.join(part, line["l_partkey"] == part["p_partkey"]).groupBy("l_orderkey").agg(F.collect_set("p_brand").alias("items"))
-    return mining.frequent_growth(t, 5).where(F.size("items") <= 2).select(F.array_join("items", ",").alias("items"), "freq")
+    return mining.frequent_growth(t, 5)
 
 
 @query()
