@@ -13,20 +13,29 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's checkpoint folder; one of our own only where none is set."""
+    """The session's checkpoint folder; one of our own only where none is set and all tasks run on this machine."""
     sc = spark.sparkContext
     found = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not found:
+        if not (sc.master == "local" or sc.master.startswith("local[")):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="relpress-"))
         found = sc.getCheckpointDir()
     return found.rstrip("/")
 
 
+def drop_at_exit(spark: SparkSession, path: str) -> None:
+    """Delete a written intermediate when the session's JVM ends, unless it is deleted before."""
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(p.getParent())
+
+
 def staged(df: DataFrame, name: str = "stage") -> DataFrame:
     """Write ``df`` and read it back."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/relpress-{uuid.uuid4().hex}/{name}"
     df.write.parquet(path)
+    drop_at_exit(spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
 
