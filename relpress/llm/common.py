@@ -2,19 +2,20 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relpress.plans.staging import ship
+from relpress.plans.staging import drop_at_exit, shared_dir, ship
 
 #: Words everywhere: runs of code points other than the six ASCII blanks.
 WORD = r"[^\x20\x09-\x0D]+"
 #: Rows in one Arrow batch; texts are long, so the default of 10,000 rows is too many for a worker's memory.
 BATCH_ROWS = 512
+#: Most keys of a join that are broadcast for being hot.
+HOT_KEYS = 4096
 
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 GOLD = np.uint64(0x9E3779B97F4A7C15)
@@ -33,14 +34,17 @@ def small_batches(spark: SparkSession) -> None:
         spark.conf.set(key, BATCH_ROWS)
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: the session's checkpoint folder, or one of our own where none is set (tests)."""
-    sc = spark.sparkContext
-    found = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
-    if not found:
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="relpress-"))
-        found = sc.getCheckpointDir()
-    return found.rstrip("/")
+def col(name: str) -> Column:
+    """A column by its plain name, whatever characters that has."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
+def free_name(docs: DataFrame, name: str) -> str:
+    """``name``, with underscores in front until no column of ``docs`` is called so."""
+    taken = {c.lower() for c in docs.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
 
 
 def written(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
@@ -54,11 +58,28 @@ def written(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
         df.write.parquet(path)
     finally:
         spark.conf.set(key, before)
+    drop_at_exit(spark, path)
     out = spark.read.schema(df.schema).parquet(path)
     out._relpress_path = path
     return out
 
 
+def hot_join(rows: DataFrame, classes: DataFrame, by: list[str], count: str) -> DataFrame:
+    """``rows`` joined to ``classes`` (written; one row a key, ``count`` of its rows) on ``by``, split by how often keys stand.
+
+    A key of more than one row in ``HOT_KEYS`` (and more than a thousand) is hot; by that definition there are at most
+    ``HOT_KEYS`` of them, whatever the size of the input. Their classes are broadcast, so that their rows stay where they
+    are; the others meet in a shuffle, in which no key can be a large part of a task's rows.
+    """
+    every, most = classes.agg(F.sum(count), F.max(count)).first()
+    limit = max((every or 0) // HOT_KEYS, 1000)
+    if (most or 0) <= limit:
+        return rows.join(classes, by)
+    hot = F.broadcast(classes.where(F.col(count) > limit))
+    cold = rows.join(F.broadcast(classes.where(F.col(count) > limit).select(*by)), by, "left_anti").join(classes.where(F.col(count) <= limit), by)
+    return rows.join(hot, by).unionByName(cold)
+
+
 def drop_written(spark: SparkSession, *tables: DataFrame) -> None:
     """Delete intermediates that no later plan reads."""
     jvm = spark.sparkContext._jvm
@@ -75,31 +96,31 @@ def mix64(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(31))
 
 
-def connected_components(spark: SparkSession, edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def connected_components(spark: SparkSession, edges: DataFrame) -> DataFrame:
     """(node, component) of an undirected edge table (a, b); component is its smallest node.
 
-    Alternating large-star and small-star contractions; every step aggregates before it shuffles and joins the
-    minimum back, so a centre with millions of neighbours is never gathered in one task. Empty in, empty out.
+    Alternating large-star and small-star contractions until nothing changes; every step aggregates before it shuffles
+    and joins the minimum back, that of a hub by broadcast, so a centre with millions of neighbours is never gathered in
+    one task. Empty in, empty out.
     """
     e = written(spark, edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "cc")
     before = None
-    for _ in range(max_rounds):
+    while True:
         both = e.select("u", "v").union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
+        low = written(spark, both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"), F.count("*").alias("n")), "cc_low")
+        large = hot_join(both, low, ["u"], "n").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
         large = large.unionByName(low.where("u <> m").select("u", F.col("m").alias("v")))
+        # A node's minimum after the large step is found among few rows, as most neighbours have gone to their centre.
         low2 = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low2, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").unionByName(low2.select("u", F.col("m").alias("v")))
         small = small.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
         new = written(spark, small, "cc")
-        drop_written(spark, e)
+        drop_written(spark, e, low)
         e = new
         now = tuple(e.agg(F.count("*"), F.sum(F.hash("u", "v").cast("long")), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if now == before:
             break
         before = now
-    else:
-        raise RuntimeError("components did not settle")
     return e.groupBy("u").agg(F.min("v").alias("component")).withColumnRenamed("u", "node").unionByName(
         e.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
     )

@@ -2,31 +2,37 @@
 
 Method. Sources in code-point order (null last) weigh 1, 2, 3, repeating; they share the words of the corpus by weight,
 stopping at ``cap`` times what they hold, the excess being shared again. A target is met by whole repeats of the source
-and a rest. For the rest, documents are counted by exact length; every length first gives its even share (rounded
-down), then the longest spare documents fill up to a small remainder, and a bounded-knapsack table over the spare
-counts of each length fits that exactly, or as nearly as the lengths allow. Of each length, as many documents as were
-counted are chosen in the order of a seeded hash.
-
-Scale. Only (source, length) counts leave the scan: one row per distinct length of a source. Choice within a hot
-(source, length) goes by hash bucket, so only the bucket where the count runs out is ordered.
-
-Edge cases. Null or blank texts have size 0 and are taken 0 words; a source of only such texts has target 0. Repeated
-rows are separate documents (equal ones may differ in being chosen; which is chosen does not change any sum). An empty
-table gives an empty mix.
+and a rest, its budget. For the rest, documents are counted by exact length, and a bounded-knapsack table over the counts
+of all lengths finds the greatest sum within the budget. A budget of up to ``TABLE`` units is fitted as well as the lengths
+allow; of a larger one, all but ``TABLE`` units are first given by an even share of every length, and the table decides
+the rest with the counts that are left (exact wherever some choice of these meets the budget, which a few different
+lengths suffice for). Of each length, as many documents as were counted are chosen in the order of a seeded hash.
+
+Scale. Only (source, length) counts leave the scan: one row per distinct length of a source, however many documents; the
+table takes 5 bytes for each of its bits. Choice within a hot (source, length) goes by hash bucket, so only the bucket
+where the count runs out is ordered. The driver sees one row per source, which is what a mix is specified by.
+
+Edge cases. Null or blank texts have size 0 and are taken 0 words; a source of only such texts has target 0. A very long
+text is one document of a great length; it is never cut. Repeated rows are separate documents (equal ones may differ in
+being chosen; which is chosen does not change any sum). An empty table gives an empty mix. Only the id, text and source
+columns are read, so further columns may have any names.
 """
 
 from __future__ import annotations
 
+import math
+
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import WORD, small_batches, written
+from .common import WORD, col, small_batches, written
 
-#: Words left to the knapsack table after the longest spare documents have been taken; hash buckets of a (source, length).
-TABLE, BUCKETS = 4096, 1024
+#: Units of the knapsack table at least; hash buckets of a (source, length).
+TABLE, BUCKETS = 1 << 23, 1024
 
 
 def shares(held: list[tuple[str | None, int]], weights: tuple[float, ...] = (1, 2, 3), cap: float = 3.0) -> dict[str | None, float]:
@@ -48,45 +54,57 @@ def shares(held: list[tuple[str | None, int]], weights: tuple[float, ...] = (1,
 
 
 def fit(lengths: list[int], counts: list[int], budget: int, table: int = TABLE) -> list[int]:
-    """How many documents of each length to take so that their lengths sum to ``budget``, or to just under it."""
+    """How many documents of each length to take so that their lengths sum to ``budget``, or to just under it.
+
+    The table has a bit for every sum up to ``table`` units (the lengths' common divisor; four times the greatest length if
+    that is more) and decides over all counts at once. A budget beyond it first takes an even share of every length, one
+    ``table`` short of the budget, and leaves the rest of the counts to the table.
+    """
     held = sum(a * b for a, b in zip(lengths, counts))
     if budget >= held:
         return list(counts)
-    take = [n * budget // held for n in counts]
-    left = budget - sum(a * b for a, b in zip(lengths, take))
-    order = sorted(range(len(lengths)), key=lambda i: -lengths[i])
-    for i in order:
-        n = min(counts[i] - take[i], max(0, left - table) // lengths[i]) if lengths[i] else 0
-        take[i] += n
-        left -= n * lengths[i]
-    if left > 64 * table:  # too few short documents are spare for a small remainder
-        for i in order:
-            n = min(counts[i] - take[i], left // lengths[i]) if lengths[i] else 0
+    order = sorted((i for i in range(len(lengths)) if lengths[i] > 0 and counts[i] > 0), key=lambda i: -lengths[i])
+    take = [0 if lengths[i] > 0 else counts[i] for i in range(len(lengths))]
+    if not order or budget <= 0:
+        return take
+    unit = math.gcd(*[lengths[i] for i in order])
+    even, left, passed = max(0, budget - max(table * unit, 4 * lengths[order[0]])), budget, 0
+    if even:
+        for i in order:  # what one length can't give of its share passes on to the next
+            passed += counts[i] * lengths[i]
+            n = min(counts[i], (passed * even // held - (budget - left)) // lengths[i])
             take[i] += n
             left -= n * lengths[i]
-        return take
-    # Reachable sums as bits; counts enter in powers of two and a rest, so each piece is used at most once.
-    reach, steps = 1, []
+    # Counts enter in powers of two and a rest, so each piece is used at most once. ``by`` has the piece that reached a sum
+    # first: what is left without that piece was reached by earlier ones.
+    top = left // unit
+    whole, reach, pieces = (1 << (top + 1)) - 1, 1, []
+    by = np.zeros(top + 1, np.int32)
     for i in order:
-        spare = min(counts[i] - take[i], left // lengths[i]) if lengths[i] else 0
-        piece = 1
-        while spare > 0 and not reach >> left & 1:
+        spare, piece = min(counts[i] - take[i], left // lengths[i]), 1
+        while spare > 0 and not reach >> top & 1:
             n = min(piece, spare)
-            steps.append((i, n, reach))
-            reach |= reach << (n * lengths[i]) & ((1 << (left + 1)) - 1)
+            new = reach << (n * lengths[i] // unit) & whole & ~reach
+            if new:
+                pieces.append((i, n))
+                packed = np.frombuffer(new.to_bytes(top // 8 + 1, "little"), np.uint8)
+                some = np.flatnonzero(packed)
+                bits = np.flatnonzero(np.unpackbits(packed[some], bitorder="little"))
+                by[some[bits >> 3] * 8 + (bits & 7)] = len(pieces)
+                reach |= new
             spare, piece = spare - n, piece * 2
     at = reach.bit_length() - 1
-    for i, n, before in reversed(steps):
-        if not before >> at & 1:
-            take[i] += n
-            at -= n * lengths[i]
+    while at:
+        i, n = pieces[by[at] - 1]
+        take[i] += n
+        at -= n * lengths[i] // unit
     return take
 
 
 def mix(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (1, 2, 3), cap: float = 3.0, seed: int = 7) -> DataFrame:
     """Per document: ``id_col``, ``source_col``, size, source_size, target (of its source), copies, taken (size * copies)."""
     small_batches(spark)
-    plain = docs.select(F.col(id_col).alias("i"), F.col(source_col).alias("s"), F.coalesce(F.size(F.regexp_extract_all(F.col(text_col), F.lit(WORD), F.lit(0))), F.lit(0)).cast("long").alias("size"))
+    plain = docs.select(col(id_col).alias("i"), col(source_col).alias("s"), F.coalesce(F.size(F.regexp_extract_all(col(text_col).cast("string"), F.lit(WORD), F.lit(0))), F.lit(0)).cast("long").alias("size"))
     plain = written(spark, plain.withColumn("size", F.when(F.col("size") < 0, 0).otherwise(F.col("size"))), "sizes")
     by_length = written(spark, plain.groupBy("s", "size").agg(F.count("*").alias("n")), "lengths")
     # One row per source: the list of sources is what the mix is specified by, and is small.

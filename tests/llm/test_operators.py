@@ -95,18 +95,18 @@ def brute_lines(rows, least):
         ls, seq = seqs[i]
         gone = set()
         for q in range(len(seq)):
+            new = []
             for n in range(1, len(seq) - q + 1):
-                if sum(w for *_, w in seq[q : q + n]) >= least:
-                    key = tuple(x for _, x, _ in seq[q : q + n])
-                    if key in seen:
-                        gone |= {seq[k][0] for k in range(q, q + n)}
-                    seen.add(key)
-                    break
+                key = tuple(x for _, x, _ in seq[q : q + n])
+                if key in seen and sum(w for *_, w in seq[q : q + n]) >= least:
+                    gone |= {seq[k][0] for k in range(q, q + n)}
+                new.append(key)
+            seen.update(new)
         out[i] = "\n".join(x for k, x in enumerate(ls) if k not in gone)
     return out
 
 
-@pytest.mark.parametrize("least", [1, 5, 12, 40])
+@pytest.mark.parametrize("least", [5, 12])
 def test_line_runs(spark, docs, least):
     got = by_id(line_dedup.dedup_lines(spark, docs, min_words=least))
     want = brute_lines(numbered(), least)
@@ -120,6 +120,34 @@ def test_line_edges(spark, empty):
     assert got == {(None, "one two three four five six", 0), (5, "", 1)}
 
 
+def test_line_tail(spark):
+    """A short line at the end of a copied run goes with it, however the words are dealt."""
+    d = table(spark, [(1, "a b c d e\nf\ng\nh x"), (2, "a b c d e\nf\ng\ny z"), (3, "q\nq\nq\nq\nq\nq\nq\nq\nq")])
+    got = by_id(line_dedup.dedup_lines(spark, d))
+    assert got[2]["text"] == "y z" and got[2]["n_removed"] == 3 and got[3]["text"] == "q" and got[3]["n_runs"] == 1
+
+
+@pytest.mark.parametrize("hot", [1, 4096])
+def test_line_long_copies(spark, monkeypatch, hot):
+    """Runs of many lines, over several doublings, with hot lines sent by broadcast and without."""
+    from relpress.llm import common
+
+    monkeypatch.setattr(common, "HOT_KEYS", hot)
+    text = [f"line {k % 37} of {k // 3}" for k in range(60)]
+    rows = [(1, "\n".join(text)), (2, "\n".join(["own", *text[10:55], "end", *text[:9]])), (3, "\n".join(["the same few words here"] * 70)), (4, "\n".join(text))]
+    got = by_id(line_dedup.dedup_lines(spark, table(spark, rows)))
+    assert {i: r["text"] for i, r in got.items()} == brute_lines(rows[:2] + rows[3:], 5) | {3: "the same few words here"}
+
+
+def test_line_names(spark):
+    """Columns of the names that the operator uses itself come back as they were."""
+    rows = [(k, "one two three four five six", *"abcdefgh") for k in (1, 2)]
+    names = ["_t", "_i", "_h", "_gone", "n_lines", "n_removed", "row", "i"]
+    d = spark.createDataFrame(rows, ["doc_id", "text", *names])
+    got = by_id(line_dedup.dedup_lines(spark, d))
+    assert [got[2][c] for c in names] == list("abcdefgh") and got[2]["text"] == "" and got[2]["_n_removed"] == 1 and got[1]["n_runs"] == 0
+
+
 # Secrets
 
 
@@ -253,7 +281,25 @@ def test_shares():
     assert mixing.shares([]) == {} and mixing.shares([("a", 0)]) == {"a": 0.0}
 
 
-def test_fit_is_exact_where_it_can_be():
+@pytest.mark.parametrize(
+    ("lengths", "counts", "budget", "gap"),
+    [
+        ([300001, 300007], [40, 40], 3_000_037, 3),
+        ([19000, 20000, 17001, 18503], [60, 50, 70, 30], 1_500_013, 0),
+        ([19000, 20000, 17001, 18503], [60, 50, 70, 30], 900_011, 0),
+        ([19000, 20000, 17001, 18503], [60, 50, 70, 30], 2_000_003, 0),
+        ([7001, 9013, 12007, 15511, 19999], [9, 8, 7, 6, 5], 200_003, 321),
+        ([7000, 6000, 5100, 4900], [1, 1, 1, 1], 16_000, 0),
+        ([0, 7, 11], [5, 10**9, 10**9], 10**10 + 3, 0),
+        ([1000], [10**6], 10**9 - 5, 995),
+    ],
+)
+def test_fit_of_long_documents(lengths, counts, budget, gap):
+    took = mixing.fit(lengths, counts, budget)
+    assert all(0 <= t <= c for t, c in zip(took, counts)) and budget - sum(a * b for a, b in zip(lengths, took)) == gap
+
+
+def test_fit_is_exact():
     import itertools
     import random
 
@@ -264,12 +310,11 @@ def test_fit_is_exact_where_it_can_be():
         held = sum(a * b for a, b in zip(lengths, counts))
         budget = rng.randint(0, held) if held else 0
         took = mixing.fit(lengths, counts, budget)
-        assert all(0 <= t <= c for t, c in zip(took, counts)) and sum(a * b for a, b in zip(lengths, took)) <= budget
-        if budget < held:  # nothing fits into what is left
-            rest = [c - t for c, t in zip(counts, took)]
-            left = budget - sum(a * b for a, b in zip(lengths, took))
-            best = max((s for k in itertools.product(*[range(r + 1) for r in rest]) if (s := sum(a * b for a, b in zip(lengths, k))) <= left), default=0)
-            assert best == 0
+        best = max(s for k in itertools.product(*[range(c + 1) for c in counts]) if (s := sum(a * b for a, b in zip(lengths, k))) <= budget)
+        assert all(0 <= t <= c for t, c in zip(took, counts)) and sum(a * b for a, b in zip(lengths, took)) == best
+        # A table that the budget does not fit into loses less than the longest document, and never goes over.
+        some = sum(a * b for a, b in zip(lengths, mixing.fit(lengths, counts, budget, 8)))
+        assert some <= budget and budget - some < max(lengths)
 
 
 def test_mix(spark, docs, empty):
