@@ -32,7 +32,7 @@ from pyspark.sql.window import Window
 from .common import WORD, col, small_batches, written
 
 #: Units of the knapsack table at least; hash buckets of a (source, length).
-TABLE, BUCKETS = 1 << 23, 1024
+TABLE, BUCKETS = 1 << 22, 1024
 
 
 def shares(held: list[tuple[str | None, int]], weights: tuple[float, ...] = (1, 2, 3), cap: float = 3.0) -> dict[str | None, float]:
@@ -75,24 +75,27 @@ def fit(lengths: list[int], counts: list[int], budget: int, table: int = TABLE)
             n = min(counts[i], (passed * even // held - (budget - left)) // lengths[i])
             take[i] += n
             left -= n * lengths[i]
-    # Counts enter in powers of two and a rest, so each piece is used at most once. ``by`` has the piece that reached a sum
-    # first: what is left without that piece was reached by earlier ones.
+    # Counts enter in powers of two and a rest, so each piece is used at most once; heavy pieces first, as they reach far
+    # soon. ``by`` has the piece that reached a sum first: what is left without that piece was reached by earlier ones.
     top = left // unit
     whole, reach, pieces = (1 << (top + 1)) - 1, 1, []
     by = np.zeros(top + 1, np.int32)
     for i in order:
         spare, piece = min(counts[i] - take[i], left // lengths[i]), 1
-        while spare > 0 and not reach >> top & 1:
-            n = min(piece, spare)
-            new = reach << (n * lengths[i] // unit) & whole & ~reach
-            if new:
-                pieces.append((i, n))
-                packed = np.frombuffer(new.to_bytes(top // 8 + 1, "little"), np.uint8)
-                some = np.flatnonzero(packed)
-                bits = np.flatnonzero(np.unpackbits(packed[some], bitorder="little"))
-                by[some[bits >> 3] * 8 + (bits & 7)] = len(pieces)
-                reach |= new
-            spare, piece = spare - n, piece * 2
+        while spare > 0:
+            pieces.append((i, min(piece, spare)))
+            spare, piece = spare - pieces[-1][1], piece * 2
+    pieces.sort(key=lambda x: (-x[1] * lengths[x[0]], x))
+    for at, (i, n) in enumerate(pieces, 1):
+        if reach >> top & 1:
+            break
+        new = reach << (n * lengths[i] // unit) & whole & ~reach
+        if new:
+            packed = np.frombuffer(new.to_bytes(top // 8 + 1, "little"), np.uint8)
+            some = np.flatnonzero(packed)
+            bits = np.flatnonzero(np.unpackbits(packed[some], bitorder="little"))
+            by[some[bits >> 3] * 8 + (bits & 7)] = at
+            reach |= new
     at = reach.bit_length() - 1
     while at:
         i, n = pieces[by[at] - 1]
