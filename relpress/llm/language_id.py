@@ -31,24 +31,39 @@ _LETTER = regex.compile(r"\p{L}")
 _BLOCK = 1 << 20
 
 
+def _blocks(text: str):
+    """The text in blocks that end before a character that is no letter, so that no word is cut."""
+    at = 0
+    while at < len(text):
+        gap = _NOT_LETTER.search(text, min(len(text), at + _BLOCK))
+        end = gap.start() if gap else len(text)
+        yield text[at : max(end, at + 1)]
+        at = max(end, at + 1)
+
+
+def _counted(before: bytes, more: bytes) -> np.ndarray:
+    """Hashed counts of the grams that end in ``more``, with the two bytes before it."""
+    a = np.frombuffer(before + more, np.uint8).astype(np.uint32)
+    k = len(before)
+    two = a[:-1] << 8 | a[1:]
+    three = two[:-1] << 8 | a[2:]
+    # 1-grams keep a place of their own; longer ones are spread over the rest by a multiplicative hash.
+    spread = np.concatenate([two[max(0, k - 1) :] * np.uint32(2654435761), (three[max(0, k - 2) :] + np.uint32(0x5000000)) * np.uint32(2246822519)]) >> np.uint32(8)
+    return np.bincount(np.concatenate([a[k:], 256 + spread % np.uint32(DIM - 256)]), minlength=DIM)
+
+
 def gram_counts(text: str | None) -> np.ndarray | None:
     """Hashed counts of byte 1- to 3-grams over the letters of a whole text; None if it has no letter."""
-    if not text:
+    if not text or not _LETTER.search(text):
         return None
-    total = None
-    for at in range(0, len(text), _BLOCK):
-        letters = _NOT_LETTER.sub(" ", text[at : at + _BLOCK].lower()).strip()
-        if not _LETTER.search(letters):  # nothing, or marks alone
-            continue
-        a = np.frombuffer(f" {letters} ".encode("utf-8", "surrogatepass"), np.uint8).astype(np.uint32)
-        two = a[:-1] << 8 | a[1:]
-        three = two[:-1] << 8 | a[2:]
-        # 1-grams keep a place of their own; longer ones are spread over the rest by a multiplicative hash.
-        spread = np.concatenate([two * np.uint32(2654435761), (three + np.uint32(0x5000000)) * np.uint32(2246822519)]) >> np.uint32(8)
-        bucket = np.concatenate([a, 256 + spread % np.uint32(DIM - 256)])
-        n = np.bincount(bucket, minlength=DIM)
-        total = n if total is None else total + n
-    return total
+    total, before = np.zeros(DIM, np.int64), b""
+    for block in _blocks(text):
+        letters = _NOT_LETTER.sub(" ", block.lower()).strip()
+        if letters:
+            more = f" {letters}".encode("utf-8", "surrogatepass")
+            total += _counted(before, more)
+            before = (before + more)[-2:]
+    return total + _counted(before, b" ")
 
 
 def _vector(counts: np.ndarray, idf: np.ndarray) -> np.ndarray:

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import bpe, language_id, line_dedup, mixing, near_dedup, quality_rules, secret_scan, spot_signatures, suffix_dedup, toxicity
-from .common import documents
+from .common import documents, written
 
 
 def op9_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -40,7 +40,7 @@ def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = secret_scan.scan(spark, documents(spark, sf_dir))
     counts = [F.size(k).cast("long").alias(f"n_{k}") for k in ("assign", "access", "hex", "random")]
-    return found.select("doc_id", *counts, F.sha2(secret_scan.joined("base").cast("binary"), 256).alias("base_sha256"), secret_scan.joined("all").alias("spans"))
+    return found.select("doc_id", *counts, F.sha2(secret_scan.joined("base").cast("binary"), 256).alias("base_sha256"), secret_scan.joined("all").alias("spans"), secret_scan.verdicts().alias("tested"))
 
 
 def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -56,17 +56,22 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_spot_signatures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The contract's pairs, and ``near_id``: the least id of the documents that a chain of near fingerprints leads to."""
     d = spot_signatures.with_next(documents(spark, sf_dir)).withColumn("edited", spot_signatures.edited())
     d = d.withColumn("es", spot_signatures.fingerprint(F.col("edited")))
-    return d.select(
+    d = d.select(
         "doc_id",
         F.col("n").alias("n_chars"),
         F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"),
-        spot_signatures.printed(F.col("s")).alias("fingerprint"),
+        "s",
         spot_signatures.printed(F.col("es")).alias("edited_fingerprint"),
         spot_signatures.likeness(F.col("s"), F.col("es")).alias("near_edited"),
         spot_signatures.likeness(F.col("s"), F.col("next_s")).alias("near_next"),
     )
+    d = written(spark, d.withColumns({"f1": F.xxhash64("s"), "f2": F.xxhash64(F.lit(7), F.col("s"))}), "fingerprints")
+    near = spot_signatures.near_classes(spark, d)
+    out = d.join(near, ["f1", "f2"]).withColumn("fingerprint", spot_signatures.printed(F.col("s")))
+    return out.select("doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next", "near_id")
 
 
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,25 +2,34 @@
 
 Method. Every common word (an anchor) together with the next two content words after it is a spot; a document's
 fingerprint is the set of its spots, hashed to 32 bits and sorted. Documents are compared by the Jaccard likeness of
-these sets; for a threshold, sets whose sizes alone rule it out are not compared, so a search partitions by set size
-and, within sizes that can match, meets on the rarest spots only.
+these sets. For a threshold, sets are partitioned by size, so that only those meet whose sizes do not rule it out, and within
+a partition on as many of their rarest spots as a partner may lack, and one more; what meets is compared. ``near_classes``
+finds the components of near fingerprints in this way, ``near_pairs`` the pairs.
 
 A text without a spot falls back to adjacent word pairs, then to its only word, so that any two texts with a word can
 be told apart; the empty set is that of texts without words, and two empty sets are alike (likeness 1).
 
 Scale. ``with_next`` puts each document beside the next one by descending id with one shuffle of the texts: ranges of
-ids, bounded by approximate quantiles, are buckets; the first document of a bucket also goes to the one before it.
+ids, bounded by approximate quantiles, are buckets; the first document of a bucket also goes to the one before it. Frequent
+spots come last in the order that says which of a set's spots are posted, so a passage that a third of all documents share
+is posted only by documents that hold little else; these are linked through one of them.
 
 Edge cases. Null counts as empty text. Rows of equal id follow each other in the order of a hash of their texts. A null
-id comes after all others. A single document is its own next. Everything is built-in functions.
+id comes after all others. A single document is its own next; an empty table gives an empty table. Very long texts have large
+sets, compared whole. Only the id and text columns are read, so further columns may have any names. Everything is built-in
+functions. Two spots may share a 32-bit hash: a set of a thousand has such a pair with a chance of one in ten thousand.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import math
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .common import col, connected_components, drop_written, hot_join, written
+
 #: Common words of English, German, French and Spanish that serve as anchors (fixed values).
 ANCHORS = tuple(
     """a an and are as at be been but by can do for from had has have he her his i if in is it its not of on or our she so
@@ -33,6 +42,8 @@ ANCHORS = tuple(
     te tiene una uno y ya yo""".split()
 )
 _FIRST = -(1 << 63)
+#: Classes (expected) of which the frequency of spots is estimated, and the most frequent spots that come last in the order.
+SAMPLE, LAST = 20_000, 500
 
 
 def fingerprint(text: Column) -> Column:
@@ -77,12 +88,12 @@ def likeness(a: Column, b: Column, least: float = 0.0) -> Column:
     low, high = F.least(F.size(a), F.size(b)), F.greatest(F.size(a), F.size(b))
     both = F.size(F.array_intersect(a, b))
     value = both / (F.size(a) + F.size(b) - both)
-    return F.when(high == 0, F.lit(1.0)).when(low < least * high, F.lit(0.0)).otherwise(value).cast("double")
+    return F.when(high == 0, F.lit(1.0)).when(low < least * high - 1e-9, F.lit(0.0)).otherwise(value).cast("double")
 
 
 def with_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", per_bucket: int = 1000, most_buckets: int = 20_000) -> DataFrame:
     """(i, t, n, s) of each document and (next_t, next_s) of the next by descending id; s is the fingerprint."""
-    d = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(id_col).cast("long"), F.lit(_FIRST)).alias("i"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"))
+    d = docs.select(col(id_col).alias("id"), F.coalesce(col(id_col).cast("long"), F.lit(_FIRST)).alias("i"), F.coalesce(col(text_col).cast("string"), F.lit("")).alias("t"))
     ids = d.select("i")
     n = ids.count()
     k = max(1, min(most_buckets, n // per_bucket))
@@ -122,21 +133,75 @@ def edited(n: str = "n", text: str = "t", following: str = "next_t") -> Column:
     return F.concat(F.substring(F.col(text), F.lit(1), (F.col(n) - k).cast("int")), F.substring(F.col(following), F.lit(1), k))
 
 
-def near_pairs(docs: DataFrame, least: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(a, b, likeness) of distinct fingerprints at least ``least`` alike, by their smallest ids, via set sizes and rare spots.
+def band(n: Column, least: float) -> Column:
+    """Partition of a set size: sets of bands further apart than one differ too much in size to be ``least`` alike."""
+    return F.floor(F.log(n.cast("double")) / F.lit(-math.log(least)) + F.lit(1e-9)).cast("int")
+
+
+def _posted(classes: DataFrame, least: float) -> DataFrame:
+    """(x, part, c, n, home): each class under its rarest spots, in the partition of its size (home) and the next one up.
 
-    Documents of equal fingerprints form a class. A class posts the rarest spots of its set, as many as a partner of the
-    least fitting size can lack and one more; pairs meet on those, checked by size before their sets are compared.
+    Two sets ``least`` alike share a spot among the first n - ceil(least * n) + 1 of each, in any one order of spots. The order
+    here is by hash, with the spots last that are most frequent in a sample: what the sample says makes lists short or long
+    but loses nothing.
     """
-    sets = docs.select(F.col(id_col).alias("i"), fingerprint(F.col(text_col)).alias("s")).where("size(s) > 0")
-    classes = sets.groupBy("s").agg(F.min("i").alias("i"))
-    spots = classes.select("i", F.size("s").alias("n"), F.explode("s").alias("x"))
-    spots = spots.join(spots.groupBy("x").agg(F.count("*").alias("df")).where("df > 1"), "x")
-    # Spots that one class has alone count as lacking before any other.
-    rank = F.row_number().over(Window.partitionBy("i").orderBy(F.desc("df"), "x"))
-    need = F.ceil(F.lit(least) * F.col("n") - 1e-9)
-    post = spots.withColumn("r", rank).where(F.col("r") >= need).select("i", "n", "x")
-    a, b = post.alias("a"), post.alias("b")
-    pairs = a.join(b, F.expr(f"a.x = b.x and a.i < b.i and least(a.n, b.n) >= {least} * greatest(a.n, b.n)")).select(F.col("a.i").alias("a"), F.col("b.i").alias("b")).distinct()
-    one, two = classes.select(F.col("i").alias("a"), F.col("s").alias("sa")), classes.select(F.col("i").alias("b"), F.col("s").alias("sb"))
+    drawn = classes.where(F.pmod(F.xxhash64("c"), F.lit(1 << 20)) < F.lit(float(1 << 20) * SAMPLE / max(1, classes.count())))
+    often = drawn.select(F.explode("s").alias("x")).groupBy("x").agg(F.count("*").alias("df")).where("df > 2").orderBy(F.desc("df"), "x").limit(LAST).collect()
+    last = F.array(*[F.lit(r["x"]) for r in reversed(often)]).cast("array<int>")
+    need = (F.col("n") - F.ceil(F.lit(least) * F.col("n") - 1e-9) + 1).cast("int")
+    first = F.slice(F.concat(F.array_except("s", last), F.array_intersect(last, "s")), F.lit(1), need)
+    post = classes.select("c", "n", F.explode(first).alias("x")).withColumn("b", band(F.col("n"), least))
+    part = F.explode(F.array(F.struct(F.col("b").alias("part"), F.lit(True).alias("home")), F.struct((F.col("b") + 1).alias("part"), F.lit(False).alias("home"))))
+    return post.withColumn("p", part).select("x", "p.part", "c", "n", "p.home")
+
+
+def near_classes(spark: SparkSession, docs: DataFrame, least: float = 0.8) -> DataFrame:
+    """(f1, f2, near_id) of fingerprints ``docs`` (doc_id, s, f1, f2: two hashes of s): the least id of its component, where
+    fingerprints at least ``least`` alike are linked.
+
+    Equal fingerprints are one class. Lists of a spot and a partition of sizes are worked off twice: each class with the least
+    of its list, which is linear, then what lies in other components than most of its list. A pair that is in one component
+    already can join nothing, so no link is lost.
+    """
+    least_id = F.min(F.coalesce(F.col("doc_id").cast("long"), F.lit(_FIRST)))
+    classes = written(spark, docs.groupBy("f1", "f2").agg(least_id.alias("c"), F.max("s").alias("s"), F.count("*").alias("copies")).withColumn("n", F.size("s")), "classes")
+    sets = classes.where("n > 0").select("c", "n", "s")
+    posted = written(spark, _posted(sets, least), "posted")
+    lists = posted.groupBy("x", "part").agg(F.count("*").alias("m"), F.min(F.when(F.col("home"), F.col("c"))).alias("pivot")).where("m > 1 AND pivot IS NOT NULL")
+    lists = written(spark, lists, "lists")
+    joined = written(spark, hot_join(posted, lists, ["x", "part"], "m").drop("m"), "joined")
+    fits = f"least(na, nb) >= {least} * greatest(na, nb) - 1e-9"
+
+    def near(pairs: DataFrame) -> DataFrame:
+        one = sets.select(F.col("c").alias("a"), F.col("n").alias("na"), F.col("s").alias("sa"))
+        two = sets.select(F.col("c").alias("b"), F.col("n").alias("nb"), F.col("s").alias("sb"))
+        met = pairs.join(one, "a").join(two, "b").where(fits)
+        return met.where(likeness(F.col("sa"), F.col("sb"), least) >= least).select("a", "b")
+
+    links = written(spark, near(joined.where("pivot <> c").select(F.col("pivot").alias("a"), F.col("c").alias("b")).distinct()), "links")
+    comp = written(spark, connected_components(spark, links).select(F.col("node").alias("c"), "component"), "components")
+    placed = joined.join(comp, "c", "left").withColumn("component", F.coalesce("component", "c"))
+    split = placed.groupBy("x", "part").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("x", "part")
+    placed = written(spark, placed.join(split, ["x", "part"]).drop("pivot"), "placed")
+    main = placed.groupBy("x", "part", "component").count().groupBy("x", "part").agg(F.max_by("component", F.struct("count", "component")).alias("main"))
+    rest = placed.join(main, ["x", "part"]).where("component <> main").drop("main")
+    pairs = rest.alias("u").join(placed.alias("v"), F.expr(f"u.x = v.x AND u.part = v.part AND u.component <> v.component AND (u.home OR v.home) AND least(u.n, v.n) >= {least} * greatest(u.n, v.n) - 1e-9"))
+    pairs = pairs.select(F.least("u.c", "v.c").alias("a"), F.greatest("u.c", "v.c").alias("b")).distinct()
+    every = written(spark, links.unionByName(near(pairs)), "links")
+    comp = written(spark, connected_components(spark, every).select(F.col("node").alias("c"), "component"), "components")
+    drop_written(spark, posted, lists, joined, placed)
+    found = classes.select("f1", "f2", "c").join(comp, "c", "left").withColumn("near_id", F.coalesce("component", "c"))
+    return found.select("f1", "f2", F.when(F.col("near_id") != _FIRST, F.col("near_id")).alias("near_id"))
+
+
+def near_pairs(docs: DataFrame, least: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(a, b, likeness) of distinct fingerprints at least ``least`` alike, by their smallest ids: all pairs, for a search over
+    groups of which none is large; ``near_classes`` is for any."""
+    sets = docs.select(col(id_col).alias("i"), fingerprint(col(text_col)).alias("s")).where("size(s) > 0")
+    classes = sets.groupBy("s").agg(F.min("i").alias("c")).withColumn("n", F.size("s"))
+    posted = _posted(classes, least)
+    a, b = posted.alias("a"), posted.alias("b")
+    fits = f"a.x = b.x AND a.part = b.part AND (a.home OR b.home) AND a.c < b.c AND least(a.n, b.n) >= {least} * greatest(a.n, b.n) - 1e-9"
+    pairs = a.join(b, F.expr(fits)).select(F.col("a.c").alias("a"), F.col("b.c").alias("b")).distinct()
+    one, two = classes.select(F.col("c").alias("a"), F.col("s").alias("sa")), classes.select(F.col("c").alias("b"), F.col("s").alias("sb"))
     return pairs.join(one, "a").join(two, "b").select("a", "b", likeness(F.col("sa"), F.col("sb"), least).alias("likeness")).where(F.col("likeness") >= least)
