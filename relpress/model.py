@@ -87,12 +87,16 @@ class Relation:
             raise ValueError(f"no method {method!r}")
         return getattr(compression, method)(self, **options)
 
-    def allowed(self, domains: DataFrame) -> Relation:
-        """The positive form of a negative table: all combinations of its (small) domains less the listed ones."""
+    def allowed(self, domains: list[list[int]]) -> Relation:
+        """The positive form of a negative table over the given values of each position: all their combinations less
+        the listed ones. As large as the product of the domains, which is what a search kernel's table is; joins and
+        propagation work on the listed tuples instead."""
         if self.sign:
             return self
-        sides = [domains.where(F.col("var") == i).select(F.col("code").alias(c)) for i, c in enumerate(self.scope)]
-        return Relation(reduce(lambda a, b: a.crossJoin(b), sides).join(self.df, self.scope, "left_anti"), self.scope, self.name)
+        every = self.df.sparkSession.range(1)
+        for c, codes in zip(self.scope, domains):
+            every = every.select("*", F.explode(F.array(*[F.lit(v) for v in codes]).cast("array<int>")).alias(c))
+        return Relation(every.select(*self.scope).join(self.df, self.scope, "left_anti"), self.scope, self.name)
 
 
 @dataclass
@@ -179,21 +183,27 @@ class Instance:
         """Arc-consistent domains (var, code)."""
         from .plans import solving
 
-        return solving.propagate([(r.allowed(r.domains()), s) for r, s in self._parts()], self.domain_table(spark))[0]
+        return solving.propagate(self._parts(), self.domain_table(spark))[0]
 
     def solve_by_join(self, spark: SparkSession) -> DataFrame:
-        """All solutions within the domains."""
+        """All solutions within the domains, a column for each variable."""
         from .plans import solving
 
-        found = solving.by_join(self._parts())
-        for v, codes in self.domains.items():
-            found = found.where(F.col(f"v{v}").isin(codes)) if f"v{v}" in found.columns else found
-        return found
+        return solving.by_join(self._parts(), self.domains)
 
     def solve(self, spark: SparkSession, methods: tuple[str, ...] = ("tabular",), time_limit_s: float = 1800.0) -> DataFrame:
-        """Depth-first search; domains must be 0 to n - 1 for variables 0, 1, ..."""
+        """Depth-first search. The kernel counts values from 0, so they are recoded for it and back in ``solution``."""
         from .plans import solving
 
-        relations = [c.relation for c in self.constraints]
-        sizes = [len(self.domains[v]) for v in sorted(self.domains)]
-        return solving.search(spark, [(self.name, sizes, [(i, c.scope) for i, c in enumerate(self.constraints)])], relations, methods, time_limit_s)
+        order = sorted(self.domains)
+        relations, constraints = [], []
+        for i, c in enumerate(self.constraints):
+            sides = [sorted(self.domains[v]) for v in c.scope]
+            rel = c.relation.allowed(sides)
+            codes = [F.array_position(F.array(*[F.lit(v) for v in side]).cast("array<int>"), F.col(x).cast("int")) - 1 for x, side in zip(rel.scope, sides)]
+            coded = rel.df.select(*[k.cast("int").alias(x) for k, x in zip(codes, rel.scope)])
+            relations.append(Relation(coded.where(reduce(lambda a, b: a & b, [F.col(x) >= 0 for x in rel.scope])), rel.scope, rel.name))
+            constraints.append((i, [order.index(v) for v in c.scope]))
+        found = solving.search(spark, [(self.name, [len(self.domains[v]) for v in order], constraints)], relations, methods, time_limit_s)
+        values = F.array(*[F.array(*[F.lit(x) for x in sorted(self.domains[v])]).cast("array<int>") for v in order])
+        return found.withColumn("solution", F.transform("solution", lambda x, n: F.get(F.get(values, n), x)))

@@ -6,18 +6,19 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ..functions.itemsets import as_items, mask_of
+from ..functions.itemsets import as_items, mask_of, value_at
 from ..model import CompressedRelation, Relation
 from ..plans.staging import staged
 from . import mining, selection
 
 
 def build(rel: Relation, tuples: DataFrame, sets: DataFrame, chosen: DataFrame, n_mined: int | None = None, threshold: int | None = None) -> CompressedRelation:
-    """Entries from the chosen (rank, tid), numbered by their rank; uncovered tuples go to the default table."""
+    """Entries from the chosen (rank, tid, head), numbered by their rank; uncovered tuples go to the default table."""
     chosen = staged(chosen, "chosen")
     size = chosen.groupBy("rank").agg(F.count("*").alias("freq"))
     heads = staged(sets.drop("freq").join(size, "rank").select(F.col("rank").alias("entry"), "items", "len", "freq"), "heads")
-    rows = tuples.join(chosen, "tid").withColumnRenamed("rank", "entry").join(heads.select("entry", mask_of(F.col("items")).alias("mask")), "entry")
+    # A chosen tuple brings its head along, so no join meets the many rows of one entry.
+    rows = tuples.join(chosen.select("tid", F.col("rank").alias("entry"), mask_of(F.col("head")).alias("mask")), "tid")
     body = rows.select("entry", "tid", F.filter("items", lambda x: F.getbit("mask", x["p"]) == 0).alias("items"))
     return CompressedRelation(rel.scope, heads, body, tuples.join(chosen, "tid", "left_anti").select("tid", "items"), n_mined, threshold)
 
@@ -41,29 +42,19 @@ def choose(rel: Relation, sets: DataFrame, objective: str, overlap: str = "drop"
 def candidates(rel: Relation, s_min: int, kind: str = "maximal") -> DataFrame:
     """Frequent, closed or maximal sets of at least two tuples, by the engine that suits the width."""
     if kind == "frequent":
-        return mining.frequent(rel, s_min) if rel.arity <= mining.CUBE_COLUMNS else mining.frequent_levelwise(rel, s_min)
-    if rel.arity <= mining.CUBE_COLUMNS:
+        return mining.frequent(rel, s_min) if rel.arity <= mining.CUBE_TAKEN else mining.frequent_levelwise(rel, s_min)
+    if rel.arity <= mining.CUBE_TAKEN:
         sets = mining.frequent(rel, s_min)
         return mining.closed(sets) if kind == "closed" else mining.maximal(sets)
     return mining.closed_shards(rel, s_min) if kind == "closed" else mining.maximal_shards(rel, s_min)
 
 
 def support_threshold(rel: Relation, k: float | int, reduce: str = "mean") -> int:
-    """The threshold from the k most frequent closed sets (k a count, or a share of the tuples).
-
-    Wide relations have too many closed sets at threshold 2: theirs are mined at falling thresholds until there are k,
-    which are the same k.
-    """
-    n = rel.df.count()
-    most = mining.count_of(k, n)
-    s_min = 2 if rel.arity <= mining.CUBE_COLUMNS else max(2, n // 4)
-    sets = candidates(rel, s_min, "closed")
-    while s_min > 2:
-        sets = staged(sets, "closed")
-        if sets.count() >= most:
-            break
-        s_min = max(2, s_min // 2)
-        sets = candidates(rel, s_min, "closed")
+    """The threshold from the k most frequent closed sets (k a count, or a share of the tuples), mined best first."""
+    most = mining.count_of(k, rel.df.count())
+    if most <= 0:
+        return 2
+    sets = staged(mining.top_closed_shards(rel, most), "closed")
     return mining.threshold(sets, most, reduce)
 
 
@@ -72,6 +63,8 @@ def area_cover(rel: Relation, k: float | int = 0.4, reduce: str = "mean", overla
 
     A given ``s_min`` replaces the automatic threshold; ``kind`` and ``objective`` are for comparison.
     """
+    # The relation is read by every step: written once, so that its query does not run again.
+    rel = Relation(staged(rel.df, "relation"), rel.scope, rel.name, rel.sign)
     s_min = s_min or support_threshold(rel, k, reduce)
     sets = staged(candidates(rel, s_min, kind), "candidates")
     return choose(rel, sets, objective, overlap, sets.count(), s_min)
@@ -136,36 +129,94 @@ def restricted(rel: Relation, order: list[str] | None = None) -> DataFrame:
     return d.select(*[F.struct(F.array_min(c).alias("lo"), F.array_max(c).alias("hi"), (F.size(c) == F.array_max(c) - F.array_min(c) + 1).alias("dense"), F.col(c).alias("set")).alias(c) for c in rel.scope])
 
 
-def segmented(c: CompressedRelation) -> DataFrame:
-    """Rows of segments: each entry as its head and the table of the rest, nested; small relations only, as rows are gathered by entry."""
-    rest = c.body.groupBy("entry").agg(F.sort_array(F.collect_list("items")).alias("rows"))
-    return c.heads.join(rest, "entry").select("entry", "items", "rows").unionByName(c.default.select(F.lit(-1).cast("bigint").alias("entry"), F.array().cast(c.heads.schema["items"].dataType).alias("items"), F.array("items").alias("rows")))
+def smart(rel: Relation, s_min: int = 2) -> tuple[DataFrame, DataFrame]:
+    """Rows with conditions between columns, and the tuples (tid, items) that no row takes.
+
+    A row (x, y, op, items, freq) stands for the tuples with ``items`` at the other columns and, at columns x and y, all pairs
+    of values of the two domains for which the comparison ``op`` ('=', '<', '>') holds. Rows are chosen by size, disjoint.
+    """
+    tuples = rel.numbered()
+    domains = staged(rel.domains().select("var", "code"), "domains")
+    parts = []
+    for x in range(rel.arity):
+        for y in range(x + 1, rel.arity):
+            others = F.filter("items", lambda i, x=x, y=y: (i["p"] != x) & (i["p"] != y))
+            d = tuples.select("tid", F.lit(x).alias("x"), F.lit(y).alias("y"), others.alias("items"), value_at(F.col("items"), x).alias("a"), value_at(F.col("items"), y).alias("b"))
+            parts.append(d.withColumn("op", F.when(F.col("a") == F.col("b"), "=").when(F.col("a") < F.col("b"), "<").otherwise(">")))
+    each = parts[0]
+    for p in parts[1:]:
+        each = each.unionByName(p)
+    # How many pairs of two finite domains fit each comparison.
+    two = domains.select(F.col("var").alias("x"), F.col("code").alias("a")).join(domains.select(F.col("var").alias("y"), F.col("code").alias("b")), F.col("x") < F.col("y"))
+    whole = two.withColumn("op", F.when(F.col("a") == F.col("b"), "=").when(F.col("a") < F.col("b"), "<").otherwise(">")).groupBy("x", "y", "op").agg(F.count("*").alias("pairs"))
+    each = staged(each.drop("a", "b"), "pairs")
+    found = each.groupBy("x", "y", "op", "items").agg(F.count("*").alias("freq")).join(whole, ["x", "y", "op"]).where((F.col("freq") == F.col("pairs")) & (F.col("freq") >= s_min)).drop("pairs")
+    sets = found.withColumns({"len": F.size("items"), "score": F.col("freq").cast("double")}).orderBy(F.desc("freq"), "x", "y", "op", "items")
+    sets = staged(sets.withColumn("rank", F.monotonically_increasing_id()), "smart")
+    covers = each.join(sets.select("x", "y", "op", "items", "rank"), ["x", "y", "op", "items"]).select("rank", "tid")
+    chosen, _ = selection.greedy(sets, covers)
+    rows = sets.join(chosen.select("rank").distinct(), "rank", "left_semi").select("x", "y", "op", "items", "freq")
+    return rows, tuples.join(chosen.select("tid"), "tid", "left_anti")
+
+
+def segmented(c: CompressedRelation, most: int = 1000) -> DataFrame:
+    """Rows of segments (entry, part, items, rows): a head and a table of what goes with it, nested.
+
+    An entry of more than ``most`` tuples is several segments with the same head, so that no row holds an unbounded table; a
+    default tuple is a segment of its own.
+    """
+    numbered = c.body.withColumn("part", F.floor((F.row_number().over(Window.partitionBy("entry").orderBy("tid")) - 1) / most).cast("int"))
+    rest = numbered.groupBy("entry", "part").agg(F.sort_array(F.collect_list("items")).alias("rows"))
+    alone = c.default.select(F.lit(-1).cast("bigint").alias("entry"), F.lit(0).alias("part"), F.array().cast(c.heads.schema["items"].dataType).alias("items"), F.array("items").alias("rows"))
+    return rest.join(c.heads.select("entry", "items"), "entry").select("entry", "part", "items", "rows").unionByName(alone)
 
 
 def microstructure(rel: Relation, s_min: int = 2) -> CompressedRelation:
-    """Groups from the graph of values that occur together: for each tuple, its two most often paired items start an entry."""
-    items = rel.df.select(as_items(rel.scope).alias("t"))
+    """Groups from the graph of values that occur together: an edge is a pair of values with the number of tuples that hold
+    both. A tuple joins the group of its heaviest edge, grown by the values that all tuples of the group share; groups are
+    entries as far as their covers do not overlap.
+    """
+    tuples = rel.df.select(as_items(rel.scope).alias("t")).withColumn("row", F.monotonically_increasing_id())
+    rows = staged(tuples.select("row", "t"), "rows")
     pair = F.explode(F.flatten(F.transform("t", lambda x: F.transform(F.filter("t", lambda y: y["p"] > x["p"]), lambda y: F.array(x, y)))))
-    pairs = items.select(pair.alias("items")).groupBy("items").agg(F.count("*").alias("freq")).where(F.col("freq") >= s_min)
-    sets = staged(pairs.select("items", F.lit(2).alias("len"), "freq"), "pairs")
+    edges = rows.select("row", "t", pair.alias("edge"))
+    weight = staged(edges.groupBy("edge").agg(F.count("*").alias("w")), "edges")
+    heaviest = edges.join(weight, "edge").groupBy("row").agg(F.min(F.struct((-F.col("w")).alias("w"), "edge")).alias("best"), F.first("t").alias("t"))
+    held = staged(heaviest.select(F.col("best.edge").alias("edge"), "t"), "groups")
+    size = held.groupBy("edge").agg(F.count("*").alias("n")).where(F.col("n") >= s_min)
+    shared = held.select("edge", F.explode("t").alias("x")).groupBy("edge", "x").agg(F.count("*").alias("m")).join(size, "edge").where("m = n")
+    groups = shared.groupBy("edge").agg(F.array_sort(F.collect_list("x")).alias("items")).select("items").distinct()  # a tuple's items at most
+    # Frequencies over all tuples, as a group's values may stand elsewhere too.
+    ranked = staged(groups.withColumns({"rank": F.monotonically_increasing_id(), "len": F.size("items")}), "grown")
+    covered = selection.cover(ranked, rows.select(F.col("row").alias("tid"), F.col("t").alias("items"))).groupBy("rank").agg(F.count("*").alias("freq"))
+    sets = staged(ranked.join(covered, "rank").where(F.col("freq") >= s_min).select("items", "len", "freq"), "sets")
     return choose(rel, sets, "savings", "drop", sets.count(), s_min)
 
 
 def diagram(rel: Relation, order: list[str] | None = None, automaton: bool = False) -> DataFrame:
     """Decision diagram edges (level, node, code, child): equal suffix sets share a node; the sink is 0, the root level 0.
 
-    From the last column up, prefixes with equal sets of (code, child) share a node, named by a hash of that set and
-    level. ``automaton`` names nodes without their level, so that equal states of any levels are one state.
+    From the last column up, prefixes with equal sets of (code, child) share a node, which is numbered within its level: by
+    the least prefix that leads to it. ``automaton`` numbers the distinct sets of all levels, so that equal states of any
+    levels are one state.
     """
     cols = order or rel.scope
     d = rel.df.select(*[F.col(c).cast("int").alias(c) for c in cols], F.lit(0).cast("bigint").alias("child"))
-    edges = []
+    edges, states, last = [], None, 0
     for level in range(len(cols) - 1, -1, -1):
         c = cols[level]
         out = F.sort_array(F.collect_set(F.struct(F.col(c).alias("code"), "child")))
         d = d.groupBy(*cols[:level]).agg(out.alias("out")) if level else d.agg(out.alias("out")).where(F.size("out") > 0)
-        d = d.withColumn("node", F.xxhash64(F.lit(0 if automaton else level + 1), F.to_json("out")))
-        edges.append(d.select(F.lit(level).alias("level"), "node", F.explode("out").alias("e")).select("level", "node", "e.code", "e.child").distinct())
+        d = staged(d, f"level{level}")
+        # Nodes are told apart by their sets themselves and numbered within ranges of these, on from those below.
+        new = d.select("out").distinct()
+        new = new.join(states, "out", "left_anti") if automaton and states is not None else new
+        new = staged(new.withColumn("node", F.monotonically_increasing_id() + last + 1), f"nodes{level}")
+        last = max(last, new.agg(F.max("node")).first()[0] or 0)
+        known = new if not automaton or states is None else states.unionByName(new)
+        states = known if automaton else None
+        d = d.join(known, "out")
+        edges.append(d.select(F.lit(level).alias("level"), "node", "out").distinct().select("level", "node", F.explode("out").alias("e")).select("level", "node", "e.code", "e.child"))
         d = d.select(*cols[:level], F.col("node").alias("child"))
     found = edges[0]
     for e in edges[1:]:

@@ -11,6 +11,7 @@ All return (items, len, freq); frequencies count tuples, ``freq >= s_min``.
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterator
 
 import numpy as np
@@ -22,8 +23,9 @@ from pyspark.sql.window import Window
 from ..functions.itemsets import ITEMS, as_items, masked, without_each
 from ..model import Relation
 
-#: Columns up to which the cube is taken; beyond them it would multiply each tuple more than 2**12 times.
-CUBE_COLUMNS = 12
+#: Columns up to which the cube may be asked for, and up to which ``candidates`` takes it: it multiplies each tuple by two
+#: to the power of the columns, before any count, while a shard engine sends it once for each column.
+CUBE_COLUMNS, CUBE_TAKEN = 12, 6
 #: Distinct rows of a shard beyond which it is split by its next item.
 SHARD_ROWS = 200_000
 FREE = f"items {ITEMS}, len int, freq bigint"
@@ -105,7 +107,7 @@ def maximal(frequent_sets: DataFrame) -> DataFrame:
     return frequent_sets.join(parents_of(frequent_sets).select("items"), "items", "left_anti")
 
 
-def _enumerate(rows: np.ndarray, weight: np.ndarray, prefix: list[int], s_min: int, only_maximal: bool) -> Iterator[tuple[np.ndarray, int]]:
+def enumerate_closed(rows: np.ndarray, weight: np.ndarray, prefix: list[int], s_min: int, only_maximal: bool) -> Iterator[tuple[np.ndarray, int]]:
     """Closed (or maximal) sets of one shard, whose rarest items are ``prefix``. ``rows`` is tuples by items, rarest first.
 
     Depth first without a store of what was found: a branch extends by items after the last one chosen, and is left if
@@ -129,7 +131,50 @@ def _enumerate(rows: np.ndarray, weight: np.ndarray, prefix: list[int], s_min: i
             stack.append((cover[sub[:, j]], int(j), closure))
 
 
-def _shards(rel: Relation, s_min: int, only_maximal: bool, most_rows: int) -> DataFrame:
+def enumerate_top(rows: np.ndarray, weight: np.ndarray, starts: list[list[int]], s_min: int, most: int) -> Iterator[tuple[np.ndarray, int]]:
+    """The ``most`` most frequent closed sets whose rarest items are one of ``starts``, most frequent first; ties are cut.
+
+    Best first: a branch is no more frequent than the set it extends, so what comes off the heap is the next in order and
+    nothing under the last set wanted is ever looked at. Covers are bit vectors, found again from the set when needed.
+    """
+    n = -(-len(rows) // 64) * 64
+    bits = np.zeros((rows.shape[1], n), bool)
+    bits[:, : len(rows)] = rows.T
+    cols = np.packbits(bits, axis=1).view(np.uint64)
+    planes = []
+    for b in range(int(weight.max()).bit_length() if len(weight) else 0):
+        plane = np.zeros(n, bool)
+        plane[: len(rows)] = weight >> b & 1
+        planes.append((1 << b, np.packbits(plane).view(np.uint64)))
+
+    def counts_of(cover: np.ndarray) -> np.ndarray:
+        return sum(w * np.bitwise_count(cols & (cover & plane)).sum(axis=1, dtype=np.int64) for w, plane in planes)
+
+    heap, made = [], len(starts)
+    for n_, prefix in enumerate(starts):
+        cover = np.bitwise_and.reduce(cols[prefix])
+        heap.append((-sum(w * int(np.bitwise_count(cover & plane).sum()) for w, plane in planes), n_, prefix[-1], np.array(prefix), np.array(prefix)))
+    heapq.heapify(heap)
+    while heap and most > 0:
+        total, _, core, held, chosen = heapq.heappop(heap)
+        total = -total
+        if total < s_min:
+            break
+        cover = np.bitwise_and.reduce(cols[chosen])
+        counts = counts_of(cover)
+        closure = np.flatnonzero(counts == total)
+        early = closure[closure < core]
+        if len(early) and not np.isin(early, held, assume_unique=True).all():
+            continue
+        yield closure, total
+        most -= 1
+        wide = counts[core + 1 :]
+        for j in np.flatnonzero((wide >= s_min) & (wide < total)) + core + 1:
+            heapq.heappush(heap, (-int(counts[j]), made, int(j), closure, np.append(closure, j)))
+            made += 1
+
+
+def _shards(rel: Relation, s_min: int, only_maximal: bool, most_rows: int, most: int | None = None) -> DataFrame:
     from ..plans.staging import ship, staged
 
     ship(rel.df.sparkSession)
@@ -153,7 +198,8 @@ def _shards(rel: Relation, s_min: int, only_maximal: bool, most_rows: int) -> Da
         rows = np.zeros((len(lists), len(names)), bool)
         for r, one in enumerate(lists):
             rows[r, [at[o] for o in one]] = True
-        found = list(_enumerate(rows, group["w"].to_numpy(np.int64), [at[o] for o in key[0]], s_min, only_maximal))
+        weight, prefix = group["w"].to_numpy(np.int64), [at[o] for o in key[0]]
+        found = list(enumerate_closed(rows, weight, prefix, s_min, only_maximal) if most is None else enumerate_top(rows, weight, [prefix], s_min, most))
         sets = [sorted(place[names[i]] for i in s) for s, _ in found]
         return pd.DataFrame({"items": pd.Series([[{"p": p, "v": v} for p, v in s] for s in sets], dtype=object), "len": [len(s) for s in sets], "freq": [f for _, f in found]})
 
@@ -190,6 +236,15 @@ def maximal_shards(rel: Relation, s_min: int, most_rows: int = SHARD_ROWS) -> Da
     return _shards(rel, s_min, True, most_rows)
 
 
+def top_closed_shards(rel: Relation, k: int, s_min: int = 2, most_rows: int = SHARD_ROWS) -> DataFrame:
+    """Closed sets among which are ``k`` of the most frequent ones: the ``k`` most frequent of every shard.
+
+    No threshold is needed and none but the sets near the top is enumerated, so the k-th frequency of a relation with
+    millions of closed sets costs k sets a shard.
+    """
+    return _shards(rel, s_min, False, most_rows, k)
+
+
 def top(sets: DataFrame, k: int, by: Column | None = None, ties: str = "cut") -> DataFrame:
     """The ``k`` sets of highest score (frequency where None); ``ties`` 'include' adds those equal to the k-th.
 

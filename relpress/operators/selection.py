@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.itemsets import masked, mask_of, score
+from ..functions.itemsets import covers, masked, mask_of, score
 from ..plans.staging import staged
 
 
@@ -23,20 +23,34 @@ def rank(sets: DataFrame, arity: int, objective: str = "area") -> DataFrame:
 def cover(sets: DataFrame, tuples: DataFrame) -> DataFrame:
     """(rank, tid): which tuples each set covers.
 
-    A tuple meets the sets of a column set by its own part on these columns: one equality join, whatever the number of
-    sets. The driver holds the column sets in use, at most one bit pattern each.
+    Few column sets: a tuple meets the sets of a column set by its own part on these columns, one equality join whatever
+    the number of sets. Many of them: a set is posted under its two rarest items, a tuple meets it there by its pairs of
+    items, and the whole set is compared. The driver holds the column sets in use, one bit pattern each.
     """
     with_mask = sets.select("rank", "items", mask_of(F.col("items")).alias("mask"))
     masks = [r["mask"] for r in with_mask.select("mask").distinct().collect()]
     if not masks:
         return tuples.select(F.lit(0).cast("bigint").alias("rank"), "tid").where("false")
+    a = max(masks).bit_length()
+    if len(masks) > a * (a + 1) // 2:
+        return _cover_by_rarest(sets.select("rank", "items"), tuples)
     parts = tuples.select("tid", "items", F.explode(F.array(*[F.lit(m).cast("bigint") for m in sorted(masks)])).alias("mask"))
     parts = parts.select("tid", masked(F.col("items"), F.col("mask")).alias("items"))
     return parts.join(with_mask.select("rank", "items"), "items").select("rank", "tid")
 
 
-def greedy(sets: DataFrame, covers: DataFrame, overlap: str = "drop", arity: int | None = None, objective: str = "area", least: int = 2, max_rounds: int = 10_000) -> tuple[DataFrame, int]:
-    """(rank, tid) of the chosen sets, and the number of rounds.
+def _cover_by_rarest(sets: DataFrame, tuples: DataFrame) -> DataFrame:
+    count = tuples.select(F.explode("items").alias("x")).groupBy("x").agg(F.count("*").alias("f"))
+    each = sets.select("rank", F.explode("items").alias("x")).join(count, "x")
+    rare = each.groupBy("rank").agg(F.slice(F.sort_array(F.collect_list(F.struct("f", "x"))), 1, 2).alias("r"))  # at most a tuple's items
+    post = rare.select("rank", F.array_sort(F.transform("r", lambda z: z["x"])).alias("at")).join(sets, "rank")
+    pairs = F.flatten(F.transform("items", lambda x: F.transform(F.filter("items", lambda y: y["p"] >= x["p"]), lambda y: F.array_distinct(F.array(x, y)))))
+    met = tuples.select("tid", F.col("items").alias("t"), F.explode(pairs).alias("at"))
+    return met.join(post, "at").where(covers(F.col("items"), F.col("t"))).select("rank", "tid")
+
+
+def greedy(sets: DataFrame, covers: DataFrame, overlap: str = "drop", arity: int | None = None, objective: str = "area", least: int = 2) -> tuple[DataFrame, int]:
+    """(rank, tid, head) of the chosen sets, and the number of rounds; each round chooses one set at least.
 
     ``overlap`` 'drop' leaves out every set that shares a tuple with a chosen one. 'shrink' takes chosen tuples from the
     other covers and scores what is left, as long as ``least`` tuples are; scores only fall, so a set that comes first at
@@ -48,13 +62,11 @@ def greedy(sets: DataFrame, covers: DataFrame, overlap: str = "drop", arity: int
     won, rounds = [], 0
     while not live.isEmpty():
         rounds += 1
-        if rounds > max_rounds:
-            raise RuntimeError("greedy choice did not end")
         place = F.struct((-F.col("score")).alias("s"), "items", "rank")
         first = live.groupBy("tid").agg(F.min(place).alias("first")).select("tid", F.col("first.rank").alias("rank"), F.lit(1).alias("mine"))
         size = live.groupBy("rank").agg(F.count("*").alias("n"))
         ahead = first.groupBy("rank").agg(F.count("*").alias("m")).join(size, "rank").where("m = n").select("rank")
-        taken = staged(live.join(ahead, "rank", "left_semi").select("rank", "tid"), f"won{rounds}")
+        taken = staged(live.join(ahead, "rank", "left_semi").select("rank", "tid", F.col("items").alias("head")), f"won{rounds}")
         won.append(taken)
         rest = live.join(taken.select("rank").distinct(), "rank", "left_anti")
         if overlap == "drop":
@@ -67,7 +79,7 @@ def greedy(sets: DataFrame, covers: DataFrame, overlap: str = "drop", arity: int
             rest = rest.select(live.columns)
         live = staged(rest, f"live{rounds}")
     if not won:
-        return covers.where("false"), 0
+        return live.select("rank", "tid", F.col("items").alias("head")), 0
     out = won[0]
     for w in won[1:]:
         out = out.unionByName(w)

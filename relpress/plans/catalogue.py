@@ -11,11 +11,11 @@ from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from ..functions.itemsets import as_items, saving, spread
-from ..model import Relation
-from ..operators import compression, filters, mining, selection
+from ..model import Constraint, Instance, Relation
+from ..operators import compression, filters, mining, selection, stateful
 from ..sources import workloads as W
 from ..streaming import events as streams
-from . import metrics, solving
+from . import experiments, metrics, solving
 from .staging import staged
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -256,7 +256,7 @@ def _brand_sets(spark: SparkSession, sf: str) -> DataFrame:
     return mining.frequent_growth(t, 5)
 
 
-@query()
+@query(_with(_rel_cte(), _sets_cte(4, S_CLOSED), _maximal_cte(str(S_CLOSED)), *_greedy_ctes(), recursive=True) + " SELECT c0, c1, c2, c3, len, freq FROM chosen ORDER BY rank LIMIT 10")
 def area_tiles(spark, sf):
     """Ten tiles: the disjoint itemsets of largest area in greedy order."""
     return _flat(compression.tiles(_rel(spark, sf), 10, S_CLOSED))
@@ -408,33 +408,84 @@ for _c in ("paths", "all"):
 _report_query("microstructure_report", None, lambda spark, sf: compression.microstructure(_rel(spark, sf)))
 
 
+_PRODUCTS = [
+    _rel_cte(),
+    ("p3", "SELECT c0, c1, c2, list_sort(list(c3)) AS s3 FROM rel GROUP BY c0, c1, c2"),
+    ("p2", "SELECT c0, c1, s3, list_sort(list(c2)) AS s2 FROM p3 GROUP BY c0, c1, s3"),
+    ("p1", "SELECT c0, s2, s3, list_sort(list(c1)) AS s1 FROM p2 GROUP BY c0, s2, s3"),
+    ("p0", "SELECT s1, s2, s3, list_sort(list(c0)) AS s0 FROM p1 GROUP BY s1, s2, s3"),
+]
+
+
 @query(
-    _with(
-        _rel_cte(),
-        ("p3", "SELECT c0, c1, c2, list_sort(list(c3)) AS s3 FROM rel GROUP BY c0, c1, c2"),
-        ("p2", "SELECT c0, c1, s3, list_sort(list(c2)) AS s2 FROM p3 GROUP BY c0, c1, s3"),
-        ("p1", "SELECT c0, s2, s3, list_sort(list(c1)) AS s1 FROM p2 GROUP BY c0, s2, s3"),
-        ("p0", "SELECT s1, s2, s3, list_sort(list(c0)) AS s0 FROM p1 GROUP BY s1, s2, s3"),
-    )
+    _with(*_PRODUCTS)
     + " SELECT " + ", ".join(f"array_to_string(s{i}, ',') AS c{i}" for i in range(4)) + " FROM p0"
 )
 def cartesian_rows(spark, sf):
     return compression.cartesian(_rel(spark, sf)).select(*[F.array_join(F.transform(c, lambda v: v.cast("string")), ",").alias(c) for c in COLS])
 
 
-@query()
+def _wildcard_sql() -> str:
+    cols, steps, before = [f"c{i}" for i in range(4)], [_rel_cte(), ("w4", 'SELECT *, 0 AS "any" FROM rel')], "w4"
+    for i in (3, 2, 1, 0):
+        rest = ", ".join(c for c in cols if c != f"c{i}")
+        counted = f'SELECT *, count(*) OVER (PARTITION BY {rest}, "any") = (SELECT count(DISTINCT c{i}) FROM rel) AS whole FROM {before}'
+        out = ", ".join(c if c != f"c{i}" else f"CASE WHEN whole THEN NULL ELSE c{i} END AS c{i}" for c in cols)
+        steps.append((f"w{i}", f'SELECT DISTINCT {out}, "any" + CASE WHEN whole THEN {1 << i} ELSE 0 END AS "any" FROM ({counted})'))
+        before = f"w{i}"
+    return _with(*steps) + ' SELECT c0, c1, c2, c3, CAST("any" AS BIGINT) AS "any" FROM w0'
+
+
+@query(_wildcard_sql())
 def wildcard_rows(spark, sf):
     return compression.wildcard(_rel(spark, sf))
 
 
-@query()
+@query(
+    _with(*_PRODUCTS)
+    + " SELECT " + ", ".join(f"list_min(s{i}) AS c{i}_lo, list_max(s{i}) AS c{i}_hi, CASE WHEN len(s{i}) = list_max(s{i}) - list_min(s{i}) + 1 THEN '' ELSE array_to_string(s{i}, ',') END AS c{i}_set" for i in range(4)) + " FROM p0"
+)
 def restricted_rows(spark, sf):
-    return compression.restricted(_rel(spark, sf)).select(*[F.col(f"{c}.lo").alias(f"{c}_lo") for c in COLS], *[F.col(f"{c}.hi").alias(f"{c}_hi") for c in COLS])
+    """Ranges, and the set where a range has gaps."""
+    d = compression.restricted(_rel(spark, sf))
+    sets = [F.when(F.col(f"{c}.dense"), F.lit("")).otherwise(F.array_join(F.transform(f"{c}.set", lambda v: v.cast("string")), ",")).alias(f"{c}_set") for c in COLS]
+    return d.select(*[F.col(f"{c}.lo").alias(f"{c}_lo") for c in COLS], *[F.col(f"{c}.hi").alias(f"{c}_hi") for c in COLS], *sets)
 
 
-@query()
+@query(_with(*_auto(), recursive=True) + " SELECT c0, c1, c2, c3, len, CAST(len(tids) AS INT) AS rows FROM chosen UNION ALL SELECT NULL, NULL, NULL, NULL, 0, 1 FROM tup WHERE tid NOT IN (SELECT tid FROM won)")
 def segmented_rows(spark, sf):
-    return compression.segmented(_compressed(spark, sf)).select("entry", F.size("items").alias("len"), F.size("rows").alias("rows"))
+    """Heads with the rows nested in each; a row that no head has stands alone."""
+    d = compression.segmented(_compressed(spark, sf), 1 << 30)
+    return d.select(*spread(F.col("items"), COLS), F.size("items").alias("len"), F.size("rows").alias("rows"))
+
+
+def _smart_sql() -> str:
+    op = "CASE WHEN {0} = {1} THEN '=' WHEN {0} < {1} THEN '<' ELSE '>' END"
+    groups = []
+    for x in range(4):
+        for y in range(x + 1, 4):
+            rest = [f"c{i}" for i in range(4) if i not in (x, y)]
+            whole = f"SELECT {op.format('a', 'b')} AS op, count(*) AS n FROM (SELECT DISTINCT c{x} AS a FROM rel), (SELECT DISTINCT c{y} AS b FROM rel) GROUP BY 1"
+            held = f"SELECT {', '.join(rest)}, {op.format(f'c{x}', f'c{y}')} AS op, count(*) AS n FROM rel GROUP BY ALL"
+            groups.append(f"SELECT {x} AS x, {y} AS y, h.op, {', '.join(f'h.c{i}' if f'c{i}' in rest else f'NULL AS c{i}' for i in range(4))}, h.n AS freq FROM ({held}) h JOIN ({whole}) w ON h.op = w.op AND h.n = w.n WHERE h.n >= 2")
+    items = "list_filter([" + ", ".join(f"{{'p': {i}, 'v': c{i}}}" for i in range(4)) + "], z -> z.v IS NOT NULL)"
+    fits = " AND ".join(f"(g.c{i} IS NULL OR g.c{i} = t.c{i})" for i in range(4))
+    at = {v: "CASE " + " ".join(f"WHEN g.{v} = {i} THEN t.c{i}" for i in range(4)) + " END" for v in "xy"}
+    return _with(
+        _rel_cte(),
+        ("tup", "SELECT row_number() OVER (ORDER BY c0, c1, c2, c3) AS tid, * FROM rel"),
+        ("cand", " UNION ALL ".join(groups)),
+        ("ranked", f"SELECT *, row_number() OVER (ORDER BY freq DESC, x, y, op, {items}) AS rank FROM cand"),
+        ("cov", f"SELECT g.rank, list(t.tid) AS tids FROM ranked g JOIN tup t ON {fits} AND g.op = {op.format(at['x'], at['y'])} GROUP BY g.rank"),
+        _greedy_ctes()[3],
+        recursive=True,
+    ) + " SELECT r.x, r.y, r.op, r.c0, r.c1, r.c2, r.c3, r.freq FROM walk w JOIN ranked r USING (rank) WHERE taken"
+
+
+@query(_smart_sql())
+def smart_rows(spark, sf):
+    """Rows with a comparison of two columns in place of the pairs of values for which it holds."""
+    return compression.smart(_rel(spark, sf))[0].select("x", "y", "op", *spread(F.col("items"), COLS), "freq")
 
 
 _SUFFIX = [
@@ -455,7 +506,8 @@ def diagram_levels(spark, sf):
     return e.groupBy("level").agg(F.countDistinct("node").alias("nodes"), F.count("*").alias("edges"))
 
 
-@query()
+# All words of the automaton are of one length, so states of two levels are never equal.
+@query(_with(*_SUFFIX) + " SELECT CAST(1 + (SELECT count(*) FROM (SELECT DISTINCT s FROM n1)) + (SELECT count(*) FROM (SELECT DISTINCT s FROM n2)) + (SELECT count(*) FROM (SELECT DISTINCT s FROM n3)) AS BIGINT) AS states")
 def automaton_states(spark, sf):
     e = compression.diagram(_rel(spark, sf), automaton=True)
     return e.select("node").distinct().agg(F.count("*").alias("states"))
@@ -491,6 +543,9 @@ _filter_query("bitset_current", lambda r, d, g: filters.bitset(compression.bitse
 _filter_query("cartesian", lambda r, d, g: filters.cartesian(compression.cartesian(r), r.scope, d))
 _filter_query("wildcard", lambda r, d, g: filters.wildcard(compression.wildcard(r), r.scope, d))
 _filter_query("restricted", lambda r, d, g: filters.restricted(compression.restricted(r), r.scope, d))
+_filter_query("smart", lambda r, d, g: filters.smart(*compression.smart(r), d, 4))
+_filter_query("bitset_short", lambda r, d, g: filters.bitset_rows(compression.wildcard(r), r.scope, d))
+_filter_query("bitset_products", lambda r, d, g: filters.bitset_rows(compression.cartesian(r), r.scope, d))
 _filter_query("entries", lambda r, d, g: filters.entries(compression.area_cover(r, K, "min"), d)[0])
 _filter_query("entries_on_slices", lambda r, d, g: filters.entries(compression.savings_slice(r), d)[0])
 
@@ -502,6 +557,57 @@ def _residues(spark, sf):
     return filters.residues(tuples, domains, 4, filters.residues_of(tuples))
 
 
+@query("WITH rel AS (SELECT DISTINCT n_nationkey AS c0, n_regionkey AS c1 FROM nation), pair AS (SELECT a.c0 AS v0, a.c1 AS v1, b.c0 AS v2 FROM rel a, rel b) SELECT v0, v1, v2 FROM pair p WHERE NOT EXISTS (SELECT 1 FROM rel r WHERE r.c0 = p.v2 AND r.c1 = p.v1)")
+def forbidden_solutions(spark, sf):
+    """Two nations and a region: the first lies in it, the second must not (a table of forbidden tuples)."""
+    inst = _nations(spark, sf)
+    return inst.solve_by_join(spark)
+
+
+@query("SELECT DISTINCT 0 AS var, n_nationkey AS code FROM nation UNION SELECT 1, n_regionkey FROM nation UNION SELECT 2, n_nationkey FROM nation")
+def forbidden_propagate(spark, sf):
+    """Every nation is outside some region, so all values have a support."""
+    return _nations(spark, sf).propagate(spark)
+
+
+def _nations(spark: SparkSession, sf: str) -> Instance:
+    rel = W.relation(spark, sf, W.pairs()["nation_region"], "nation_region")
+    nations, regions = (sorted(r[0] for r in rel.df.select(c).distinct().collect()) for c in rel.scope)  # finite domains
+    other = Relation(rel.df, rel.scope, "other_region", sign=False)
+    return Instance({0: nations, 1: regions, 2: nations}, [Constraint(rel, [0, 1]), Constraint(other, [2, 1])])
+
+
+# Filters with kept state: removals at two depths, and back to the first.
+
+REMOVED_DEEPER = {1: [70], 2: [4, 5, 6, 7, 8, 9, 10]}
+
+
+def _chain_sql() -> str:
+    gone = " AND ".join(f"c{v} NOT IN ({', '.join(map(str, c))})" for v, c in REMOVED_DEEPER.items())
+    steps = [("first", _live_where()), ("deeper", f"{_live_where()} AND {gone}"), ("back", _live_where())]
+    return _with(_rel_cte()) + " " + " UNION ".join(f"SELECT '{n}' AS call, {i} AS var, c{i} AS code FROM rel WHERE {w}" for n, w in steps for i in range(4))
+
+
+def _values(spark: SparkSession, codes: dict[int, list[int]]) -> DataFrame:
+    return spark.createDataFrame([(v, c) for v, listed in codes.items() for c in listed], "var int, code int")
+
+
+def _chain_query(method: str) -> None:
+    def f(spark, sf):
+        state = stateful.kept(_rel(spark, sf), method)
+        first = state.remove(_values(spark, REMOVED), 1)
+        deeper = state.remove(_values(spark, REMOVED_DEEPER), 2)
+        state.back(1)
+        calls = {"first": first, "deeper": deeper, "back": state.supported()}
+        return reduce(DataFrame.unionByName, [d.select(F.lit(n).alias("call"), "var", "code") for n, d in calls.items()])
+
+    query(_chain_sql(), f"filter_chain_{method}")(f)
+
+
+for _m in ("lists", "counters", "counters_reset", "bits", "diagram", "entries", "entries_slices"):
+    _chain_query(_m)
+
+
 @query(
     _with(*_auto(), recursive=True)
     + f" SELECT h.c0, h.c1, h.c2, h.c3, CAST(count(*) FILTER (WHERE {_live_where('t')}) AS BIGINT) AS live, count(*) AS rows FROM won JOIN tup t USING (tid) JOIN chosen h USING (rank) GROUP BY ALL"
@@ -550,12 +656,17 @@ def events_window_items(spark, sf):
     return streams.item_counts(rows, ["c0", "c1"], "1 day").select(F.unix_timestamp("start").alias("start"), "p", "v", "freq")
 
 
-@query()
+@query(
+    _with(("rel", "SELECT DISTINCT ascii(event_type) AS c0, CAST(hour(ts) AS INT) AS c1 FROM events WHERE ts < (SELECT min(ts) + INTERVAL 1 DAY FROM events)"), *_auto(0.4, "min", 2)[1:], recursive=True)
+    + f", e AS ({_EVENTS}), put AS (SELECT e.*, EXISTS (SELECT 1 FROM chosen h WHERE (h.c0 IS NULL OR h.c0 = e.c0) AND (h.c1 IS NULL OR h.c1 = e.c1)) AS fits FROM e)"
+    " SELECT count(*) AS n, count(*) FILTER (WHERE NOT fits) AS n_default, round(count(*) FILTER (WHERE NOT fits) / greatest(count(*), 1), 6) AS share FROM put"
+)
 def events_assignment(spark, sf):
-    """Events put to the entries of the compressed (type, hour) relation, and the share left to its default table."""
+    """All events put to the entries of the (type, hour) relation of the first day, and the share left to its default table."""
     rows = streams.tuples(spark.read.parquet(f"{sf}/events.parquet"))
-    c = compression.area_cover(Relation.of(rows.where("c1 < 12"), ["c0", "c1"]), 0.4, "min")
-    return streams.default_share(streams.assign(rows, c))
+    day = rows.agg((F.min("ts") + F.expr("INTERVAL 1 DAY")).alias("_end"))
+    first = rows.join(day, F.col("ts") < F.col("_end"), "left_semi")
+    return streams.default_share(streams.assign(rows, compression.area_cover(Relation.of(first, ["c0", "c1"]), 0.4, "min")))
 
 
 # The seven-column relations, and the parameters' directions. The walk of the SQL oracle is slow: it has 1,000 tuples of one slice.
@@ -583,13 +694,25 @@ def modular_workloads_report(spark, sf):
     return spark.createDataFrame(out, T.StructType([T.StructField("slice", T.IntegerType()), T.StructField("size", T.IntegerType()), *schema]))
 
 
-@query()
+def _words_sql() -> str:
+    words, out = W.plain(W.words(4, "en", True)), []
+    forms = {f"area_cover_{r}": [("rel", words), *_auto(0.4, r)[1:]] for r in ("min", "mean")}
+    for o in ("savings", "rate"):
+        for c in ("paths", "all"):
+            forms[f"{o}_{c}"] = [("rel", words), *(_paths_ctes(4) if c == "paths" else [_sets_cte(), _maximal_cte("2", 4, "frequent")]), *_greedy_ctes(4, o)]
+    for name, ctes in forms.items():
+        report = _report_sql(4).replace(" FROM chosen", ", (SELECT count(*) FROM cand) AS n_mined FROM chosen")
+        out.append(f"SELECT *, '{name}' AS method FROM ({_with(*ctes, recursive=True)} {report})")
+    return " UNION ALL BY NAME ".join(out)
+
+
+@query(_words_sql())
 def words_compared(spark, sf):
     """Area-cover against the four readings of the itemset baselines on four-letter words: one row of measures each."""
     rel = _rel(spark, sf, W.words(4))
     forms = {"area_cover_min": compression.area_cover(rel, 0.4, "min"), "area_cover_mean": compression.area_cover(rel, 0.4, "mean")}
     forms |= {f"{o}_{c}": compression.slices(rel, 2, c, o) for o in ("savings", "rate") for c in ("paths", "all")}
-    out = [c.report().withColumns({"method": F.lit(m), "n_mined": F.lit(c.n_mined)}) for m, c in forms.items()]
+    out = [c.report().withColumns({"method": F.lit(m), "n_mined": F.lit(c.n_mined).cast("bigint")}) for m, c in forms.items()]
     return reduce(DataFrame.unionByName, out)
 
 
@@ -599,5 +722,5 @@ def booleans_report(spark, sf):
     return compression.area_cover(_rel(spark, sf, W.booleans_large()), 0.2, "mean").report()
 
 
-QUERIES |= solving.QUERIES
-ORACLE_SQL |= solving.ORACLE_SQL
+QUERIES |= solving.QUERIES | experiments.QUERIES
+ORACLE_SQL |= solving.ORACLE_SQL | experiments.ORACLE_SQL

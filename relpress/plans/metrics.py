@@ -36,16 +36,16 @@ def compression_report(c: CompressedRelation) -> DataFrame:
     )
 
 
-def solved(runs: DataFrame) -> DataFrame:
-    """Per method: instances, solved within the limit, and mean CPU seconds of the solved (null when none was)."""
+def solved(runs: DataFrame, *by: str) -> DataFrame:
+    """Per method (and ``by``): instances, solved within the limit, and mean CPU seconds of the solved (null when none was)."""
     done = F.col("status") != "timeout"
-    return runs.groupBy("method").agg(F.count("*").alias("instances"), F.count_if(done).alias("solved"), F.avg(F.when(done, F.col("cpu_s"))).alias("mean_cpu_s"))
+    return runs.groupBy(*by, "method").agg(F.count("*").alias("instances"), F.count_if(done).alias("solved"), F.avg(F.when(done, F.col("cpu_s"))).alias("mean_cpu_s"))
 
 
-def cactus(runs: DataFrame, cost: str = "cpu_s") -> DataFrame:
-    """(method, solved, total): running sum of sorted costs of the solved instances."""
-    w = Window.partitionBy("method").orderBy(cost, "instance_id")
-    return runs.where("status <> 'timeout'").select("method", F.row_number().over(w).alias("solved"), F.sum(cost).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("total"))
+def cactus(runs: DataFrame, cost: str = "cpu_s", *by: str) -> DataFrame:
+    """(by, method, solved, total): running sum of sorted costs of the solved instances."""
+    w = Window.partitionBy(*by, "method").orderBy(cost, "instance_id")
+    return runs.where("status <> 'timeout'").select(*by, "method", F.row_number().over(w).alias("solved"), F.sum(cost).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("total"))
 
 
 def dominance(curve: DataFrame, one: str, two: str) -> DataFrame:

@@ -7,6 +7,8 @@ checked against ``KERNEL_TUPLES`` first.
 
 from __future__ import annotations
 
+import io
+import json
 import time
 from functools import reduce
 
@@ -16,40 +18,51 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..model import Relation
-from ..operators import compression
+from ..operators import local
 from ..sources import workloads as W
-from . import metrics
+from . import kernels, metrics
 from .staging import ship, staged
 
-#: Tuples of all relations of a search together that may go with its tasks.
-KERNEL_TUPLES = 500_000
+#: Tuples of a relation that a search task takes.
+KERNEL_TUPLES = 1_000_000
 
 
 # Cluster forms --------------------------------------------------------------------------------------------------------
 
 
-def propagate(constraints: list[tuple[Relation, list[int]]], domains: DataFrame, max_rounds: int = 1000) -> tuple[DataFrame, int]:
+def propagate(constraints: list[tuple[Relation, list[int]]], domains: DataFrame) -> tuple[DataFrame, int]:
     """Arc-consistent domains (var, code) and the rounds taken; an empty domain empties all.
 
-    Every round filters all constraints in one plan and keeps the values that each constraint on their variable supports.
+    Tuples are kept as rows of their items. A round drops the tuples that hold a value removed in the round before, all
+    constraints in one plan, and keeps the values that each constraint on their variable supports: a value with a live
+    tuple, or, in a table of forbidden tuples, one with fewer live tuples than the others' domains have combinations.
     """
     spark = domains.sparkSession
     parts = []
     for cid, (rel, scope) in enumerate(constraints):
-        values = F.array(*[F.col(c).cast("int") for c in rel.scope])
-        parts.append(rel.df.select(F.lit(cid).alias("cid"), F.array(*map(F.lit, scope)).alias("vars"), values.alias("vals")))
-    table = staged(reduce(DataFrame.unionByName, parts), "constraints")
-    asked = spark.createDataFrame([(v, sum(v in s for _, s in constraints)) for v in sorted({v for _, s in constraints for v in s})], "var int, asked int")
+        first = {v: c for c, v in reversed(list(zip(rel.scope, scope)))}
+        d = rel.df
+        for c, v in zip(rel.scope, scope):  # a variable that stands twice has one value
+            d = d if first[v] == c else d.where(F.col(c) == F.col(first[v]))
+        items = F.array(*[F.struct(F.lit(v).alias("var"), F.col(c).cast("int").alias("code")) for v, c in first.items()])
+        parts.append(d.select(F.lit(cid).alias("cid"), items.alias("x")).distinct())
+    rows = reduce(DataFrame.unionByName, parts).withColumn("tid", F.monotonically_increasing_id())
+    rows = staged(rows.select("cid", "tid", F.explode("x").alias("x")).select("cid", "tid", "x.var", "x.code"), "tuples")
+    asked = spark.createDataFrame([(cid, v, bool(rel.sign)) for cid, (rel, scope) in enumerate(constraints) for v in dict.fromkeys(scope)], "cid int, var int, sign boolean")
     live = staged(domains.select("var", "code").distinct(), "domains")
-    n = live.count()
-    for rounds in range(1, max_rounds + 1):
-        by_var = live.groupBy("var").agg(F.collect_set("code").alias("codes"))
-        domain = F.broadcast(by_var.agg(F.map_from_entries(F.collect_list(F.struct("var", "codes"))).alias("live")))  # one row of the finite domains
-        valid = table.crossJoin(domain).where(F.forall(F.arrays_zip("vars", "vals"), lambda x: F.array_contains(F.col("live")[x["vars"]], x["vals"])))
-        held = valid.select("cid", F.explode(F.arrays_zip("vars", "vals")).alias("x")).select("cid", F.col("x.vars").alias("var"), F.col("x.vals").alias("code")).distinct()
-        counts = held.groupBy("var", "code").agg(F.count("*").alias("n"))
-        kept = live.join(asked, "var", "left").join(counts, ["var", "code"], "left").where(F.coalesce("n", F.lit(0)) == F.coalesce("asked", F.lit(0))).select("var", "code")
-        live = staged(kept, f"domains{rounds}")
+    gone = rows.select("var", "code").distinct().join(live, ["var", "code"], "left_anti")
+    n, rounds = live.count(), 0
+    while True:
+        rounds += 1
+        dead = rows.join(gone, ["var", "code"], "left_semi").select("cid", "tid").distinct()
+        rows = staged(rows.join(dead, ["cid", "tid"], "left_anti"), f"tuples{rounds}")
+        held = rows.groupBy("cid", "var", "code").agg(F.count("*").alias("n"))
+        size = live.groupBy("var").agg(F.count("*").alias("size"))
+        every = asked.join(size, "var").groupBy("cid").agg(F.product("size").alias("every"))
+        value = live.join(asked, "var").join(held, ["cid", "var", "code"], "left").join(every, "cid").join(size, "var")
+        lost = value.where(F.when(F.col("sign"), F.col("n").isNull()).otherwise(F.coalesce("n", F.lit(0)) >= F.col("every") / F.col("size"))).select("var", "code").distinct()
+        gone = staged(lost, f"lost{rounds}")
+        live = staged(live.join(gone, ["var", "code"], "left_anti"), f"domains{rounds}")
         now = live.count()
         if now == n:
             break
@@ -58,38 +71,56 @@ def propagate(constraints: list[tuple[Relation, list[int]]], domains: DataFrame,
     return live.join(wiped.select(F.lit(1).alias("_w")).limit(1), F.lit(True), "left_anti"), rounds
 
 
-def by_join(constraints: list[tuple[Relation, list[int]]]) -> DataFrame:
+def _table(rel: Relation, scope: list[int]) -> DataFrame:
+    """A relation's tuples in columns of its variables; a variable that stands twice must agree."""
+    d = rel.df.select(*[F.col(c).cast("int").alias(f"_{p}") for p, c in enumerate(rel.scope)])
+    first: dict[int, int] = {}
+    for p, v in enumerate(scope):
+        if v in first:
+            d = d.where(F.col(f"_{p}") == F.col(f"_{first[v]}"))
+        first.setdefault(v, p)
+    return d.select(*[F.col(f"_{p}").alias(f"v{v}") for v, p in first.items()]).distinct()
+
+
+def by_join(constraints: list[tuple[Relation, list[int]]], domains: dict[int, list[int]] | None = None) -> DataFrame:
     """All solutions, one column a variable (v0, v1, ...): constraints joined on shared variables, most shared first.
 
-    Problems that fall apart give the product of their parts, as their solutions do.
+    ``domains`` bounds the variables; those that no table of allowed tuples holds take all their values. A table of
+    forbidden tuples is an anti-join once its variables are bound. Problems that fall apart give the product of their
+    parts, as their solutions do.
     """
-    left = list(range(len(constraints)))
+    left = [i for i, (rel, _) in enumerate(constraints) if rel.sign]
+    forbidden = [i for i, (rel, _) in enumerate(constraints) if not rel.sign]
+    if forbidden and domains is None:
+        raise ValueError("a table of forbidden tuples needs the domains of its variables")
 
     def table(i: int) -> DataFrame:
-        rel, scope = constraints[i]
-        d = rel.df.select(*[F.col(c).cast("int").alias(f"_{p}") for p, c in enumerate(rel.scope)])
-        first: dict[int, int] = {}
-        for p, v in enumerate(scope):
-            if v in first:
-                d = d.where(F.col(f"_{p}") == F.col(f"_{first[v]}"))
-            first.setdefault(v, p)
-        return d.select(*[F.col(f"_{p}").alias(f"v{v}") for v, p in first.items()]).distinct()
+        d = _table(*constraints[i])
+        for v, codes in (domains or {}).items():
+            d = d.where(F.col(f"v{v}").isin(codes)) if f"v{v}" in d.columns else d
+        return d
 
-    out = table(left.pop(0))
+    out = table(left.pop(0)) if left else constraints[0][0].df.sparkSession.range(1).select(F.lit(0).alias("_root"))
     while left:
         i = max(left, key=lambda j: (len({f"v{v}" for v in constraints[j][1]} & set(out.columns)), -j))
         left.remove(i)
         d = table(i)
         shared = [c for c in d.columns if c in out.columns]
         out = out.join(d, shared) if shared else out.crossJoin(d)
-    return out.select(*sorted(out.columns, key=lambda c: int(c[1:])))
+    for v, codes in (domains or {}).items():
+        if f"v{v}" not in out.columns:
+            out = out.withColumn(f"v{v}", F.explode(F.array(*[F.lit(x) for x in codes]).cast("array<int>")))
+    for i in forbidden:
+        d = _table(*constraints[i])
+        out = out.join(d, d.columns, "left_anti")
+    return out.select(*sorted((c for c in out.columns if c != "_root"), key=lambda c: int(c[1:])))
 
 
 def check(constraints: list[tuple[Relation, list[int]]], solutions: DataFrame) -> DataFrame:
     """The rows of ``solutions`` (columns v0, v1, ...) that satisfy every constraint."""
     for rel, scope in constraints:
         d = rel.df.select(*[F.col(c).cast("int").alias(f"_{p}") for p, c in enumerate(rel.scope)])
-        solutions = solutions.join(d, reduce(lambda a, b: a & b, [F.col(f"v{v}") == F.col(f"_{p}") for p, v in enumerate(scope)]), "left_semi")
+        solutions = solutions.join(d, reduce(lambda a, b: a & b, [F.col(f"v{v}") == F.col(f"_{p}") for p, v in enumerate(scope)]), "left_semi" if rel.sign else "left_anti")
     return solutions
 
 
@@ -108,8 +139,10 @@ def frontier(constraints: list[tuple[Relation, list[int]]], domains: DataFrame,
         for rel, scope in constraints:
             if var in scope:
                 at = [(p, v) for p, v in enumerate(scope) if v in done]
+                if not rel.sign and len(at) < len(scope):
+                    continue  # forbidden tuples tell nothing before all their variables have values
                 d = rel.df.select(*[F.col(rel.scope[p]).cast("int").alias(f"_{p}") for p, _ in at]).distinct()
-                nodes = nodes.join(d, reduce(lambda a, b: a & b, [F.col(f"v{v}") == F.col(f"_{p}") for p, v in at]), "left_semi")
+                nodes = nodes.join(d, reduce(lambda a, b: a & b, [F.col(f"v{v}") == F.col(f"_{p}") for p, v in at]), "left_semi" if rel.sign else "left_anti")
         if width is not None:
             nodes = nodes.orderBy(*[f"v{v}" for v in done]).limit(width)
         nodes = staged(nodes, f"open{var}")
@@ -119,104 +152,6 @@ def frontier(constraints: list[tuple[Relation, list[int]]], domains: DataFrame,
 # Search kernel --------------------------------------------------------------------------------------------------------
 
 
-class _Flat:
-    """Tabular filter on plain tuples: only changed columns are tested, only unbound ones are sought."""
-
-    def __init__(self, rows: np.ndarray):
-        self.rows, self.cells = rows, 0
-
-    def start(self):
-        return np.arange(len(self.rows))
-
-    def filter(self, alive, live, changed, seek):
-        keep = np.ones(len(alive), bool)
-        for p in changed:
-            self.cells += len(alive)
-            keep &= live[p][self.rows[alive, p]]
-        alive = alive[keep]
-        found = {}
-        for p in seek:
-            self.cells += len(alive)
-            found[p] = np.bincount(self.rows[alive, p], minlength=len(live[p])) > 0
-        return alive, found
-
-
-class _Entries:
-    """The same on entries: a head is tested before its rows, and a dead head costs no row."""
-
-    def __init__(self, parts: list[tuple[dict[int, int], np.ndarray]]):
-        self.parts, self.cells = parts, 0
-
-    def start(self):
-        return [(i, np.arange(len(rows))) for i, (_, rows) in enumerate(self.parts)]
-
-    def filter(self, alive, live, changed, seek):
-        out, found = [], {p: np.zeros(len(live[p]), bool) for p in seek}
-        for i, at in alive:
-            head, rows = self.parts[i]
-            self.cells += len(head)
-            if not all(live[p][v] for p, v in head.items() if p in changed):
-                continue
-            keep = np.ones(len(at), bool)
-            for p in changed:
-                if p not in head:
-                    self.cells += len(at)
-                    keep &= live[p][rows[at, p]]
-            at = at[keep]
-            if not len(at):
-                continue
-            out.append((i, at))
-            for p in seek:
-                if p in head:
-                    found[p][head[p]] = True
-                else:
-                    self.cells += len(at)
-                    found[p] |= np.bincount(rows[at, p], minlength=len(live[p])) > 0
-        return out, found
-
-
-class _Bits:
-    """Bit vectors: the table's words of live tuples, against the words of each value."""
-
-    def __init__(self, rows: np.ndarray, sizes: list[int]):
-        n = -(-len(rows) // 64) * 64
-        self.masks = []
-        for p, size in enumerate(sizes):
-            m = np.zeros((size, n), bool)
-            m[rows[:, p], np.arange(len(rows))] = True
-            self.masks.append(np.packbits(m, axis=1).view(np.uint64))
-        self.all, self.cells = np.packbits(np.arange(n) < len(rows)).view(np.uint64), 0
-
-    def start(self):
-        return self.all
-
-    def filter(self, alive, live, changed, seek):
-        words = np.flatnonzero(alive)
-        now = alive[words]
-        for p in changed:
-            self.cells += len(words) * int(live[p].sum())
-            now = now & np.bitwise_or.reduce(self.masks[p][live[p]][:, words], axis=0) if live[p].any() else now & np.uint64(0)
-        out = np.zeros_like(alive)
-        out[words] = now
-        found = {}
-        for p in seek:
-            self.cells += len(words) * len(live[p])
-            found[p] = (self.masks[p][:, words] & now).any(axis=1)
-        return out, found
-
-
-def _filter_of(method: str, rows: np.ndarray, sizes: list[int], parts) -> _Flat | _Entries | _Bits:
-    """The filter's state over the tuples whose values are in the domains (0 to size - 1)."""
-    limit = np.array(sizes)
-    rows = rows[(rows < limit).all(axis=1)]
-    if parts is not None:
-        fits = [(head, r[(r < limit).all(axis=1)]) for head, r in parts if all(v < sizes[p] for p, v in head.items())]
-        parts = [(head, r) for head, r in fits if len(r)]
-    if method == "bits":
-        return _Bits(rows, sizes)
-    return _Entries(parts) if method.startswith("entries") else _Flat(rows)
-
-
 def depth_first(sizes: list[int], scopes: list[list[int]], tables: list, time_limit_s: float = 1800.0, var_order: str = "smallest", clock=time.process_time) -> dict:
     """Search for one solution: status, solution, nodes (values tried) and cells looked at.
 
@@ -226,8 +161,10 @@ def depth_first(sizes: list[int], scopes: list[list[int]], tables: list, time_li
     began, nodes = clock(), 0
 
     def consistent(live, state, queue):
-        """Filters constraints until none changes a domain; False on a wipe-out."""
+        """Filters constraints until none changes a domain; False on a wipe-out, None when time is up."""
         while queue:
+            if clock() - began > time_limit_s:
+                return None
             i, changed = queue.popitem()
             scope = scopes[i]
             here = {p: live[v] for p, v in enumerate(scope)}
@@ -245,10 +182,14 @@ def depth_first(sizes: list[int], scopes: list[list[int]], tables: list, time_li
                             queue.setdefault(j, set()).update(q for q, w in enumerate(scopes[j]) if w == v)
         return True
 
+    def cells() -> int:  # constraints may share a filter
+        return sum(t.cells for t in {id(t): t for t in tables}.values())
+
     live = [np.ones(s, bool) for s in sizes]
     state = [t.start() for t in tables]
-    if not consistent(live, state, {i: set(range(len(s))) for i, s in enumerate(scopes)}):
-        return {"status": "unsat", "solution": None, "nodes": 0, "cells": sum(t.cells for t in tables), "cpu_s": clock() - began}
+    first = consistent(live, state, {i: set(range(len(s))) for i, s in enumerate(scopes)})
+    if not first:
+        return {"status": "unsat" if first is False else "timeout", "solution": None, "nodes": 0, "cells": cells(), "cpu_s": clock() - began}
     stack = [(live, state, None)]
     status, solution = "unsat", None
     while stack:
@@ -261,7 +202,11 @@ def depth_first(sizes: list[int], scopes: list[list[int]], tables: list, time_li
             nodes += 1
             live, state = list(live), list(state)
             live[v] = np.arange(sizes[v]) == code
-            if not consistent(live, state, {i: {p for p, w in enumerate(scopes[i]) if w == v} for i in on[v]}):
+            went = consistent(live, state, {i: {p for p, w in enumerate(scopes[i]) if w == v} for i in on[v]})
+            if went is None:
+                status = "timeout"
+                break
+            if not went:
                 continue
         free = [v for v in range(len(sizes)) if live[v].sum() > 1]
         if not free:
@@ -269,48 +214,64 @@ def depth_first(sizes: list[int], scopes: list[list[int]], tables: list, time_li
             break
         v = min(free, key={"smallest": lambda x: (live[x].sum(), x), "ratio": lambda x: (live[x].sum() / max(1, len(on[x])), x), "first": lambda x: x}[var_order])
         stack += [(live, state, (v, int(code))) for code in np.flatnonzero(live[v])[::-1]]
-    return {"status": status, "solution": solution, "nodes": nodes, "cells": sum(t.cells for t in tables), "cpu_s": clock() - began}
+    return {"status": status, "solution": solution, "nodes": nodes, "cells": cells(), "cpu_s": clock() - began}
 
 
-def search(spark: SparkSession, instances: list[tuple[str, list[int], list[tuple[int, list[int]]]]], relations: list[Relation], methods: tuple[str, ...] = ("tabular", "entries", "bits"), time_limit_s: float = 1800.0, k: float = 0.4, var_order: str = "smallest") -> DataFrame:
-    """(method, instance_id, status, nodes, cells, cpu_s, solution): every method on every instance, one task each.
+def packed(relations: DataFrame) -> DataFrame:
+    """(rel_id, tuples, blob): each relation of (rel_id, vals) as one array, made in the task that gathers it.
 
-    An instance is (id, domain sizes, constraints); a constraint is (number of its relation, scope). Compression of each
-    relation happens once, on the cluster. 'entries' uses the area-cover form, 'entries_slices' the savings-slice form.
+    A search works on whole relations, so they are bounded first: more than ``KERNEL_TUPLES`` tuples are an error.
     """
+    spark = relations.sparkSession
     ship(spark)
-    total = sum(r.df.count() for r in relations)
-    if total > KERNEL_TUPLES:
-        raise ValueError(f"{total} tuples: more than go with a search task; use propagate and by_join")
-    flat = [np.array([tuple(r) for r in rel.df.orderBy(*rel.scope).collect()], np.int64).reshape(-1, rel.arity) for rel in relations]
-
-    def parts(c):
-        heads = {r["entry"]: {x["p"]: x["v"] for x in r["items"]} for r in c.heads.orderBy("entry").collect()}
-        rows: dict[int, list] = {e: [] for e in heads}
-        for r in c.body.orderBy("tid").collect():
-            row = [0] * c.arity
-            for x in r["items"]:
-                row[x["p"]] = x["v"]
-            rows[r["entry"]].append(row)
-        rest = [[x["v"] for x in r["items"]] for r in c.default.orderBy("tid").collect()]
-        found = [(heads[e], np.array(rows[e], np.int64).reshape(-1, c.arity)) for e in sorted(heads)]
-        return [*found, ({}, np.array(rest, np.int64).reshape(-1, c.arity))] if rest else found
-
-    forms = {}
-    if "entries" in methods:
-        forms["entries"] = [parts(compression.area_cover(r, k)) for r in relations]
-    if "entries_slices" in methods:
-        forms["entries_slices"] = [parts(compression.savings_slice(r)) for r in relations]
-    todo = spark.createDataFrame([(m, i) for m in methods for i in range(len(instances))], "method string, at int")
+    most = relations.groupBy("rel_id").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 0
+    if most > KERNEL_TUPLES:
+        raise ValueError(f"{most} tuples in a relation: more than a search task takes; use propagate and by_join")
+
+    def pack(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
+        rows = local.ordered(np.array(group["vals"].tolist(), np.int32))
+        out = io.BytesIO()
+        np.save(out, rows)
+        return pd.DataFrame({"rel_id": [key[0]], "tuples": [len(rows)], "blob": [out.getvalue()]})
+
+    return staged(relations.groupBy("rel_id").applyInPandas(pack, "rel_id string, tuples bigint, blob binary"), "packed")
+
+
+RUNS = "method string, workload string, instance_id string, status string, nodes bigint, cells bigint, cpu_s double, solution array<int>"
+
+
+def search_all(relations: DataFrame, instances: list[dict], methods: tuple[str, ...], time_limit_s: float = 1800.0, k: float = 0.4, var_order: str = "smallest") -> DataFrame:
+    """(method, workload, instance_id, status, nodes, cells, cpu_s, solution): every method on every instance, one task each.
+
+    ``relations`` is (rel_id, vals); an instance has workload, id, sizes (of the domains) and constraints (rel_id, scope).
+    A task gets the relations of its instance by a join and compresses them itself; only instances pass the driver.
+    """
+    spark = relations.sparkSession
+    blobs = packed(relations)
+    rows = [(m, x["workload"], x["id"], json.dumps([x["sizes"], x["constraints"]]) if not n else None, r) for m in methods for x in instances for n, r in enumerate(sorted({r for r, _ in x["constraints"]}))]
+    todo = spark.createDataFrame(rows, "method string, workload string, instance_id string, spec string, rel_id string")
 
     def solve(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
-        method, at = key
-        name, sizes, constraints = instances[at]
-        tables = [_filter_of(method, flat[r], [sizes[v] for v in scope], forms.get(method, [None] * len(flat))[r]) for r, scope in constraints]
+        sizes, constraints = json.loads(next(s for s in group["spec"] if s))
+        rows = {r: np.load(io.BytesIO(b)).astype(np.int64) for r, b in zip(group["rel_id"], group["blob"])}
+        made: dict = {}
+        for r, scope in constraints:
+            at = (r, *[sizes[v] for v in scope])
+            if at not in made:
+                made[at] = kernels.build(key[0], rows[r], list(at[1:]), k)
+        tables = [made[(r, *[sizes[v] for v in scope])] for r, scope in constraints]
         out = depth_first(sizes, [s for _, s in constraints], tables, time_limit_s, var_order)
-        return pd.DataFrame([{"method": method, "instance_id": name, **{x: out[x] for x in ("status", "nodes", "cells", "cpu_s")}, "solution": out["solution"]}])
+        return pd.DataFrame([{"method": key[0], "workload": key[1], "instance_id": key[2], **{x: out[x] for x in ("status", "nodes", "cells", "cpu_s")}, "solution": out["solution"]}])
+
+    return todo.join(blobs, "rel_id").groupBy("method", "workload", "instance_id").applyInPandas(solve, RUNS)
 
-    return todo.groupBy("method", "at").applyInPandas(solve, "method string, instance_id string, status string, nodes bigint, cells bigint, cpu_s double, solution array<int>")
+
+def search(spark: SparkSession, instances: list[tuple[str, list[int], list[tuple[int, list[int]]]]], relations: list[Relation], methods: tuple[str, ...] = ("tabular", "entries", "bits"), time_limit_s: float = 1800.0, k: float = 0.4, var_order: str = "smallest") -> DataFrame:
+    """``search_all`` for a few relations given as such: an instance is (id, domain sizes, constraints), a constraint
+    (number of its relation, scope)."""
+    every = reduce(DataFrame.unionByName, [r.df.select(F.lit(str(i)).alias("rel_id"), F.array(*[F.col(c).cast("int") for c in r.scope]).alias("vals")) for i, r in enumerate(relations)])
+    listed = [{"workload": "", "id": name, "sizes": list(sizes), "constraints": [(str(r), list(scope)) for r, scope in constraints]} for name, sizes, constraints in instances]
+    return search_all(every, listed, tuple(methods), time_limit_s, k, var_order).drop("workload")
 
 
 def word_grid(n: int) -> list[list[int]]:
@@ -410,37 +371,6 @@ def wordgrid_solutions(spark, sf):
     return check([(words, scope) for scope in word_grid(2)], found).agg(F.count("*").alias("n"), F.sum("v0").alias("s"))
 
 
-def _runs(spark, sf):
-    words = [W.relation(spark, sf, W.words(n, "es")) for n in (3, 4)]
-    modular = W.relation(spark, sf, W.modular(300, 20))
-    instances = [(f"grid{n}", [26] * (n * n), [(n - 3, s) for s in word_grid(n)]) for n in (3, 4)]
-    instances += [(f"mod{seed}", [8] * 12, [(2, s) for _, s in scattered(seed, 12, 4, 7, 1)]) for seed in range(4)]
-    return search(spark, instances, [*words, modular], ("tabular", "entries", "entries_slices", "bits"), time_limit_s=60)
-
-
-@_query()
-def search_solved(spark, sf):
-    """Every method on word grids and modular problems; equal consistency gives equal nodes."""
-    return _runs(spark, sf).select("method", "instance_id", "status", "nodes", "cells")
-
-
-@_query()
-def cactus_curve(spark, sf):
-    """The cumulative curve of cells looked at, which unlike seconds is the same in every run."""
-    return metrics.cactus(staged(_runs(spark, sf), "runs"), "cells")
-
-
-@_query()
-def curve_crossings(spark, sf):
-    curve = staged(metrics.cactus(staged(_runs(spark, sf), "runs"), "cells"), "curve")
-    return metrics.dominance(curve, "entries", "tabular")
-
-
-@_query()
-def solved_summary(spark, sf):
-    return metrics.solved(_runs(spark, sf)).select("method", "instances", "solved")
-
-
 @_query(
     "SELECT 'grid' AS workload, 1 AS instances, 4 AS max_vars, (SELECT count(DISTINCT c) FROM (SELECT c0 AS c FROM w UNION ALL SELECT c1 FROM w)) AS max_values, 1 AS max_relations, (SELECT count(*) FROM w) AS max_tuples, 2 AS max_columns, 4 AS max_constraints".join((f"WITH w AS ({W.plain(W.words(2, 'es', True))}) ", ""))
 )

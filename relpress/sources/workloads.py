@@ -33,9 +33,13 @@ def dense_quantity() -> str:
     return _select(["ascii(l_returnflag)", "ascii(l_linestatus)", "round(l_discount * 100)", "round(l_tax * 100)", "l_quantity"], "{lineitem}")
 
 
-def booleans_large() -> str:
-    """18 two-valued columns (W1)."""
-    return _select(_LINE, "{lineitem}")
+def booleans_large(size: int | None = None) -> str:
+    """18 two-valued columns (W1), cut to ``size`` tuples by an arithmetic scramble."""
+    inner = _select(_LINE, "{lineitem}")
+    if size is None:
+        return inner
+    mix = " + ".join(f"c{i} * {(4099 * (i + 1) ** 2) % 65521}" for i in range(len(_LINE)))
+    return f"SELECT * FROM ({inner}) AS t ORDER BY ({mix}) % 64997, {', '.join(f'c{i}' for i in range(len(_LINE)))} LIMIT {size}"
 
 
 def booleans_small() -> str:
@@ -51,6 +55,15 @@ def modular(size: int = 2500, slices: int = 20, which: int = 0) -> str:
     return f"SELECT * FROM ({inner}) AS t ORDER BY {mix}, c0, c1, c2, c3, c4, c5, c6 LIMIT {size}"
 
 
+def modular_slices(size: int, slices: int) -> str:
+    """All slices of the modular columns, each cut to ``size`` as ``modular`` cuts one: which, c0 to c6."""
+    parts = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "CAST(l_quantity AS INT)", "CAST(round(l_discount * 100) AS INT)", "CAST(round(l_tax * 100) AS INT)"]
+    cols = ", ".join(f"c{i}" for i in range(7))
+    inner = f"SELECT DISTINCT CAST(floor(l_orderkey / 8) AS BIGINT) % {slices} AS which, {', '.join(f'CAST(({p}) % 8 AS INT) AS c{i}' for i, p in enumerate(parts))} FROM {{lineitem}}"
+    mix = "(4099 * c0 + 2053 * c1 + 1031 * c2 + 521 * c3 + 257 * c4 + 131 * c5 + 67 * c6) % 997"
+    return f"SELECT which, {cols} FROM (SELECT *, row_number() OVER (PARTITION BY which ORDER BY {mix}, {cols}) AS place FROM ({inner}) AS t) AS u WHERE place <= {size}"
+
+
 def words(length: int, lang: str | None = "en", duckdb: bool = False) -> str:
     """Words of one length, a column a letter (W7 with one language, W8 with all)."""
     where = f"WHERE lang = '{lang}'" if lang else ""
@@ -71,6 +84,26 @@ def configurator() -> str:
       FROM {lineitem} JOIN {orders} ON l_orderkey = o_orderkey JOIN {part} ON l_partkey = p_partkey JOIN {supplier} ON l_suppkey = s_suppkey JOIN {customer} ON o_custkey = c_custkey"""
 
 
+def configurator_parts() -> list[tuple[str, int, str]]:
+    """The configurator's relations (name, columns, SQL) in small codes from 0: letters count from A."""
+    letter = "ascii({}) - 65"
+    joined = "{lineitem} JOIN {orders} ON l_orderkey = o_orderkey JOIN {part} ON l_partkey = p_partkey JOIN {supplier} ON l_suppkey = s_suppkey JOIN {customer} ON o_custkey = c_custkey"
+    brand, kind, size = "CAST(substr(p_brand, 7) AS INT)", letter.format("p_type"), "p_size"
+    status, flag, line, segment = letter.format("o_orderstatus"), letter.format("l_returnflag"), letter.format("l_linestatus"), letter.format("c_mktsegment")
+    priority = "CAST(substr(o_orderpriority, 1, 1) AS INT)"
+    ten = _select([brand, kind, size, "s_nationkey", segment, priority, status, flag, line, "c_nationkey"], joined)
+    cols = [f"c{i}" for i in range(10)]
+    mix = " + ".join(f"{c} * {p}" for c, p in zip(cols, (4099, 2053, 1031, 521, 257, 131, 67, 37, 17, 7)))
+    return [
+        ("parts", 10, f"SELECT * FROM ({ten}) AS t ORDER BY ({mix}) % 9973, {', '.join(cols)} LIMIT 48721"),
+        ("product", 3, _select([brand, kind, size], "{part}")),
+        ("nation_region", 2, _select(["n_nationkey", "n_regionkey"], "{nation}")),
+        ("nation_segment", 2, _select(["c_nationkey", segment], "{customer}")),
+        ("status_priority", 2, _select([status, priority], "{orders}")),
+        ("flag_status", 2, _select([flag, line], "{lineitem}")),
+    ]
+
+
 def labelled() -> str:
     """Language, source number, quality and toxicity of documents, -1 where there is no label (W9c)."""
     return """SELECT DISTINCT ascii(lang) * 256 + ascii(substr(lang, 2, 1)) AS c0, CAST(substr(source, 4) AS INT) AS c1, coalesce(quality, -1) AS c2, coalesce(toxic, -1) AS c3
@@ -93,8 +126,12 @@ def plain(sql: str) -> str:
     return re.sub(r"\{(\w+)\}", r"\1", sql)
 
 
+def rows(spark: SparkSession, sf_dir: str, sql: str) -> DataFrame:
+    tables: dict[str, DataFrame] = {t: spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in sorted(set(re.findall(r"\{(\w+)\}", sql)))}
+    return spark.sql(sql, **tables)
+
+
 def relation(spark: SparkSession, sf_dir: str, sql: str, name: str = "relation") -> Relation:
     """Run a workload's SQL over the Parquet tables it names."""
-    tables: dict[str, DataFrame] = {t: spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in set(re.findall(r"\{(\w+)\}", sql))}
-    df = spark.sql(sql, **tables)
+    df = rows(spark, sf_dir, sql)
     return Relation(df.select(*[df[c].cast("int").alias(c) for c in df.columns]), df.columns, name)

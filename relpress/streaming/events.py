@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
-from ..functions.itemsets import as_items
+from ..functions.itemsets import as_items, mask_of, value_at
 from ..model import CompressedRelation
 
 
@@ -51,13 +51,18 @@ def assign(rows: DataFrame, c: CompressedRelation) -> DataFrame:
     """``rows`` with the entry that covers each tuple, or -1 for the default table: one static join for each column set.
 
     Covers of entries are disjoint on the relation they were built from; a new tuple that fits several goes to the first.
+    The driver holds column sets, of which a relation of few columns has few; heads stay a table.
     """
-    heads = c.heads.collect()  # the driver holds column sets and the plan's literals, so heads are checked first
-    if len(heads) > 10_000:
-        raise ValueError(f"{len(heads)} heads: join on the heads table instead")
-    fits = [(h["entry"], reduce(lambda a, b: a & b, [F.col(c.scope[x["p"]]) == x["v"] for x in h["items"]])) for h in sorted(heads, key=lambda h: h["entry"])]
-    entry = F.coalesce(*[F.when(f, F.lit(e)) for e, f in fits], F.lit(-1)) if fits else F.lit(-1)
-    return rows.withColumn("entry", entry.cast("bigint"))
+    heads = c.heads.select("entry", "items", mask_of(F.col("items")).alias("mask"))
+    masks = sorted(r["mask"] for r in heads.select("mask").distinct().collect())
+    out, found = rows, []
+    for m in masks:
+        at = [p for p in range(c.arity) if m >> p & 1]
+        side = heads.where(F.col("mask") == m).select(F.col("entry").alias(f"_e{m}"), *[value_at(F.col("items"), p).alias(f"_e{m}_{p}") for p in at])
+        out = out.join(side, reduce(lambda a, b: a & b, [F.col(c.scope[p]) == F.col(f"_e{m}_{p}") for p in at]), "left")
+        found.append(f"_e{m}")
+    first = F.least(*found) if len(found) > 1 else F.col(found[0]) if found else F.lit(None)
+    return out.select(*rows.columns, F.coalesce(first, F.lit(-1)).cast("bigint").alias("entry"))
 
 
 def append(rows: DataFrame, c: CompressedRelation, path: str, checkpoint: str, once: bool = True) -> StreamingQuery:
