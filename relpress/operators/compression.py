@@ -140,7 +140,7 @@ def smart(rel: Relation, s_min: int = 2) -> tuple[DataFrame, DataFrame]:
     parts = []
     for x in range(rel.arity):
         for y in range(x + 1, rel.arity):
-            others = F.filter("items", lambda i, x=x, y=y: (i["p"] != x) & (i["p"] != y))
+            others = F.filter("items", lambda i: (i["p"] != x) & (i["p"] != y))
             d = tuples.select("tid", F.lit(x).alias("x"), F.lit(y).alias("y"), others.alias("items"), value_at(F.col("items"), x).alias("a"), value_at(F.col("items"), y).alias("b"))
             parts.append(d.withColumn("op", F.when(F.col("a") == F.col("b"), "=").when(F.col("a") < F.col("b"), "<").otherwise(">")))
     each = parts[0]

@@ -12,6 +12,7 @@ All return (items, len, freq); frequencies count tuples, ``freq >= s_min``.
 from __future__ import annotations
 
 import heapq
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -179,8 +180,8 @@ def _shards(rel: Relation, s_min: int, only_maximal: bool, most_rows: int, most:
 
     ship(rel.df.sparkSession)
     items = frequent_items(rel, s_min)
-    # The order of items, rare to frequent; as many rows as the domains have values together.
-    order = items.select("p", "v", F.row_number().over(Window.orderBy("freq", "p", "v")).alias("o"))
+    # The order of items, rare to frequent: increasing numbers along a sort by ranges, not dense.
+    order = staged(items.orderBy("freq", "p", "v").select("p", "v", F.monotonically_increasing_id().alias("o")), "items")
     tuples = rel.df.select(F.explode(as_items(rel.scope)).alias("x"), *rel.scope)
     held = tuples.join(order, (F.col("x.p") == F.col("p")) & (F.col("x.v") == F.col("v"))).groupBy(*rel.scope).agg(F.sort_array(F.collect_list(F.struct("o", "p", "v"))).alias("s"))
     # Tuples that agree on their frequent items are one row with a weight.
@@ -189,11 +190,16 @@ def _shards(rel: Relation, s_min: int, only_maximal: bool, most_rows: int, most:
 
     def mine(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
         place: dict[int, tuple[int, int]] = {}
-        lists = []
-        for s in group["s"]:
+        lists, held = [], Counter()
+        for s, w in zip(group["s"], group["w"]):
             lists.append([x["o"] for x in s])
+            held.update(dict.fromkeys(lists[-1], int(w)))
             place.update({x["o"]: (x["p"], x["v"]) for x in s})
-        names = sorted(place)
+        # What is rare within the shard is in none of its sets, and makes no column.
+        names = sorted(o for o, n in held.items() if n >= s_min)
+        if not set(key[0]) <= set(names):
+            return pd.DataFrame({"items": pd.Series([], dtype=object), "len": [], "freq": []})
+        lists = [[o for o in one if held[o] >= s_min] for one in lists]
         at = {o: i for i, o in enumerate(names)}
         rows = np.zeros((len(lists), len(names)), bool)
         for r, one in enumerate(lists):

@@ -78,7 +78,10 @@ SCORES = {"area": "len * freq", "savings": "len * (freq - 1)", "rate": "round(le
 
 
 def _greedy_ctes(a: int = 4, objective: str = "area") -> list[tuple[str, str]]:
-    """From ``cand`` to ``chosen`` (the candidate's columns, its place, its covered tuples), walking the order."""
+    """From ``cand`` to ``chosen`` (the candidate's columns, its place, the tuples it covers), walking the order.
+
+    A path of the prefix tree is ranked by the tuples on it, but covers all that hold its items.
+    """
     cols = [f"c{i}" for i in range(a)]
     items = "list_filter([" + ", ".join(f"{{'p': {i}, 'v': c{i}}}" for i in range(a)) + "], lambda x: x.v IS NOT NULL)"
     join = " AND ".join(f"(r.c{i} = t.c{i} OR r.c{i} IS NULL)" for i in range(a))
@@ -93,7 +96,7 @@ def _greedy_ctes(a: int = 4, objective: str = "area") -> list[tuple[str, str]]:
                SELECT c.rank, CASE WHEN list_has_any(w.covered, c.tids) THEN w.covered ELSE list_concat(w.covered, c.tids) END, NOT list_has_any(w.covered, c.tids)
                FROM walk w JOIN cov c ON c.rank = w.rank + 1""",
         ),
-        ("chosen", "SELECT r.*, c.tids FROM walk w JOIN ranked r USING (rank) JOIN cov c USING (rank) WHERE taken"),
+        ("chosen", "SELECT r.* EXCLUDE (freq), len(c.tids) AS freq, c.tids FROM walk w JOIN ranked r USING (rank) JOIN cov c USING (rank) WHERE taken"),
         ("won", "SELECT rank, unnest(tids) AS tid FROM chosen"),
     ]
 
@@ -468,7 +471,7 @@ def _smart_sql() -> str:
             whole = f"SELECT {op.format('a', 'b')} AS op, count(*) AS n FROM (SELECT DISTINCT c{x} AS a FROM rel), (SELECT DISTINCT c{y} AS b FROM rel) GROUP BY 1"
             held = f"SELECT {', '.join(rest)}, {op.format(f'c{x}', f'c{y}')} AS op, count(*) AS n FROM rel GROUP BY ALL"
             groups.append(f"SELECT {x} AS x, {y} AS y, h.op, {', '.join(f'h.c{i}' if f'c{i}' in rest else f'NULL AS c{i}' for i in range(4))}, h.n AS freq FROM ({held}) h JOIN ({whole}) w ON h.op = w.op AND h.n = w.n WHERE h.n >= 2")
-    items = "list_filter([" + ", ".join(f"{{'p': {i}, 'v': c{i}}}" for i in range(4)) + "], z -> z.v IS NOT NULL)"
+    items = "list_filter([" + ", ".join(f"{{'p': {i}, 'v': c{i}}}" for i in range(4)) + "], lambda z: z.v IS NOT NULL)"
     fits = " AND ".join(f"(g.c{i} IS NULL OR g.c{i} = t.c{i})" for i in range(4))
     at = {v: "CASE " + " ".join(f"WHEN g.{v} = {i} THEN t.c{i}" for i in range(4)) + " END" for v in "xy"}
     return _with(
