@@ -3,11 +3,14 @@
 Method. A byte string has one encoding only, and each of its prefixes has one last token: the token that ends there,
 starts where a shorter prefix ends, and is compatible with that prefix's own last token. Two tokens are compatible if
 merging their joined bytes by rank gives the two back. Tokens that end at a position are found by walking left as long
-as the bytes read are a suffix of some token (the table of suffixes acts as the suffix automaton's links). Following the
+as the bytes read are a suffix of some token: the automaton of all tokens' suffixes, held as a table from suffix to the token
+it is, if any, with one byte more to the left as its transition. Following the
 stored last tokens backwards yields the ids. Encodings of recurring pre-tokens are kept in a bounded two-generation memo.
 
 Edge cases. Null counts as the empty text (no tokens). Added special tokens in a text become their ids, as the
-tokenizers library does. Repeated rows give repeated results; other columns are not read.
+tokenizers library does. Very long texts are cut into pre-tokens, and a long pre-token is worked off prefix by prefix, in
+time linear in its length for the tokens' bounded length. An empty table gives an empty table. Repeated rows give repeated
+results; other columns, of any names, are not read.
 """
 
 from __future__ import annotations

@@ -9,7 +9,9 @@ Fitting. Document frequencies count every training document. Centroids are fitte
 ``PER_LANGUAGE`` expected documents a language, drawn by a hash of the id; each language is fitted in one task.
 
 Edge cases. A null text, or one without a letter, is ``und`` with score 0 and counts as rejected. Rows without a language
-do not train. Without any training row every text is ``und``. Repeated rows give repeated results and count repeatedly.
+do not train. Without any training row every text is ``und``. Equally near centroids: the language that sorts first. Very
+long texts are counted in blocks that end between words, with the counts of the whole. An empty table gives an empty table.
+Repeated rows give repeated results and count repeatedly. Only the id, text and language columns are read.
 """
 
 from __future__ import annotations

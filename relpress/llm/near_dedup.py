@@ -18,7 +18,8 @@ So only the estimate can lose a link: it asks for ``SHARED`` of the union's ``K`
 likeness 0.85 misses with a chance of 1.4e-8, one of 0.8 with 9.2e-7.
 
 Edge cases. Null or blank texts have the empty set and link with nothing; texts under five words have one shingle, the
-whole sequence. Repeated rows of one doc_id give repeated result rows; a null doc_id is kept, linked with nothing.
+whole sequence; very long texts are hashed in blocks that end at a blank. An empty table gives an empty table. Only the id and
+text columns are read. Repeated rows of one doc_id give repeated result rows; a null doc_id is kept, linked with nothing.
 """
 
 from __future__ import annotations
@@ -163,7 +164,7 @@ def _confirm(words: int, percent: int):
 
 
 def near_components(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 85) -> DataFrame:
-    """One row per document: ``id_col``, n_shingles, component_id (smallest reachable id), n_links of its class found."""
+    """One row per document: ``id_col``, n_shingles, component_id (smallest reachable id), class_links (links of its class that were found)."""
     small_batches(spark)
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     sk = written(spark, src.mapInArrow(_sketches(words), "doc_id long, n long, f1 long, f2 long, sketch array<long>"), "sketches")

@@ -8,8 +8,10 @@ it covers is removed, and the next is grown. The list is emitted as one ``CASE W
 
 The learner reads a sample bounded by ``SAMPLE`` expected labelled rows (numbers only, drawn by a hash of the id).
 
-Edge cases. Null text counts as empty: no words, so it fails the base rule. Rows without a label do not train; without
-labels the list is empty and only the base rule decides. Repeated rows are judged alike.
+Edge cases. Null text counts as empty: no words, so it fails the base rule. Very long texts are measured whole. Rows without
+a label do not train; a document labelled twice takes the lower label; without labels the list is empty and only the base
+rule decides. Conditions of equal gain: the statistic listed first, its lower cut. Repeated rows are judged alike. An empty
+table gives an empty table. Only the id and text columns are read, so further columns may have any names.
 """
 
 from __future__ import annotations
@@ -22,8 +24,8 @@ from pyspark.sql import functions as F
 
 from .common import WORD, written
 
-#: Expected labelled rows read; candidate cuts of a statistic; conditions of a rule; rules; least precision; least share of rows a rule covers.
-SAMPLE, CUTS, MOST, RULES, PRECISE, COVERS = 20_000, 48, 3, 16, 0.9, 0.002
+#: Expected labelled rows read; candidate cuts of a statistic; conditions of a rule; least precision; least share of rows a rule covers.
+SAMPLE, CUTS, MOST, PRECISE, COVERS = 20_000, 48, 3, 0.9, 0.002
 _BLANKS = " \t\n\u000b\f\r"
 #: Statistics that rules may test, all ratios or counts that do not grow with the corpus.
 STATISTICS = ("n_words", "mean_word", "symbol_share", "dup_line_share", "repeat_share", "upper_share", "digit_share", "bang_share", "distinct_share", "stop_line_share")
@@ -119,7 +121,7 @@ def learn(x: dict[str, np.ndarray], low: np.ndarray, aside: np.ndarray, statisti
     def counts(at: np.ndarray) -> tuple[int, int]:
         return int((at & low).sum()), int((at & ~low).sum())
 
-    while len(rules) < RULES and (left & low).any():
+    while (left & low).any():
         at, rule = left & ~aside, []
         while len(rule) < MOST:
             p0, n0 = counts(at)

@@ -9,8 +9,13 @@ the plain sum, fitted on the training documents, gives the score.
 
 Fitting uses a sample of labelled rows bounded by ``SAMPLE`` expected documents, drawn by a hash of the id.
 
-Edge cases. Null and empty texts have no hits and get the score of a document without any. Rows without a label do not
-train; without training rows the seed lexicon alone is used. Repeated rows give repeated results.
+The lexicon holds every word beginning and every exception phrase of the sample that pass their thresholds, so the sample
+bounds its size, too.
+
+Edge cases. Null and empty texts have no hits and get the score of a document without any. Very long texts are folded in
+blocks that end at a blank. Rows without a label do not train; a document labelled twice is toxic if one label says so;
+without training rows the seed lexicon alone is used. Equal weights are all kept, so ties decide nothing. An empty table gives
+an empty table. Repeated rows give repeated results. Only the id and text columns are read.
 """
 
 from __future__ import annotations
@@ -29,8 +34,8 @@ from pyspark.sql import functions as F
 
 from .common import small_batches, written
 
-#: Expected labelled documents a fit reads; least toxic documents of an entry; least log-odds; entries; letters of a beginning.
-SAMPLE, SUPPORT, ODDS, ENTRIES, LETTERS = 20_000, 6, 2.0, 2000, (4, 10)
+#: Expected labelled documents a fit reads; least toxic documents of an entry; least log-odds; letters of a beginning.
+SAMPLE, SUPPORT, ODDS, LETTERS = 20_000, 6, 2.0, (4, 10)
 #: Mild insults that are known without any label (fixed values).
 SEED_WORDS = ("idiot", "moron", "stupid", "loser", "scum", "worthless", "pathetic", "trash", "clown", "disgusting")
 SEED_WEIGHT = 4.0
@@ -171,7 +176,7 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, training: Colum
     n1, n0 = (rows.where(F.col("y") == y).count() for y in (1, 0))
     terms = rows.mapInArrow(counted, "term string, tox long, rest long").groupBy("term").agg(F.sum("tox").alias("tox"), F.sum("rest").alias("rest"))
     odds = F.log((F.col("tox") + 0.5) / F.lit(n1 + 1.0)) - F.log((F.col("rest") + 0.5) / F.lit(n0 + 1.0))
-    best = terms.where(F.col("tox") >= SUPPORT).withColumn("odds", odds).where(F.col("odds") > ODDS).orderBy(F.desc(F.col("odds") * F.log1p("tox")), "term").limit(ENTRIES).collect()
+    best = terms.where(F.col("tox") >= SUPPORT).withColumn("odds", odds).where(F.col("odds") > ODDS).orderBy("term").collect()  # bounded with the sample
     weights = {r["term"]: float(r["odds"]) for r in best}
     for r in best:  # a longer entry that its own beginning already covers as well adds nothing
         t = r["term"]
@@ -194,7 +199,7 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, training: Colum
         yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in keys], pa.string()), pa.array([y for _, y in keys], pa.int32()), pa.array([seen[k] for k in keys], pa.int64())], names=["phrase", "y", "n"])
 
     pairs = rows.mapInArrow(phrases, "phrase string, y int, n long").groupBy("phrase").agg(F.sum(F.when(F.col("y") == 1, F.col("n")).otherwise(0)).alias("tox"), F.sum(F.when(F.col("y") == 0, F.col("n")).otherwise(0)).alias("rest"))
-    calm = pairs.where((F.col("rest") >= 3) & (F.col("rest") * F.lit(n1) > 4 * F.col("tox") * F.lit(n0))).orderBy(F.desc("rest"), "phrase").limit(ENTRIES)
+    calm = pairs.where((F.col("rest") >= 3) & (F.col("rest") * F.lit(n1) > 4 * F.col("tox") * F.lit(n0)))
     lexicon = Lexicon(weights, {r["phrase"] for r in calm.collect()}, default.curve)
 
     def summed(batches):

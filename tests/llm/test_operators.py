@@ -1,12 +1,14 @@
 import collections
 import hashlib
 import re
+import zlib
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from relpress.llm import bpe, language_id, line_dedup, mixing, near_dedup, quality_rules, secret_scan, spot_signatures, suffix_dedup, toxicity
+from relpress.llm.queries import QUERIES
 
 from .helpers import SCHEMA, WORD, numbered, table
 
@@ -81,6 +83,15 @@ def test_language(spark, empty):
     assert by_id(language_id.identify(d, nobody))[0]["lang_pred"] == "und"
 
 
+def test_language_blocks_do_not_show(monkeypatch):
+    text = " ".join(x or "" for _, x in numbered()) + " é\u0301漢字 12 the end"
+    whole = language_id.gram_counts(text)
+    for block in (1, 37, 500):
+        monkeypatch.setattr(language_id, "_BLOCK", block)
+        assert (language_id.gram_counts(text) == whole).all()
+    assert language_id.gram_counts("12 \u0301 !") is None
+
+
 # Line runs
 
 
@@ -165,6 +176,26 @@ def test_secrets(spark, empty):
     assert secret_scan.scan(spark, empty).count() == 0
 
 
+def test_secret_places_in_a_text_of_many(spark, monkeypatch):
+    """Running sums over blocks give the places of all matches, whatever the size of a block."""
+    text = " ".join(f"é{k} token: ab{k:06d} " + ("zX9qLm3Vt8RkP2wYb6NdHs4J%d" % k if k % 3 else "plainwordsonlyhereandthere") for k in range(40))
+    assign = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
+    runs = [m.span() for m in re.finditer(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{16,}={0,2}", text) if not re.fullmatch("[A-Z]?[a-z]+|[A-Z]+", m[0])]
+    for block in (1, 7, 256):
+        monkeypatch.setattr(secret_scan, "_BLOCK", block)
+        r = secret_scan.spans(table(spark, [(1, text), (2, None)])).orderBy("doc_id").collect()
+        assert [(x["s"], x["e"]) for x in r[0]["assign"]] == [m.span() for m in assign.finditer(text) if len(m[2]) >= 6]
+        assert [x["token"] for x in r[0]["assign"]] == [m[2] for m in assign.finditer(text)] and [(x["s"], x["e"]) for x in r[0]["random"]] == runs
+        assert r[1]["assign"] == r[1]["random"] == []
+
+
+def test_verdicts_of_base_spans(spark):
+    rows = [(1, 'password = "aaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaaa"'), (2, "secret: zX9qLm3Vt8RkP2wYb6NdHs4Jf7Gc"), (3, "token: abc123")]
+    got = by_id(secret_scan.scan(spark, table(spark, rows)))
+    assert [[x["verdict"] for x in got[i]["tested"]] for i in (1, 2, 3)] == [["regular"], ["random"], ["short"]]
+    assert all(got[i]["random"] == [] and len(got[i]["base"]) == 1 for i in got)
+
+
 def test_battery_tells_random_from_regular(spark):
     import random
 
@@ -271,6 +302,29 @@ def test_spot_pairs_lose_none(spark, docs):
     assert {(r["a"], r["b"]) for r in spot_signatures.near_pairs(docs, 0.5).collect()} == want
 
 
+def test_near_classes(spark):
+    """Components of near fingerprints, equal to those of all pairs; a hot passage and equal texts among them."""
+    family = [(3 * i + 2, t) for i, t in near_family(6, 30)]
+    rows = [*numbered(), *[(i + 1000, "the big dog and the cat of " + " the ".join(t.split())) for i, t in family]]
+    d = table(spark, rows).select("doc_id", spot_signatures.fingerprint(F.col("text")).alias("s")).withColumns({"f1": F.xxhash64("s"), "f2": F.xxhash64(F.lit(7), F.col("s"))})
+    d = d.cache()
+    sets = {r["doc_id"]: frozenset(r["s"]) for r in d.collect()}
+    parent = {i: i for i in sets}
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a in sets:
+        for b in sets:
+            if a < b and jaccard(sets[a], sets[b]) >= 0.8:
+                x, y = sorted((find(a), find(b)))
+                parent[y] = x
+    got = {r["doc_id"]: r["near_id"] for r in d.join(spot_signatures.near_classes(spark, d), ["f1", "f2"]).collect()}
+    assert got == {i: find(i) for i in sets} and len(set(got.values())) < len(got) - 20
+
+
 # Mixing
 
 
@@ -428,6 +482,76 @@ def test_bpe_blocks_do_not_show(monkeypatch):
     assert bpe.Encoder(bpe.default_path()).encode(text) == whole and e.decode(whole) == text
 
 
-def test_digests(spark):
-    """The queries' digests are those of the operators' outputs."""
-    assert spark.range(1).select(F.sha2(F.lit("").cast("binary"), 256)).first()[0] == hashlib.sha256(b"").hexdigest()
+# The contract's queries
+
+
+def sha(data):
+    return hashlib.sha256(data if isinstance(data, bytes) else data.encode()).hexdigest()
+
+
+@pytest.fixture(scope="module")
+def tables(spark, tmp_path_factory):
+    """Folders of documents and labels: the awkward rows, some of them repeated by text, and empty tables."""
+    full, none = str(tmp_path_factory.mktemp("full")), str(tmp_path_factory.mktemp("none"))
+    rows = [*numbered(), (200, "secret: zX9qLm3Vt8RkP2wYb6NdHs4Jf7Gc é AKIA" + "Q7Z2" * 5)]
+    docs = spark.createDataFrame([(i, t, ("en", "de", None)[i % 3], ("s1", "s2", None)[i % 3], len(t or "")) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    labels = spark.createDataFrame([(i, i % 2, int(i % 5 == 1)) for i, _ in rows[::2]], "doc_id long, quality int, toxic int")
+    for folder, n in ((full, 1 << 20), (none, 0)):
+        docs.limit(n).coalesce(2).write.parquet(f"{folder}/documents.parquet")
+        labels.limit(n).coalesce(1).write.parquet(f"{folder}/labels.parquet")
+    return full, none, rows
+
+
+@pytest.mark.parametrize("name", sorted(QUERIES))
+def test_queries_against_brute_force(spark, tables, name):
+    full, none, rows = tables
+    got = by_id(QUERIES[name](spark, full))
+    texts = {i: t or "" for i, t in rows}
+    assert set(got) == set(texts) and QUERIES[name](spark, none).count() == 0
+    words = {i: WORD.findall(t) for i, t in texts.items()}
+
+    def check(f, *columns):
+        assert {i: tuple(got[i][c] for c in columns) for i in got} == {i: f(i) for i in texts}
+
+    match name.partition("_")[0]:
+        case "op1":
+            check(lambda i: (len(words[i]), sum(map(len, words[i]))), "n_words", "word_chars")
+            assert all(not r["kept"] for r in got.values() if r["base_failed"]) and all(r["base_failed"] for r in got.values() if r["n_words"] < 50)
+        case "op2":
+            assert all(r["held_out"] == (zlib.crc32(str(i).encode()) % 3 == 1) and 0 <= r["score"] <= 1 for i, r in got.items())
+            assert all((got[i]["lang_pred"] == "und") == (not any(c.isalpha() for c in t)) for i, t in texts.items())
+        case "op3":
+            kept = brute_lines(rows, 5)
+            check(lambda i: (len(texts[i].split("\n")), sha(kept[i])), "n_lines", "kept_sha256")
+        case "op4":
+            assert got[200]["base_sha256"] == sha("assign:0:36,access:39:63") and got[200]["n_access"] == 1 and got[200]["spans"] == "assign:0:36,access:39:63"
+            assert {r["base_sha256"] for i, r in got.items() if i != 200} == {sha("")}
+        case "op5":
+            want = brute_bytes(rows, 100)
+            check(lambda i: (len(texts[i].encode()), len(texts[i].encode()) - len(want[i][0]), want[i][1], sha(want[i][0])), "n_bytes", "n_removed", "n_spans", "kept_sha256")
+        case "op6":
+            assert all(r["held_out"] == (zlib.crc32(str(i).encode()) % 5 == 0) and 0 <= r["score"] <= 1 and r["predicted"] == int(r["score"] >= 0.5) for i, r in got.items())
+        case "op7":
+            order = sorted(texts, reverse=True)
+            after = {i: texts[order[(k + 1) % len(order)]] for k, i in enumerate(order)}
+            check(lambda i: (len(texts[i]), sha(texts[i][: len(texts[i]) - len(texts[i]) // 3] + after[i][: len(texts[i]) // 3])), "n_chars", "edited_sha256")
+            prints = {i: set(r["fingerprint"].split()) for i, r in got.items()}
+            assert all(got[i]["near_next"] == pytest.approx(jaccard(prints[i], prints[order[(k + 1) % len(order)]])) for k, i in enumerate(order))
+            assert all(r["near_edited"] == pytest.approx(jaccard(prints[i], set(r["edited_fingerprint"].split()))) and r["near_id"] <= i for i, r in got.items())
+        case "op8":
+            source = {i: ("s1", "s2", None)[i % 3] for i in texts}
+            held = collections.Counter()
+            for i in texts:
+                held[source[i]] += len(words[i])
+            want = mixing.shares(list(held.items()))
+            check(lambda i: (len(words[i]), held[source[i]], want[source[i]]), "size", "source_size", "target")
+            assert all(0 <= r["taken"] <= 3 * r["size"] for r in got.values())
+        case "op9":
+            want = brute_near(rows, 85)
+            check(lambda i: (*want[i], want[i][1] == i), "n_shingles", "component_id", "kept")
+        case "op10":
+            from tokenizers import Tokenizer
+
+            t = Tokenizer.from_file(bpe.default_path())
+            ids = {i: t.encode(x, add_special_tokens=False).ids for i, x in texts.items()}
+            check(lambda i: (len(ids[i]), sha(np.array(ids[i], "<u4").tobytes()), sha(t.decode(ids[i], skip_special_tokens=False))), "n_tokens", "ids_sha256", "decoded_sha256")
