@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relpress.llm import bpe, language_id, line_dedup, mixing, near_dedup
-from relpress.llm.common import WORD, documents, written
+from relpress.llm.common import WORD, col, documents, free_name, written
 
 
 def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -20,22 +20,25 @@ def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts less their later copies of line runs; documents of which no word is left go."""
-    found = line_dedup.dedup_lines(spark, docs).select(*docs.columns).where(F.col("text").rlike(WORD))
+    found = line_dedup.dedup_lines(spark, docs).select(*[col(c) for c in docs.columns]).where(F.col("text").rlike(WORD))
     return found.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else found
 
 
 def dedup_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies (likeness 0.8 on five-word shingles)."""
     found = near_dedup.near_components(spark, docs, percent=80)
-    kept = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi")
+    name = free_name(docs, "kept_id")
+    kept = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col(name)), "left_semi")
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents repeated as often as the mix takes them; those it leaves out go."""
-    taken = mixing.mix(spark, docs).groupBy(F.col("doc_id").alias("_id")).agg(F.max("copies").cast("int").alias("_copies")).where("_copies > 0")
-    both = docs.join(taken, F.col("doc_id").eqNullSafe(F.col("_id")))
-    return both.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*docs.columns)
+    taken = mixing.mix(spark, docs).groupBy(F.col("doc_id").alias("mixed_id")).agg(F.max("copies").cast("int").alias("copies")).where("copies > 0")
+    row = docs.select(F.struct(*[col(c) for c in docs.columns]).alias("row"))
+    both = row.join(taken, F.col("row.doc_id").eqNullSafe(F.col("mixed_id")))
+    each = both.select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy"))
+    return each.select(*[F.col("row").getField(c).alias(c) for c in docs.columns])
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
