@@ -44,6 +44,8 @@ ANCHORS = tuple(
 _FIRST = -(1 << 63)
 #: Classes (expected) of which the frequency of spots is estimated, and the most frequent spots that come last in the order.
 SAMPLE, LAST = 20_000, 500
+#: Lists in which two classes must meet to be compared, for likenesses over 0.75; one list for lower ones.
+MEET = 3
 
 
 def fingerprint(text: Column) -> Column:
@@ -138,19 +140,24 @@ def band(n: Column, least: float) -> Column:
     return F.floor(F.log(n.cast("double")) / F.lit(-math.log(least)) + F.lit(1e-9)).cast("int")
 
 
+def _meet(least: float) -> int:
+    return MEET if least > 0.75 else 1
+
+
 def _posted(classes: DataFrame, least: float) -> DataFrame:
     """(x, part, c, n, home): each class under its rarest spots, in the partition of its size (home) and the next one up.
 
-    Two sets ``least`` alike share a spot among the first n - ceil(least * n) + 1 of each, in any one order of spots. The order
-    here is by hash, with the spots last that are most frequent in a sample: what the sample says makes lists short or long
-    but loses nothing.
+    Two sets ``least`` alike share ``meet`` spots among the first n - ceil(least * n) + ``meet`` of each, in any one order of
+    spots. The order here is by hash, with the spots last that are most frequent in a sample: what the sample says makes lists
+    short or long but loses nothing. A set too small for so many shared spots is like no other than itself.
     """
+    meet = _meet(least)
     drawn = classes.where(F.pmod(F.xxhash64("c"), F.lit(1 << 20)) < F.lit(float(1 << 20) * SAMPLE / max(1, classes.count())))
     often = drawn.select(F.explode("s").alias("x")).groupBy("x").agg(F.count("*").alias("df")).where("df > 2").orderBy(F.desc("df"), "x").limit(LAST).collect()
     last = F.array(*[F.lit(r["x"]) for r in reversed(often)]).cast("array<int>")
-    need = (F.col("n") - F.ceil(F.lit(least) * F.col("n") - 1e-9) + 1).cast("int")
+    need = (F.col("n") - F.ceil(F.lit(least) * F.col("n") - 1e-9) + meet).cast("int")
     first = F.slice(F.concat(F.array_except("s", last), F.array_intersect(last, "s")), F.lit(1), need)
-    post = classes.select("c", "n", F.explode(first).alias("x")).withColumn("b", band(F.col("n"), least))
+    post = classes.where((F.lit(meet) == 1) | (F.col("n") > meet)).select("c", "n", F.explode(first).alias("x")).withColumn("b", band(F.col("n"), least))
     part = F.explode(F.array(F.struct(F.col("b").alias("part"), F.lit(True).alias("home")), F.struct((F.col("b") + 1).alias("part"), F.lit(False).alias("home"))))
     return post.withColumn("p", part).select("x", "p.part", "c", "n", "p.home")
 
@@ -160,36 +167,38 @@ def near_classes(spark: SparkSession, docs: DataFrame, least: float = 0.8) -> Da
     fingerprints at least ``least`` alike are linked.
 
     Equal fingerprints are one class. Lists of a spot and a partition of sizes are worked off twice: each class with the least
-    of its list, which is linear, then what lies in other components than most of its list. A pair that is in one component
-    already can join nothing, so no link is lost.
+    of its list, which is linear, then what lies in other components than most of its list. Pairs that meet in enough lists
+    are compared. A pair that is in one component already can join nothing, so no link is lost.
     """
     least_id = F.min(F.coalesce(F.col("doc_id").cast("long"), F.lit(_FIRST)))
-    classes = written(spark, docs.groupBy("f1", "f2").agg(least_id.alias("c"), F.max("s").alias("s"), F.count("*").alias("copies")).withColumn("n", F.size("s")), "classes")
+    classes = written(spark, docs.groupBy("f1", "f2").agg(least_id.alias("c"), F.max("s").alias("s")).withColumn("n", F.size("s")), "classes")
     sets = classes.where("n > 0").select("c", "n", "s")
     posted = written(spark, _posted(sets, least), "posted")
     lists = posted.groupBy("x", "part").agg(F.count("*").alias("m"), F.min(F.when(F.col("home"), F.col("c"))).alias("pivot")).where("m > 1 AND pivot IS NOT NULL")
     lists = written(spark, lists, "lists")
     joined = written(spark, hot_join(posted, lists, ["x", "part"], "m").drop("m"), "joined")
-    fits = f"least(na, nb) >= {least} * greatest(na, nb) - 1e-9"
+    drop_written(spark, posted, lists)
 
     def near(pairs: DataFrame) -> DataFrame:
-        one = sets.select(F.col("c").alias("a"), F.col("n").alias("na"), F.col("s").alias("sa"))
-        two = sets.select(F.col("c").alias("b"), F.col("n").alias("nb"), F.col("s").alias("sb"))
-        met = pairs.join(one, "a").join(two, "b").where(fits)
-        return met.where(likeness(F.col("sa"), F.col("sb"), least) >= least).select("a", "b")
-
-    links = written(spark, near(joined.where("pivot <> c").select(F.col("pivot").alias("a"), F.col("c").alias("b")).distinct()), "links")
+        """The pairs (one row for each list they met in) that are alike."""
+        met = pairs.groupBy("a", "b").agg(F.count("*").alias("met")).where(F.col("met") >= _meet(least))
+        one = sets.select(F.col("c").alias("a"), F.col("s").alias("sa"))
+        two = sets.select(F.col("c").alias("b"), F.col("s").alias("sb"))
+        return met.join(one, "a").join(two, "b").where(likeness(F.col("sa"), F.col("sb"), least) >= least).select("a", "b")
+
+    fits = f"least({{0}}, {{1}}) >= {least} * greatest({{0}}, {{1}}) - 1e-9"
+    links = written(spark, near(joined.where("pivot <> c").select(F.col("pivot").alias("a"), F.col("c").alias("b"))), "links")
     comp = written(spark, connected_components(spark, links).select(F.col("node").alias("c"), "component"), "components")
     placed = joined.join(comp, "c", "left").withColumn("component", F.coalesce("component", "c"))
     split = placed.groupBy("x", "part").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("x", "part")
     placed = written(spark, placed.join(split, ["x", "part"]).drop("pivot"), "placed")
+    drop_written(spark, joined)
     main = placed.groupBy("x", "part", "component").count().groupBy("x", "part").agg(F.max_by("component", F.struct("count", "component")).alias("main"))
-    rest = placed.join(main, ["x", "part"]).where("component <> main").drop("main")
-    pairs = rest.alias("u").join(placed.alias("v"), F.expr(f"u.x = v.x AND u.part = v.part AND u.component <> v.component AND (u.home OR v.home) AND least(u.n, v.n) >= {least} * greatest(u.n, v.n) - 1e-9"))
-    pairs = pairs.select(F.least("u.c", "v.c").alias("a"), F.greatest("u.c", "v.c").alias("b")).distinct()
+    placed = placed.join(main, ["x", "part"]).withColumn("rest", F.col("component") != F.col("main")).drop("main")
+    apart = f"u.x = v.x AND u.part = v.part AND u.component <> v.component AND (NOT v.rest OR u.c < v.c) AND (u.home OR v.home) AND {fits.format('u.n', 'v.n')}"
+    pairs = placed.where("rest").alias("u").join(placed.alias("v"), F.expr(apart)).select(F.least("u.c", "v.c").alias("a"), F.greatest("u.c", "v.c").alias("b"))
     every = written(spark, links.unionByName(near(pairs)), "links")
     comp = written(spark, connected_components(spark, every).select(F.col("node").alias("c"), "component"), "components")
-    drop_written(spark, posted, lists, joined, placed)
     found = classes.select("f1", "f2", "c").join(comp, "c", "left").withColumn("near_id", F.coalesce("component", "c"))
     return found.select("f1", "f2", F.when(F.col("near_id") != _FIRST, F.col("near_id")).alias("near_id"))
 
@@ -202,6 +211,7 @@ def near_pairs(docs: DataFrame, least: float = 0.8, id_col: str = "doc_id", text
     posted = _posted(classes, least)
     a, b = posted.alias("a"), posted.alias("b")
     fits = f"a.x = b.x AND a.part = b.part AND (a.home OR b.home) AND a.c < b.c AND least(a.n, b.n) >= {least} * greatest(a.n, b.n) - 1e-9"
-    pairs = a.join(b, F.expr(fits)).select(F.col("a.c").alias("a"), F.col("b.c").alias("b")).distinct()
+    met = a.join(b, F.expr(fits)).groupBy(F.col("a.c").alias("a"), F.col("b.c").alias("b")).agg(F.count("*").alias("met"))
+    pairs = met.where(F.col("met") >= _meet(least)).drop("met")
     one, two = classes.select(F.col("c").alias("a"), F.col("s").alias("sa")), classes.select(F.col("c").alias("b"), F.col("s").alias("sb"))
     return pairs.join(one, "a").join(two, "b").select("a", "b", likeness(F.col("sa"), F.col("sb"), least).alias("likeness")).where(F.col("likeness") >= least)
