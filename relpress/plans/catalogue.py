@@ -7,7 +7,6 @@ from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from ..functions.itemsets import as_items, saving, spread
@@ -684,17 +683,16 @@ MODULAR_SLICES, MODULAR_SIZES = 20, (2500, 5000, 7500, 10000)
 def modular_workloads_report(spark, sf):
     """Every slice of the seven-column relations at the workloads' sizes (W3-W6): one row of measures for each slice and size.
 
-    A slice that a size does not cut is the same relation at all larger sizes, and is compressed once.
+    All slices are compressed in one job, a task each.
     """
-    out, schema = [], None
-    for which in range(MODULAR_SLICES):
-        row = None
-        for size in MODULAR_SIZES:
-            if row is None or row["tuples"] == last:
-                report = compression.area_cover(_rel(spark, sf, W.modular(size, MODULAR_SLICES, which)), 0.2, "mean").report()
-                row, last, schema = report.first(), size, report.schema
-            out.append((which, size, *row))
-    return spark.createDataFrame(out, T.StructType([T.StructField("slice", T.IntegerType()), T.StructField("size", T.IntegerType()), *schema]))
+    parts = []
+    for size in MODULAR_SIZES:
+        rows = W.rows(spark, sf, W.modular_slices(size, MODULAR_SLICES))
+        parts.append(rows.select(F.concat_ws("_", F.lit(size), "which").alias("rel_id"), F.array(*[F.col(f"c{i}").cast("int") for i in range(7)]).alias("vals")))
+    found = experiments.compressed(reduce(DataFrame.unionByName, parts), {"area_cover": (lambda rows: experiments.varied(rows, 0.2, "mean"), False)})
+    at = F.split("rel_id", "_")
+    columns = ["tuples", "cells", "n_used", "covered", "saved", "compressed_share", "table_rate", "mean_len", "mean_freq"]
+    return found.select(at[1].cast("int").alias("slice"), at[0].cast("int").alias("size"), *columns)
 
 
 def _words_sql() -> str:

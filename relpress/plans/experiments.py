@@ -101,7 +101,7 @@ def listed(spark: SparkSession, seeds: int) -> DataFrame:
 _STORED: dict[tuple, DataFrame] = {}
 
 
-def runs(spark: SparkSession, sf_dir: str, benchmarks: tuple[str, ...] = BENCHMARKS, methods: tuple[str, ...] = tuple(kernels.METHODS), seeds: int = 2, time_limit_s: float = 5.0) -> DataFrame:
+def runs(spark: SparkSession, sf_dir: str, benchmarks: tuple[str, ...] = BENCHMARKS, methods: tuple[str, ...] = tuple(kernels.METHODS), seeds: int = 2, time_limit_s: float = 2.0) -> DataFrame:
     """(method, workload, instance_id, status, nodes, cells, cpu_s, solution), run once for each session and folder."""
     key = (spark.sparkContext.applicationId, sf_dir, benchmarks, methods, seeds, time_limit_s)
     if key not in _STORED:
@@ -118,7 +118,7 @@ def _all_sets(rows: np.ndarray, objective: str):
     return local.choose(rows, sets, objective), len(sets), 2
 
 
-def _varied(rows: np.ndarray, k: float = 0.4, reduce: str = "mean", objective: str = "area", kind: str = "maximal", s_min: int | None = None):
+def varied(rows: np.ndarray, k: float = 0.4, reduce: str = "mean", objective: str = "area", kind: str = "maximal", s_min: int | None = None):
     s = s_min or local.threshold(rows, k, reduce)
     sets = local.maximal(rows, s) if kind == "maximal" else local.frequent(rows, s)
     return local.choose(rows, sets, objective), len(sets), s
@@ -126,17 +126,17 @@ def _varied(rows: np.ndarray, k: float = 0.4, reduce: str = "mean", objective: s
 
 #: Readings of the compressors, and whether they take every frequent set, which wide relations have too many of.
 READINGS = {
-    "area_cover_mean": (lambda r: _varied(r), False),
-    "area_cover_min": (lambda r: _varied(r, reduce="min"), False),
+    "area_cover_mean": (lambda r: varied(r), False),
+    "area_cover_min": (lambda r: varied(r, reduce="min"), False),
     "savings_paths": (lambda r: local.savings_slice(r, "savings"), False),
     "savings_best_path": (lambda r: (local.best_path(r), len(local.paths(r)), 2), False),
     "rate_paths": (lambda r: local.savings_slice(r, "rate"), False),
     "savings_all": (lambda r: _all_sets(r, "savings"), True),
     "rate_all": (lambda r: _all_sets(r, "rate"), True),
 }
-SWEEP = {f"k{int(100 * k)}_{r}": (lambda rows, k=k, r=r: _varied(rows, k, r), False) for k in (0.2, 0.3, 0.4, 0.5, 0.6) for r in ("min", "mean")}
-ABLATIONS = {f"objective_{o}": (lambda rows, o=o: _varied(rows, objective=o), False) for o in local.SCORES}
-ABLATIONS |= {"candidates_frequent": (lambda rows: _varied(rows, kind="frequent"), True), "threshold_2": (lambda rows: _varied(rows, s_min=2), False)}
+SWEEP = {f"k{int(100 * k)}_{r}": (lambda rows, k=k, r=r: varied(rows, k, r), False) for k in (0.2, 0.3, 0.4, 0.5, 0.6) for r in ("min", "mean")}
+ABLATIONS = {f"objective_{o}": (lambda rows, o=o: varied(rows, objective=o), False) for o in local.SCORES}
+ABLATIONS |= {"candidates_frequent": (lambda rows: varied(rows, kind="frequent"), True), "threshold_2": (lambda rows: varied(rows, s_min=2), False)}
 #: Columns up to which readings over every frequent set are run.
 ALL_SETS = 8
 
@@ -158,7 +158,7 @@ def compressed(rels: DataFrame, readings: dict) -> DataFrame:
             return pd.DataFrame(columns=["method", "rel_id", *[x.split()[0] for x in _REPORT.split(", ")]])
         return pd.DataFrame([{"method": method, "rel_id": rel_id, **local.report(rows, *reading(rows))}])
 
-    todo = blobs.crossJoin(F.broadcast(methods))  # a few names
+    todo = blobs.crossJoin(F.broadcast(methods)).repartition(max(1, blobs.count() * len(readings)), "rel_id", "method")  # a few names; a task each
     return todo.groupBy("method", "rel_id").applyInPandas(run, f"method string, rel_id string, {_REPORT}")
 
 
@@ -182,7 +182,7 @@ def _query(f):
 
 @_query
 def search_solved(spark, sf):
-    """Every method on every problem of all benchmarks, five seconds each; equal consistency gives equal nodes."""
+    """Every method on every problem of all benchmarks, two seconds of CPU each; equal consistency gives equal nodes."""
     return runs(spark, sf).select("method", "workload", "instance_id", "status", "nodes", "cells", "cpu_s")
 
 

@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import io
 import json
+import pickle
 import time
 from functools import reduce
 
@@ -237,6 +238,18 @@ def packed(relations: DataFrame) -> DataFrame:
     return staged(relations.groupBy("rel_id").applyInPandas(pack, "rel_id string, tuples bigint, blob binary"), "packed")
 
 
+def formed(blobs: DataFrame, forms: list[str], k: float) -> DataFrame:
+    """(rel_id, form, body): each relation in each form, a task each."""
+    wanted = blobs.sparkSession.createDataFrame([(f,) for f in forms], "form string")
+
+    def make(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
+        rows = np.load(io.BytesIO(group["blob"].iloc[0])).astype(np.int64)
+        return pd.DataFrame({"rel_id": [key[0]], "form": [key[1]], "body": [pickle.dumps(kernels.FORMS[key[1]](rows, k))]})
+
+    each = blobs.crossJoin(F.broadcast(wanted))  # a few names
+    return staged(each.repartition(max(1, blobs.count() * len(forms)), "rel_id", "form").groupBy("rel_id", "form").applyInPandas(make, "rel_id string, form string, body binary"), "forms")
+
+
 RUNS = "method string, workload string, instance_id string, status string, nodes bigint, cells bigint, cpu_s double, solution array<int>"
 
 
@@ -244,26 +257,30 @@ def search_all(relations: DataFrame, instances: list[dict], methods: tuple[str,
     """(method, workload, instance_id, status, nodes, cells, cpu_s, solution): every method on every instance, one task each.
 
     ``relations`` is (rel_id, vals); an instance has workload, id, sizes (of the domains) and constraints (rel_id, scope).
-    A task gets the relations of its instance by a join and compresses them itself; only instances pass the driver.
+    Relations are compressed once, a task each; the task of an instance gets them by a join. Only instances pass the driver.
     """
     spark = relations.sparkSession
     blobs = packed(relations)
-    rows = [(m, x["workload"], x["id"], json.dumps([x["sizes"], x["constraints"]]) if not n else None, r) for m in methods for x in instances for n, r in enumerate(sorted({r for r, _ in x["constraints"]}))]
-    todo = spark.createDataFrame(rows, "method string, workload string, instance_id string, spec string, rel_id string")
+    forms = sorted({f for _, f in (kernels.METHODS[m] for m in methods) if f})
+    rows = [(m, kernels.METHODS[m][1], x["workload"], x["id"], json.dumps([x["sizes"], x["constraints"]]) if not n else None, r) for m in methods for x in instances for n, r in enumerate(sorted({r for r, _ in x["constraints"]}))]
+    todo = spark.createDataFrame(rows, "method string, form string, workload string, instance_id string, spec string, rel_id string").join(blobs, "rel_id")
+    todo = todo.join(formed(blobs, forms, k), ["rel_id", "form"], "left") if forms else todo.withColumn("body", F.lit(None).cast("binary"))
 
     def solve(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
         sizes, constraints = json.loads(next(s for s in group["spec"] if s))
         rows = {r: np.load(io.BytesIO(b)).astype(np.int64) for r, b in zip(group["rel_id"], group["blob"])}
+        bodies = {r: pickle.loads(b) for r, b in zip(group["rel_id"], group["body"]) if b is not None}
         made: dict = {}
         for r, scope in constraints:
             at = (r, *[sizes[v] for v in scope])
             if at not in made:
-                made[at] = kernels.build(key[0], rows[r], list(at[1:]), k)
+                made[at] = kernels.build(key[0], rows[r], list(at[1:]), k, bodies.get(r))
         tables = [made[(r, *[sizes[v] for v in scope])] for r, scope in constraints]
         out = depth_first(sizes, [s for _, s in constraints], tables, time_limit_s, var_order)
         return pd.DataFrame([{"method": key[0], "workload": key[1], "instance_id": key[2], **{x: out[x] for x in ("status", "nodes", "cells", "cpu_s")}, "solution": out["solution"]}])
 
-    return todo.join(blobs, "rel_id").groupBy("method", "workload", "instance_id").applyInPandas(solve, RUNS)
+    todo = todo.repartition(len(methods) * len(instances), "method", "workload", "instance_id")  # a search is a task's worth
+    return todo.groupBy("method", "workload", "instance_id").applyInPandas(solve, RUNS)
 
 
 def search(spark: SparkSession, instances: list[tuple[str, list[int], list[tuple[int, list[int]]]]], relations: list[Relation], methods: tuple[str, ...] = ("tabular", "entries", "bits"), time_limit_s: float = 1800.0, k: float = 0.4, var_order: str = "smallest") -> DataFrame:
