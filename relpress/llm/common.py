@@ -80,6 +80,20 @@ def hot_join(rows: DataFrame, classes: DataFrame, by: list[str], count: str) ->
     return rows.join(hot, by).unionByName(cold)
 
 
+def salted_join(rows: DataFrame, classes: DataFrame, by: list[str], count: str, spread: list[str], parts: int = 64) -> DataFrame:
+    """As ``hot_join`` for rows that are computed on the way: they pass once, and those of a hot key are dealt over ``parts``
+    tasks by a hash of ``spread``, each with a copy of the key's class."""
+    every, most = classes.agg(F.sum(count), F.max(count)).first()
+    limit = max((every or 0) // HOT_KEYS, 1000)
+    if (most or 0) <= limit:
+        return rows.join(classes, by)
+    hot = F.broadcast(classes.where(F.col(count) > limit).select(*by, F.lit(True).alias("hot_key")))
+    salt = F.when(F.col("hot_key"), F.pmod(F.xxhash64(*spread), F.lit(parts)).cast("int")).otherwise(0)
+    dealt = rows.join(hot, by, "left").withColumn("salt", salt).drop("hot_key")
+    copies = F.when(F.col(count) > limit, F.sequence(F.lit(0), F.lit(parts - 1))).otherwise(F.array(F.lit(0)))
+    return dealt.join(classes.withColumn("salt", F.explode(copies)), [*by, "salt"]).drop("salt")
+
+
 def drop_written(spark: SparkSession, *tables: DataFrame) -> None:
     """Delete intermediates that no later plan reads."""
     jvm = spark.sparkContext._jvm

@@ -18,12 +18,13 @@ that work on one offset serves all suffixes before it. Only suffixes that can ma
    identifiers of longer stretches before and after the anchor are built from those of shorter ones.
 
 Scale. Each step aggregates before it shuffles; text meets its (few) places twice, by document id. A bucket that a third of
-all segments are in gets its count by broadcast (``hot_join``). Nothing is collected.
+all segments are in is dealt over many tasks (``salted_join``), a segment that often goes by broadcast (``hot_join``). Nothing is
+collected.
 
 Edge cases. Null and empty texts have 0 bytes and no removal; texts under ``least`` bytes lose nothing; very long texts are
 read in overlapping slices. An empty table gives an empty table. Only the id and text columns are read, so further columns
 may have any names. Ids must tell texts apart: rows repeated with their id are one document and each gets its result. A null
-id stands before all others. Segments are told apart by their bucket (64 bits) and two identifiers of all their bytes (128
+id stands before all others. Segments are told apart by their bucket (64 bits) and two identifiers of all their bytes (96
 bits), strings by 128 bits; unlike segments of a small bucket are compared byte by byte.
 """
 
@@ -34,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import GOLD, col, drop_written, hot_join, mix64, small_batches, written
+from .common import GOLD, col, drop_written, hot_join, mix64, salted_join, small_batches, written
 
 #: Bytes of a first bucket; unlike segments of a bucket up to which they are compared in pairs; strings of a block.
 Q, FEW, BLOCK = 16, 64, 8
@@ -83,7 +84,7 @@ def _segments(a: np.ndarray, starts: np.ndarray, ends: np.ndarray, least: int) -
     last = at[np.r_[np.flatnonzero(new)[1:] - 1, len(at) - 1]] if len(at) else first
     doc = np.searchsorted(starts, first, side="right") - 1
     # Two texts may meet in one stretch only through a gap, as the last strings of a text are no valid places.
-    # The second identifier comes from other buckets, so that both together are 128 bits of every byte.
+    # The second identifier comes from other buckets, so that both together are 96 bits of every byte.
     more = (last - first).astype(np.uint64) * _SEEDS[1]
     two = _buckets(a, _SEEDS[1])
     seg = [mix64(_refined(x, first, least) * GOLD + _refined(x, last, least) + more) for x in (bucket, two)]
@@ -118,7 +119,7 @@ def _anchors(least: int):
                 h, g, g2, doc, place, more, off = _segments(np.frombuffer(b"".join(x[2] for x in group), np.uint8), ends - lengths, ends, least)
                 own, offset = np.array([x[0] for x in group]), np.array([x[1] for x in group], np.int64)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(h.view(np.int64)), pa.array(g.view(np.int64)), pa.array(g2.view(np.int64)), pa.array(ids[own[doc]]), pa.array((place + offset[doc]).astype(np.int64) << 20 | more << 10 | off)],
+                    [pa.array(h.view(np.int64)), pa.array(g.view(np.int64)), pa.array((g2 >> np.uint64(32)).astype(np.uint32).view(np.int32)), pa.array(ids[own[doc]]), pa.array((place + offset[doc]).astype(np.int64) << 20 | more << 10 | off)],
                     names=["h", "g", "g2", "i", "k"],
                 )
 
@@ -276,9 +277,10 @@ def dedup_substrings(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id
     small_batches(spark)
     d = docs.select(F.coalesce(col(id_col).cast("long"), F.lit(_FIRST)).alias("i"), col(text_col).cast("string").alias("t"))
     # A segment's place, further strings and anchor's offset go as one number, in the order of places.
-    anchors = written(spark, d.mapInArrow(_anchors(least), "h long, g long, g2 long, i long, k long"), "anchors")
+    # Of unique text it is cheaper to read the anchors twice than to write them.
+    anchors = d.mapInArrow(_anchors(least), "h long, g long, g2 int, i long, k long")
     again = written(spark, anchors.groupBy("h").agg(F.count("*").alias("n")).where("n > 1"), "again")
-    live = written(spark, hot_join(anchors, again, ["h"], "n").drop("n"), "segments")
+    live = written(spark, salted_join(anchors, again, ["h"], "n", ["i", "k"]).drop("n"), "segments")
     place, more, off = F.shiftright("k", 20), F.shiftright("k", 10).bitwiseAND(F.lit(1023)).cast("int"), F.col("k").bitwiseAND(F.lit(1023)).cast("int")
     alike = written(spark, live.groupBy("h", "g", "g2").agg(F.min(F.struct("i", "k")).alias("first"), F.count("*").alias("n")), "classes")
     copied = written(spark, alike.where("n > 1").select("h", "g", "g2", "first", "n"), "copied")
@@ -301,6 +303,6 @@ def dedup_substrings(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id
     single = strings.join(first, ["w1", "w2"]).where(F.col("first") < F.struct("i", "s")).select("i", "s", (F.col("s") + least).alias("e"))
     cut = few.unionByName(later).unionByName(single).groupBy("i").agg(F.collect_list(F.struct("s", "e")).alias("places"))
     gone = written(spark, whole.unionByName(cut).groupBy("i").agg(F.flatten(F.collect_list("places")).alias("places")), "places")
-    drop_written(spark, anchors, again, copied, live, alike, parts, whole, blocks, named, strings)
+    drop_written(spark, again, copied, live, alike, parts, whole, blocks, named, strings)
     out = d.join(gone, "i", "left").select("i", "t", "places").mapInArrow(_cut, "i long, n_bytes long, n_removed long, n_spans long, kept binary")
     return out.select(F.when(F.col("i") != _FIRST, F.col("i")).alias(id_col), "n_bytes", "n_removed", "n_spans", "kept")
