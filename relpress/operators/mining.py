@@ -108,20 +108,53 @@ def maximal(frequent_sets: DataFrame) -> DataFrame:
     return frequent_sets.join(parents_of(frequent_sets).select("items"), "items", "left_anti")
 
 
+class _Bits:
+    """Tuples by items as words of 64 tuples, with weighted counts of covers."""
+
+    def __init__(self, rows: np.ndarray, weight: np.ndarray):
+        n = -(-len(rows) // 64) * 64
+        bits = np.zeros((rows.shape[1], n), bool)
+        bits[:, : len(rows)] = rows.T
+        self.cols = np.packbits(bits, axis=1).view(np.uint64)
+        self.planes = []
+        for b in range(int(weight.max()).bit_length() if len(weight) else 0):
+            plane = np.zeros(n, bool)
+            plane[: len(rows)] = weight >> b & 1
+            self.planes.append((1 << b, np.packbits(plane).view(np.uint64)))
+
+    def cover(self, items) -> np.ndarray:
+        return np.bitwise_and.reduce(self.cols[items])
+
+    def size(self, cover: np.ndarray) -> int:
+        return sum(w * int(np.bitwise_count(cover & plane).sum()) for w, plane in self.planes)
+
+    def counts(self, cover: np.ndarray) -> np.ndarray:
+        """For every item, the weight of the cover's tuples that hold it."""
+        return sum(w * np.bitwise_count(self.cols & (cover & plane)).sum(axis=1, dtype=np.int64) for w, plane in self.planes)
+
+
+#: Words of a shard up to which all covers are bit vectors; larger ones are cut down to the covered rows as they are refined.
+BIT_WORDS = 1 << 16
+
+
 def enumerate_closed(rows: np.ndarray, weight: np.ndarray, prefix: list[int], s_min: int, only_maximal: bool) -> Iterator[tuple[np.ndarray, int]]:
     """Closed (or maximal) sets of one shard, whose rarest items are ``prefix``. ``rows`` is tuples by items, rarest first.
 
     Depth first without a store of what was found: a branch extends by items after the last one chosen, and is left if
     the closure brings in an item before that one that the branch did not hold, as another branch meets that set.
     """
+    small = rows.shape[1] * -(-len(rows) // 64) <= BIT_WORDS
+    bits = _Bits(rows, weight) if small else None
     held = np.zeros(rows.shape[1], bool)
     held[prefix] = True
-    stack = [(np.flatnonzero(rows[:, prefix].all(axis=1)), prefix[-1], held)]
+    stack = [(bits.cover(prefix) if small else np.flatnonzero(rows[:, prefix].all(axis=1)), prefix[-1], held)]
     while stack:
         cover, core, held = stack.pop()
-        sub, w = rows[cover], weight[cover]
-        total = int(w.sum())
-        counts = w @ sub
+        if small:
+            total, counts = bits.size(cover), bits.counts(cover)
+        else:
+            sub, w = rows[cover], weight[cover]
+            total, counts = int(w.sum()), w @ sub
         closure = counts == total
         if total < s_min or (closure[:core] & ~held[:core]).any():
             continue
@@ -129,7 +162,7 @@ def enumerate_closed(rows: np.ndarray, weight: np.ndarray, prefix: list[int], s_
         if not (only_maximal and more.any()):
             yield np.flatnonzero(closure), total
         for j in np.flatnonzero(more[core + 1 :]) + core + 1:
-            stack.append((cover[sub[:, j]], int(j), closure))
+            stack.append((cover & bits.cols[j] if small else cover[sub[:, j]], int(j), closure))
 
 
 def enumerate_top(rows: np.ndarray, weight: np.ndarray, starts: list[list[int]], s_min: int, most: int) -> Iterator[tuple[np.ndarray, int]]:
@@ -138,31 +171,17 @@ def enumerate_top(rows: np.ndarray, weight: np.ndarray, starts: list[list[int]],
     Best first: a branch is no more frequent than the set it extends, so what comes off the heap is the next in order and
     nothing under the last set wanted is ever looked at. Covers are bit vectors, found again from the set when needed.
     """
-    n = -(-len(rows) // 64) * 64
-    bits = np.zeros((rows.shape[1], n), bool)
-    bits[:, : len(rows)] = rows.T
-    cols = np.packbits(bits, axis=1).view(np.uint64)
-    planes = []
-    for b in range(int(weight.max()).bit_length() if len(weight) else 0):
-        plane = np.zeros(n, bool)
-        plane[: len(rows)] = weight >> b & 1
-        planes.append((1 << b, np.packbits(plane).view(np.uint64)))
-
-    def counts_of(cover: np.ndarray) -> np.ndarray:
-        return sum(w * np.bitwise_count(cols & (cover & plane)).sum(axis=1, dtype=np.int64) for w, plane in planes)
-
+    bits = _Bits(rows, weight)
     heap, made = [], len(starts)
     for n_, prefix in enumerate(starts):
-        cover = np.bitwise_and.reduce(cols[prefix])
-        heap.append((-sum(w * int(np.bitwise_count(cover & plane).sum()) for w, plane in planes), n_, prefix[-1], np.array(prefix), np.array(prefix)))
+        heap.append((-bits.size(bits.cover(prefix)), n_, prefix[-1], np.array(prefix), np.array(prefix)))
     heapq.heapify(heap)
     while heap and most > 0:
         total, _, core, held, chosen = heapq.heappop(heap)
         total = -total
         if total < s_min:
             break
-        cover = np.bitwise_and.reduce(cols[chosen])
-        counts = counts_of(cover)
+        counts = bits.counts(bits.cover(chosen))
         closure = np.flatnonzero(counts == total)
         early = closure[closure < core]
         if len(early) and not np.isin(early, held, assume_unique=True).all():

@@ -138,7 +138,7 @@ SWEEP = {f"k{int(100 * k)}_{r}": (lambda rows, k=k, r=r: varied(rows, k, r), Fal
 ABLATIONS = {f"objective_{o}": (lambda rows, o=o: varied(rows, objective=o), False) for o in local.SCORES}
 ABLATIONS |= {"candidates_frequent": (lambda rows: varied(rows, kind="frequent"), True), "threshold_2": (lambda rows: varied(rows, s_min=2), False)}
 #: Columns up to which readings over every frequent set are run.
-ALL_SETS = 8
+ALL_SETS = 7
 
 _REPORT = "tuples bigint, cells bigint, n_mined bigint, threshold bigint, n_used bigint, covered bigint, saved bigint, compressed_share double, table_rate double, mean_len double, mean_freq double"
 
