@@ -46,6 +46,8 @@ _FIRST = -(1 << 63)
 SAMPLE, LAST = 20_000, 500
 #: Lists in which two classes must meet to be compared, for likenesses over 0.75; one list for lower ones.
 MEET = 3
+#: Words of 64 bits in which every spot of a set sets one bit: so many that sets of up to a thousand spots leave half of them empty.
+WORDS = 16
 
 
 def fingerprint(text: Column) -> Column:
@@ -162,10 +164,15 @@ def _posted(classes: DataFrame, least: float) -> DataFrame:
     return post.withColumn("p", part).select("x", "p.part", "c", "n", "p.home")
 
 
-def _bits(s: Column, k: int) -> Column:
-    """Word ``k`` of two in which every spot of a set sets one of 128 bits."""
-    mine = F.filter(s, lambda x: F.shiftrightunsigned(x, 6).bitwiseAND(F.lit(1)) == k)
-    return F.aggregate(mine, F.lit(0).cast("bigint"), lambda a, x: a.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("bigint"), x.bitwiseAND(F.lit(63)))))
+def _bits(s: Column) -> list[Column]:
+    """The words w0, w1, ... in which every spot of a set sets one of ``64 * WORDS`` bits."""
+    one = F.lit(1).cast("bigint")
+
+    def word(k: int) -> Column:
+        mine = F.filter(s, lambda x: F.shiftrightunsigned(x, 6).bitwiseAND(F.lit(WORDS - 1)) == k)
+        return F.aggregate(mine, F.lit(0).cast("bigint"), lambda a, x: a.bitwiseOR(F.call_function("shiftleft", one, x.bitwiseAND(F.lit(63)))))
+
+    return [word(k).alias(f"w{k}") for k in range(WORDS)]
 
 
 def near_classes(spark: SparkSession, docs: DataFrame, least: float = 0.8) -> DataFrame:
@@ -195,7 +202,7 @@ def near_classes(spark: SparkSession, docs: DataFrame, least: float = 0.8) -> Da
     fits = f"least({{0}}, {{1}}) >= {least} * greatest({{0}}, {{1}}) - 1e-9"
     links = written(spark, near(joined.where("pivot <> c").select(F.col("pivot").alias("a"), F.col("c").alias("b"))), "links")
     comp = written(spark, connected_components(spark, links).select(F.col("node").alias("c"), "component"), "components")
-    words = sets.select("c", _bits(F.col("s"), 0).alias("w0"), _bits(F.col("s"), 1).alias("w1")).join(comp, "c", "left")
+    words = sets.select("c", *_bits(F.col("s"))).join(comp, "c", "left")
     placed = joined.join(words, "c").withColumn("component", F.coalesce("component", "c"))
     split = placed.groupBy("x", "part").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("x", "part")
     placed = written(spark, placed.join(split, ["x", "part"]).drop("pivot"), "placed")
@@ -204,7 +211,8 @@ def near_classes(spark: SparkSession, docs: DataFrame, least: float = 0.8) -> Da
     placed = placed.join(main, ["x", "part"]).withColumn("rest", F.col("component") != F.col("main")).drop("main")
     apart = f"u.x = v.x AND u.part = v.part AND u.component <> v.component AND (NOT v.rest OR u.c < v.c) AND (u.home OR v.home) AND {fits.format('u.n', 'v.n')}"
     # A bit that one of two sets has alone is a spot that it has alone, and alike sets have few of these.
-    apart += f" AND bit_count(u.w0 ^ v.w0) + bit_count(u.w1 ^ v.w1) <= {(1 - least) / (1 + least)} * (u.n + v.n) + 1e-9"
+    differ = " + ".join(f"bit_count(u.w{k} ^ v.w{k})" for k in range(WORDS))
+    apart += f" AND {differ} <= {(1 - least) / (1 + least)} * (u.n + v.n) + 1e-9"
     pairs = placed.where("rest").alias("u").join(placed.alias("v"), F.expr(apart)).select(F.least("u.c", "v.c").alias("a"), F.greatest("u.c", "v.c").alias("b"))
     every = written(spark, links.unionByName(near(pairs)), "links")
     comp = written(spark, connected_components(spark, every).select(F.col("node").alias("c"), "component"), "components")

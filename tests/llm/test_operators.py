@@ -302,6 +302,23 @@ def test_spot_pairs_lose_none(spark, docs):
     assert {(r["a"], r["b"]) for r in spot_signatures.near_pairs(docs, 0.5).collect()} == want
 
 
+def test_differing_bits_tell_sets_apart_that_128_did_not(spark):
+    """Sets of 121 spots, 0.7 alike, are over the bound in the words used but were under it in 128 bits."""
+    rng = np.random.default_rng(5)
+    x = rng.integers(-(1 << 31), 1 << 31, 143).tolist()
+    sets = [x[:121], x[22:]]
+    rows = spark.createDataFrame([(i, s) for i, s in enumerate(sets)], "i int, s array<int>").select("i", *spot_signatures._bits(F.col("s"))).orderBy("i").collect()
+    u, v = ([w % 2**64 for w in r[1:]] for r in rows)
+    for s, words in zip(sets, (u, v)):
+        want = [0] * len(words)
+        for h in s:
+            want[(h % 2**32 >> 6) % len(words)] |= 1 << h % 64
+        assert words == want
+    bound = 0.2 / 1.8 * 242
+    fold = [[np.bitwise_or.reduce(np.array(w[k::2], np.uint64)) for k in (0, 1)] for w in (u, v)]
+    assert sum(int(a ^ b).bit_count() for a, b in zip(*fold)) <= bound < sum((a ^ b).bit_count() for a, b in zip(u, v)) <= 44
+
+
 def test_near_classes(spark):
     """Components of near fingerprints, equal to those of all pairs; a hot passage and equal texts among them."""
     family = [(3 * i + 2, t) for i, t in near_family(6, 30)]
