@@ -1,5 +1,6 @@
 import random
 
+import numpy as np
 import pytest
 
 from relpress.functions.itemsets import mask_of, register
@@ -142,3 +143,20 @@ def test_sql_functions(spark):
     assert tuple(row) == (9, 6, 0.4, 3)
     sets = mining.frequent(example(spark), 2).select(mask_of(mining.F.col("items")).alias("mask"), "len")
     assert sets.where("mask_length(mask) <> len").count() == 0
+
+
+def test_choice_by_bit_vectors_is_the_choice_by_rows(spark, monkeypatch):
+    """Over several blocks, and through ``choose`` without any cover by rows."""
+    rng = np.random.default_rng(3)
+    rows = sorted({tuple(int(x) for x in r) for r in rng.integers(0, 2, (400, 9))})
+    rel = Relation(spark.createDataFrame(rows, ", ".join(f"c{i} int" for i in range(9))), [f"c{i}" for i in range(9)])
+    sets, tuples = selection.rank(compression.candidates(rel, 12), 9), rel.numbered()
+    want, _ = selection.greedy(sets, selection.cover(sets, tuples))
+    monkeypatch.setattr(selection, "BLOCK", 50)
+    got, rounds = selection.greedy_bits(sets, tuples)
+    want = {(r["rank"], r["tid"], str(r["head"])) for r in want.collect()}
+    assert {(r["rank"], r["tid"], str(r["head"])) for r in got.collect()} == want and rounds > 1 and len({w[0] for w in want}) > 3
+    monkeypatch.setattr(compression, "DENSE_SETS", 1)
+    monkeypatch.setattr(selection, "cover", None)
+    c = compression.choose(rel, sets.select("items", "len", "freq"), "area")
+    assert sorted(map(tuple, c.expand().collect())) == rows and c.heads.count() == len({w[0] for w in want})
