@@ -4,12 +4,13 @@ Every byte that lies in a string of ``least`` bytes which also starts earlier is
 strings do not cross documents.
 
 Method. Suffixes are put into buckets by their first ``Q`` bytes, and buckets are refined by the bucket identifiers found
-at later offsets (Q, 2Q, ... up to ``least``), the identifier of a longer prefix being built from those of its parts, so
-that work on one offset serves all suffixes before it. Only suffixes that can matter take part:
+at later offsets, the identifier of a longer stretch being built from those at all places in it, by running sums, so that
+work on one offset serves all suffixes before it. Only suffixes that can matter take part:
 
 1. Of the q-gram buckets inside a string of ``least`` bytes, the one with the least identifier is its anchor; equal
    strings have equal anchors. The strings of one anchor start in one stretch of text (a segment). A bucket with a single
-   anchor in the corpus holds no repeat and is dropped: of unique text nothing else is ever shuffled.
+   anchor in the corpus holds no repeat and is dropped: of unique text nothing else is ever shuffled. The first pass over
+   the text names anchors only, the second one segments too.
 2. Segments of the remaining buckets are refined by the identifiers at their later offsets. Later copies of an equal
    segment are removed whole.
 3. Where a bucket still holds unlike segments, the first of each is refined further, from the bytes around its anchor.
@@ -17,9 +18,9 @@ that work on one offset serves all suffixes before it. Only suffixes that can ma
    larger one is refined by blocks of ``BLOCK`` neighbouring strings, and where blocks are unlike still, string by string;
    identifiers of longer stretches before and after the anchor are built from those of shorter ones.
 
-Scale. Each step aggregates before it shuffles; text meets its (few) places twice, by document id. A bucket that a third of
-all segments are in is dealt over many tasks (``salted_join``), a segment that often goes by broadcast (``hot_join``). Nothing is
-collected.
+Scale. Work on single bytes is in array operations over about ``_SLICE`` bytes, which fit a core's cache. Each step
+aggregates before it shuffles; text meets its (few) places twice, by document id. A bucket that a third of all segments are
+in is dealt over many tasks (``salted_join``), a segment that often goes by broadcast (``hot_join``). Nothing is collected.
 
 Edge cases. Null and empty texts have 0 bytes and no removal; texts under ``least`` bytes lose nothing; very long texts are
 read in overlapping slices. An empty table gives an empty table. Only the id and text columns are read, so further columns
@@ -30,65 +31,106 @@ bits), strings by 128 bits; unlike segments of a small bucket are compared byte
 
 from __future__ import annotations
 
+from functools import lru_cache
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import GOLD, col, drop_written, hot_join, mix64, salted_join, small_batches, written
+from .common import _M1, _M2, GOLD, col, drop_written, hot_join, mix64, salted_join, small_batches, written
 
 #: Bytes of a first bucket; unlike segments of a bucket up to which they are compared in pairs; strings of a block.
 Q, FEW, BLOCK = 16, 64, 8
-_SLICE = 1 << 21
+_SLICE = 1 << 17
 _PLACE = np.uint64((1 << 24) - 1)
 _SEEDS = (np.uint64(0x2545F4914F6CDD1D), np.uint64(0xD6E8FEB86659FD93))
+#: Odd factors of the sums that name stretches; 5 more than a multiple of 8, so that their powers differ in low bits too.
+_BASES = (np.uint64(0x9FB21C651E98DF25), np.uint64(0xC2B2AE3D27D4EB4D))
 _FIRST = -(1 << 63)
 
 
-def _buckets(a: np.ndarray, seed: np.uint64) -> np.ndarray:
-    """Identifier of the Q bytes from each place on."""
-    v = a.astype(np.uint64)
-    for step in (1, 2, 4):
-        v = v[:-step] << np.uint64(8 * step) | v[step:]
-    return mix64((v[:-8] ^ seed) * GOLD + (v[8:] ^ (v[8:] >> np.uint64(29))) * seed)
+def _words(a: np.ndarray) -> np.ndarray:
+    """The 8 bytes from each place on."""
+    return np.ndarray((len(a) - 7,), "<u8", np.ascontiguousarray(a), 0, (1,)).astype(np.uint64)
 
 
-def _refined(bucket: np.ndarray, at: np.ndarray, least: int) -> np.ndarray:
-    """Identifier of the ``least`` bytes from the places ``at`` on, from the buckets at later offsets."""
-    out = bucket[at]
-    for offset in [*range(Q, least - Q, Q), least - Q]:
-        out = mix64(out * GOLD + bucket[at + offset])
-    return out
+def _mixed(h: np.ndarray) -> np.ndarray:
+    """``mix64`` in place."""
+    for shift, by in ((30, _M1), (27, _M2)):
+        h ^= h >> np.uint64(shift)
+        h *= by
+    h ^= h >> np.uint64(31)
+    return h
+
+
+def _buckets(v: np.ndarray, seed: np.uint64) -> np.ndarray:
+    """Identifier of the Q bytes from each place on, from the 8 bytes there."""
+    out = v >> np.uint64(29)
+    out ^= v
+    out *= seed
+    one = v[:-8] ^ seed
+    one *= GOLD
+    one += out[8:]
+    return _mixed(one)
+
+
+@lru_cache(maxsize=8)
+def _powers(size: int, base: int) -> np.ndarray:
+    out = np.full(size, base, np.uint64)
+    out[0] = 1
+    return np.cumprod(out, dtype=np.uint64)
+
 
+def _stretches(v: np.ndarray, base: np.uint64, low: np.ndarray, high: np.ndarray) -> np.ndarray:
+    """Identifiers of v[low:high], wherever that stands: the difference of two sums of terms times powers of an odd base."""
+    size = 1 << len(v).bit_length()
+    sums = np.zeros(len(v) + 1, np.uint64)
+    np.cumsum(v * _powers(size, int(base))[: len(v)], out=sums[1:])
+    return (sums[high] - sums[low]) * _powers(size, pow(int(base), -1, 1 << 64))[low]
 
-def _segments(a: np.ndarray, starts: np.ndarray, ends: np.ndarray, least: int) -> tuple[np.ndarray, ...]:
-    """(bucket, two identifiers, document, place, further strings, anchor's offset) of the segments of several texts laid end to end."""
-    bucket = _buckets(a, _SEEDS[0])
+
+def _segments(a: np.ndarray, starts: np.ndarray, ends: np.ndarray, least: int, whole: bool = True) -> tuple[np.ndarray, ...]:
+    """(bucket, two identifiers, document, place, further strings, anchor's offset) of the segments of several texts laid
+    end to end; without ``whole`` their buckets only."""
+    v = _words(a)
+    bucket = _buckets(v, _SEEDS[0])
     w = least - Q + 1
     n = len(bucket)
-    key = (bucket & ~_PLACE) | np.arange(n, dtype=np.uint64)
-    rows = np.full(-(-n // w) * w, np.uint64(0xFFFFFFFFFFFFFFFF))
-    rows[:n] = key
-    rows = rows.reshape(-1, w)
-    left = np.minimum.accumulate(rows, axis=1).ravel()
-    right = np.minimum.accumulate(rows[:, ::-1], axis=1)[:, ::-1].ravel()
-    anchor = (np.minimum(right[: n - w + 1], left[w - 1 : n]) & _PLACE).astype(np.int64)
-    valid = np.zeros(len(anchor) + 1, np.int8)
+    key = bucket & ~_PLACE
+    key |= np.arange(n, dtype=np.uint64)
+    # The least of w neighbours, from those of 1, 2, 4, ... neighbours.
+    width = 1
+    while width < w:
+        step = min(width, w - width)
+        key = np.minimum(key[:-step], key[step:])
+        width += step
+    key &= _PLACE
+    valid = np.zeros(len(key) + 2, np.int32)
     long = ends - starts >= least
-    np.add.at(valid, starts[long], 1)
-    np.add.at(valid, ends[long] - least + 1, -1)
-    at = np.flatnonzero(np.cumsum(valid[:-1]))
-    own = anchor[at]
-    new = np.r_[True, (own[1:] != own[:-1]) | (at[1:] != at[:-1] + 1)] if len(at) else np.zeros(0, bool)
-    first = at[new]
-    last = at[np.r_[np.flatnonzero(new)[1:] - 1, len(at) - 1]] if len(at) else first
-    doc = np.searchsorted(starts, first, side="right") - 1
+    np.add.at(valid, starts[long] + 1, 1)
+    np.add.at(valid, ends[long] - least + 2, -1)
+    # One place without a string before and after the others.
+    ok = np.r_[np.cumsum(valid[:-1]) > 0, False]
+    same = np.r_[False, key[1:] == key[:-1], False]
+    same &= ok[1:]
+    same &= ok[:-1]
+    first = np.flatnonzero(ok[1:-1] & ~same[:-1])
+    anchor = key[first].astype(np.int64)
+    if not whole:
+        return (bucket[anchor],)
     # Two texts may meet in one stretch only through a gap, as the last strings of a text are no valid places.
-    # The second identifier comes from other buckets, so that both together are 96 bits of every byte.
+    last = np.flatnonzero(ok[1:-1] & ~same[1:])
+    doc = np.searchsorted(starts, first, side="right") - 1
+    # The second identifier comes from the 8 bytes at each place, so that both together are 96 bits of every byte.
     more = (last - first).astype(np.uint64) * _SEEDS[1]
-    two = _buckets(a, _SEEDS[1])
-    seg = [mix64(_refined(x, first, least) * GOLD + _refined(x, last, least) + more) for x in (bucket, two)]
-    return bucket[anchor[first]], *seg, doc, first - starts[doc], last - first, anchor[first] - first
+    one = _stretches(bucket, _BASES[0], first, last + (least - Q + 1))
+    v ^= v >> np.uint64(29)
+    v *= _M2
+    v ^= v >> np.uint64(32)
+    two = _stretches(v, _BASES[1], first, last + (least - 7))
+    seg = [mix64(x * GOLD + more) for x in (one, two)]
+    return bucket[anchor], *seg, doc, first - starts[doc], last - first, anchor - first
 
 
 def _pieces(texts: list[bytes], least: int):
@@ -109,14 +151,33 @@ def _pieces(texts: list[bytes], least: int):
         yield group
 
 
+def _laid(group: list[tuple[int, int, bytes]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The texts of a group end to end, their starts and ends."""
+    lengths = np.array([len(g[2]) for g in group])
+    ends = np.cumsum(lengths)
+    return np.frombuffer(b"".join(g[2] for g in group), np.uint8), ends - lengths, ends
+
+
+def _texts(b: pa.RecordBatch) -> list[bytes]:
+    return [t or b"" for t in b.column(1).cast(pa.binary()).to_pylist()]
+
+
+def _anchor_buckets(least: int):
+    def run(batches):
+        for b in batches:
+            for group in _pieces(_texts(b), least):
+                (h,) = _segments(*_laid(group), least, whole=False)
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64))], names=["h"])
+
+    return run
+
+
 def _anchors(least: int):
     def run(batches):
         for b in batches:
-            ids = np.array(b.column(0).to_pylist(), np.int64)
-            for group in _pieces([(t or "").encode("utf-8", "surrogatepass") for t in b.column(1).to_pylist()], least):
-                lengths = np.array([len(g[2]) for g in group])
-                ends = np.cumsum(lengths)
-                h, g, g2, doc, place, more, off = _segments(np.frombuffer(b"".join(x[2] for x in group), np.uint8), ends - lengths, ends, least)
+            ids = b.column(0).to_numpy(zero_copy_only=False)
+            for group in _pieces(_texts(b), least):
+                h, g, g2, doc, place, more, off = _segments(*_laid(group), least)
                 own, offset = np.array([x[0] for x in group]), np.array([x[1] for x in group], np.int64)
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(h.view(np.int64)), pa.array(g.view(np.int64)), pa.array((g2 >> np.uint64(32)).astype(np.uint32).view(np.int32)), pa.array(ids[own[doc]]), pa.array((place + offset[doc]).astype(np.int64) << 20 | more << 10 | off)],
@@ -130,24 +191,54 @@ def _anchors(least: int):
 _PARTS = "h long, i long, x long, lo int, hi int, before binary, after binary, many boolean"
 
 
+def _listed(column: pa.Array) -> tuple[pa.StructArray, np.ndarray]:
+    """The structs of a column of lists, null lists being empty, and the row that each stands in."""
+    size = np.asarray(column.value_lengths().fill_null(0)).astype(np.int64)
+    return column.flatten(), np.repeat(np.arange(len(size)), size)
+
+
+def _numbers(column: pa.StructArray, name: str) -> np.ndarray:
+    return column.field(name).to_numpy(zero_copy_only=False).astype(np.int64)
+
+
+def _rows(column: pa.Array, side: int) -> np.ndarray:
+    """The byte strings of ``side`` bytes each of a column."""
+    if not len(column):
+        return np.zeros((0, side), np.uint8)
+    column = column.cast(pa.binary())
+    at = int(np.frombuffer(column.buffers()[1], np.int32)[column.offset])
+    return np.frombuffer(column.buffers()[2], np.uint8)[at : at + len(column) * side].reshape(-1, side)
+
+
+def _strip(rows: np.ndarray) -> pa.Array:
+    """A column of the rows' byte strings."""
+    offsets = np.arange(0, (len(rows) + 1) * rows.shape[1], rows.shape[1], dtype=np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(rows), [None, pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(rows))])
+
+
 def _parts(least: int):
     side = least - Q
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.bool_()]
     names = ["h", "i", "x", "lo", "hi", "before", "after", "many"]
 
     def run(batches):
-        out: list[tuple] = []
         for b in batches:
-            for i, text, segments in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
-                data = (text or "").encode("utf-8", "surrogatepass")
-                for z in segments:
-                    x = z["s"] + z["off"]
-                    out.append((z["h"], i, x, z["off"] - z["more"], z["off"], data[max(0, x - side) : x][::-1].ljust(side, b"\0"), data[x + Q : x + Q + side].ljust(side, b"\0"), z["many"]))
-                    if len(out) >= 20_000:
-                        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=names)
-                        out = []
-        if out:
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=names)
+            z, row = _listed(b.column(2))
+            texts = _texts(b)
+            # Texts lie end to end with ``least`` zero bytes before and after each.
+            gap = b"\0" * least
+            laid = np.frombuffer(gap + gap.join(texts) + gap, np.uint8)
+            length = np.array([len(t) for t in texts], np.int64)
+            begin = np.cumsum(length + least) - length
+            i = b.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
+            h, s, off, more = (_numbers(z, c) for c in ("h", "s", "off", "more"))
+            many = z.field("many")
+            around = np.lib.stride_tricks.sliding_window_view(laid, side)
+            for k in range(0, len(row), 20_000):
+                p = slice(k, k + 20_000)
+                x = s[p] + off[p]
+                at = begin[row[p]] + x
+                columns = [h[p], i[row[p]], x, (off[p] - more[p]).astype(np.int32), off[p].astype(np.int32)]
+                yield pa.RecordBatch.from_arrays([*map(pa.array, columns), _strip(around[at - side][:, ::-1]), _strip(around[at + Q]), many[k : k + 20_000]], names=names)
 
     return run
 
@@ -167,7 +258,7 @@ class _Sides:
     def __init__(self, b: pa.RecordBatch, least: int):
         self.side = least - Q
         self.h, self.i, self.x, self.lo, self.hi = (np.asarray(b.column(c).to_numpy(zero_copy_only=False)).astype(np.int64) for c in ("h", "i", "x", "lo", "hi"))
-        before, after = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(-1, self.side) for c in ("before", "after"))
+        before, after = (_rows(b.column(c), self.side) for c in ("before", "after"))
         self.ids = [(_grown(before, seed), _grown(after, seed)) for seed in _SEEDS]
 
     def names(self, at: np.ndarray, low: np.ndarray, high: np.ndarray) -> list[np.ndarray]:
@@ -228,13 +319,15 @@ def _compared(least: int):
 
     def run(batches):
         for b in batches:
-            groups = [sorted(g, key=lambda x: (x["i"], x["x"])) for g in b.column(0).to_pylist()]
-            flat = [x for g in groups for x in g]
-            if not flat:
+            z, row = _listed(b.column(0))
+            if not len(row):
                 continue
-            i, x_, lo, hi = (np.array([x[c] for x in flat], np.int64) for c in ("i", "x", "lo", "hi"))
-            before, after = (np.frombuffer(b"".join(x[c] for x in flat), np.uint8).reshape(-1, side) for c in ("before", "after"))
-            size = np.array([len(g) for g in groups])
+            i, x_, lo, hi = (_numbers(z, c) for c in ("i", "x", "lo", "hi"))
+            order = np.lexsort((x_, i, row))
+            i, x_, lo, hi = i[order], x_[order], lo[order], hi[order]
+            before, after = (_rows(z.field(c), side)[order] for c in ("before", "after"))
+            size = np.bincount(row)
+            size = size[size > 0]
             begin = np.cumsum(size) - size
             shape = {n: np.triu_indices(n, 1) for n in set(size.tolist())}
             one = np.concatenate([shape[n][0] + at for n, at in zip(size.tolist(), begin.tolist())])
@@ -248,26 +341,24 @@ def _compared(least: int):
 
 def _cut(batches):
     for b in batches:
-        kept, sizes, removed, spans = [], [], [], []
-        for text, places in zip(b.column(1).to_pylist(), b.column(2).to_pylist()):
-            data = (text or "").encode("utf-8", "surrogatepass")
-            out, at, gone, n = [], 0, 0, 0
-            end = -1
-            for s, e in sorted((p["s"], p["e"]) for p in places or ()):
-                if s > end:
-                    n += 1
-                    out.append(data[at:s])
-                    end = at = e
-                    gone += e - s
-                elif e > end:
-                    gone += e - end
-                    end = at = e
-            out.append(data[at:])
-            kept.append(b"".join(out))
-            sizes.append(len(data))
-            removed.append(gone)
-            spans.append(n)
-        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int64()), pa.array(removed, pa.int64()), pa.array(spans, pa.int64()), pa.array(kept, pa.binary())], names=["i", "n_bytes", "n_removed", "n_spans", "kept"])
+        texts = _texts(b)
+        size = np.array([len(t) for t in texts], np.int64)
+        ends = np.cumsum(size)
+        z, row = _listed(b.column(2))
+        s, e = (_numbers(z, c) + (ends - size)[row] for c in ("s", "e"))
+        order = np.lexsort((s, row))
+        row, s, e = row[order], s[order], np.maximum.accumulate(e[order])
+        # A run goes on where the next place starts within it or at its end, but not into the next text.
+        new = np.ones(len(s) + 1, bool)
+        new[1:-1] = (s[1:] > e[:-1]) | (row[1:] != row[:-1])
+        row, s, e = row[new[:-1]], s[new[:-1]], e[new[1:]]
+        spans, removed = np.bincount(row, minlength=len(size)), np.zeros(len(size), np.int64)
+        np.add.at(removed, row, e - s)
+        data = memoryview(b"".join(texts))
+        left = b"".join(data[x:y] for x, y in zip([0, *e.tolist()], [*s.tolist(), len(data)]))
+        offsets = np.r_[0, np.cumsum(size - removed)].astype(np.int32)
+        kept = pa.Array.from_buffers(pa.binary(), len(size), [None, pa.py_buffer(offsets), pa.py_buffer(left)])
+        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(size), pa.array(removed), pa.array(spans), kept], names=["i", "n_bytes", "n_removed", "n_spans", "kept"])
 
 
 def dedup_substrings(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: int = 100) -> DataFrame:
@@ -279,7 +370,7 @@ def dedup_substrings(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id
     # A segment's place, further strings and anchor's offset go as one number, in the order of places.
     # Of unique text it is cheaper to read the anchors twice than to write them.
     anchors = d.mapInArrow(_anchors(least), "h long, g long, g2 int, i long, k long")
-    again = written(spark, anchors.groupBy("h").agg(F.count("*").alias("n")).where("n > 1"), "again")
+    again = written(spark, d.mapInArrow(_anchor_buckets(least), "h long").groupBy("h").agg(F.count("*").alias("n")).where("n > 1"), "again")
     live = written(spark, salted_join(anchors, again, ["h"], "n", ["i", "k"]).drop("n"), "segments")
     place, more, off = F.shiftright("k", 20), F.shiftright("k", 10).bitwiseAND(F.lit(1023)).cast("int"), F.col("k").bitwiseAND(F.lit(1023)).cast("int")
     alike = written(spark, live.groupBy("h", "g", "g2").agg(F.min(F.struct("i", "k")).alias("first"), F.count("*").alias("n")), "classes")
