@@ -20,7 +20,8 @@ work on one offset serves all suffixes before it. Only suffixes that can matter
 
 Scale. Work on single bytes is in array operations over about ``_SLICE`` bytes, which fit a core's cache. Each step
 aggregates before it shuffles; text meets its (few) places twice, by document id. A bucket that a third of all segments are
-in is dealt over many tasks (``salted_join``), a segment that often goes by broadcast (``hot_join``). Nothing is collected.
+in is dealt over many tasks (``salted_join``), a segment that often goes by broadcast, as does a bucket of so many unlike
+segments (``hot_join``). Nothing is collected.
 
 Edge cases. Null and empty texts have 0 bytes and no removal; texts under ``least`` bytes lose nothing; very long texts are
 read in overlapping slices. An empty table gives an empty table. Only the id and text columns are read, so further columns
@@ -377,8 +378,8 @@ def dedup_substrings(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id
     copied = written(spark, alike.where("n > 1").select("h", "g", "g2", "first", "n"), "copied")
     whole = hot_join(live, copied, ["h", "g", "g2"], "n").where(F.col("first") < F.struct("i", "k")).select("i", place.alias("s"), (place + more + least).alias("e"))
     whole = written(spark, whole.groupBy("i").agg(F.collect_list(F.struct("s", "e")).alias("places")), "whole")
-    unlike = alike.groupBy("h").agg(F.count("*").alias("c")).where("c > 1").select("h", (F.col("c") > FEW).alias("many"))
-    todo = alike.join(unlike, "h").select("h", "many", "first.i", "first.k").groupBy("i").agg(F.collect_list(F.struct(place.alias("s"), more.alias("more"), off.alias("off"), "h", "many")).alias("segments"))
+    unlike = written(spark, alike.groupBy("h").agg(F.count("*").alias("c")).where("c > 1"), "unlike")
+    todo = hot_join(alike, unlike, ["h"], "c").select("h", (F.col("c") > FEW).alias("many"), "first.i", "first.k").groupBy("i").agg(F.collect_list(F.struct(place.alias("s"), more.alias("more"), off.alias("off"), "h", "many")).alias("segments"))
     parts = written(spark, d.join(todo, "i").select("i", "t", "segments").mapInArrow(_parts(least), _PARTS), "parts")
     few = parts.where("NOT many").groupBy("h").agg(F.collect_list(F.struct("i", "x", "lo", "hi", "before", "after")).alias("x"))
     few = few.select("x").mapInArrow(_compared(least), "i long, s long, e long")
@@ -394,6 +395,6 @@ def dedup_substrings(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id
     single = strings.join(first, ["w1", "w2"]).where(F.col("first") < F.struct("i", "s")).select("i", "s", (F.col("s") + least).alias("e"))
     cut = few.unionByName(later).unionByName(single).groupBy("i").agg(F.collect_list(F.struct("s", "e")).alias("places"))
     gone = written(spark, whole.unionByName(cut).groupBy("i").agg(F.flatten(F.collect_list("places")).alias("places")), "places")
-    drop_written(spark, again, copied, live, alike, parts, whole, blocks, named, strings)
+    drop_written(spark, again, copied, live, alike, unlike, parts, whole, blocks, named, strings)
     out = d.join(gone, "i", "left").select("i", "t", "places").mapInArrow(_cut, "i long, n_bytes long, n_removed long, n_spans long, kept binary")
     return out.select(F.when(F.col("i") != _FIRST, F.col("i")).alias(id_col), "n_bytes", "n_removed", "n_spans", "kept")

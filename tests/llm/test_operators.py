@@ -244,6 +244,25 @@ def test_substrings_in_slices(spark, empty, monkeypatch):
     assert suffix_dedup.dedup_substrings(spark, empty).count() == 0
 
 
+def test_substrings_of_a_common_passage(spark, monkeypatch):
+    """A bucket of more than a thousand unlike segments goes by broadcast, with the same result."""
+    from relpress.llm import common
+
+    seen = []
+
+    def joined(rows, classes, by, count):
+        seen.append((by, classes.agg(F.max(count)).first()[0] or 0))
+        return common.hot_join(rows, classes, by, count)
+
+    monkeypatch.setattr(suffix_dedup, "hot_join", joined)
+    rng = np.random.default_rng(9)
+    passage, *sides = (bytes(rng.integers(97, 123, n, np.uint8)).decode() for n in [90, *[30] * 4000])
+    rows = [(k, sides[2 * k] + passage + sides[2 * k + 1]) for k in range(1990)] + [(1990 + k, sides[2 * k] + passage + sides[2 * k + 3]) for k in range(10)]
+    got = by_id(suffix_dedup.dedup_substrings(spark, spark.createDataFrame(rows, "doc_id long, text string")))
+    assert {i: (bytes(r["kept"]), r["n_spans"]) for i, r in got.items()} == brute_bytes(rows, 100)
+    assert max((most for by, most in seen if by == ["h"]), default=0) > 1000
+
+
 def text_batches(mb=4):
     rng = np.random.default_rng(3)
     return [pa.RecordBatch.from_arrays([pa.array(range(k, k + 500)), pa.array([bytes(x).decode() for x in rng.integers(97, 123, (500, 2000), np.uint8)])], names=["i", "t"]) for k in range(0, mb * 500, 500)]
